@@ -5,9 +5,11 @@ keys each are computed, and table (i, j) is keyed by half i of the first and hal
 A pair that meets in a table shares a half in both collections, so documents without any shared half never form a table key.
 
 1. Equal sets collapse to one class, named by its least doc_id.
-2. Classes that meet in a table are candidates.  A bucket's members are first compared with its least class only, and what that links is
+2. Of classes that share a half in both collections the full sets are made.  Shingles that only one of these sets has are in no
+   intersection, so their number bounds a set's similarity to any other: sets that cannot reach the threshold drop out.
+3. The rest gets table keys; classes that meet in a table are candidates.  A bucket's members are first compared with its least class only, and what that links is
    joined to components.
-3. Buckets whose members are still in several components are compared across these components, so nothing that meets in a table is
+4. Buckets whose members are still in several components are compared across these components, so nothing that meets in a table is
    left unchecked; pairs inside one component need no check, as they cannot change it.
 All candidates are confirmed on the full sets, in integers: 100 * common >= percent * union.
 
@@ -28,7 +30,7 @@ from functools import partial
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import arrow_rows, stored
@@ -118,31 +120,47 @@ def _sets(width: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBa
     yield from rest()
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int, repeats: bool = False) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough.  Sets are made again from the texts of the documents that
-    occur in pairs, which is cheaper than storing the sets of all."""
-    needed = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
+def full_sets(candidates: DataFrame, docs: DataFrame, width: int, repeats: bool) -> DataFrame:
+    """(id, items) of the candidate classes.  Sets are made again from texts, which is cheaper than storing the sets of
+    all; the join is always a merge join, so that the plan does not change with the number of candidates."""
+    needed = candidates.select(F.col("rep").alias("id")).hint("merge")
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(needed, "id", "left_semi")
     sets = texts.mapInArrow(partial(_sets, width), "id long, set_a long, set_b long, items array<long>")
     if repeats:
         sets = sets.where("size(items) > 0").groupBy("id").agg(F.min(F.struct("set_a", "set_b", "items")).alias("s")).select("id", "s.items")
-    sets = stored(sets.select("id", "items"), "sets")
-    joined = pairs.join(sets.select(F.col("id").alias("b"), F.col("items").alias("items_b")), "b").join(sets.select(F.col("id").alias("a"), F.col("items").alias("items_a")), "a")
+    return stored(sets.select("id", "items"), "sets")
+
+
+def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose full sets are similar enough."""
+    joined = pairs.join(sets.select(F.col("id").alias("b"), F.col("items").alias("items_b")).hint("merge"), "b")
+    joined = joined.join(sets.select(F.col("id").alias("a"), F.col("items").alias("items_a")).hint("merge"), "a")
     common = F.size(F.array_intersect("items_a", "items_b")).cast("long")
     union = F.size("items_a") + F.size("items_b") - common
     return joined.where(common * 100 >= union * percent).select("a", "b")
 
 
-def table_keys(reps: DataFrame) -> DataFrame:
-    """reps: rep, n, halves.  (key, rep, n) for each table in which the class could meet another."""
-    halves = stored(reps.select("rep", "n", F.posexplode("halves").alias("place", "half")), "halves")
+def shared_halves(halves: DataFrame) -> DataFrame:
+    """Halves that another class has too, of classes that have such halves in both collections."""
     shared = halves.groupBy("half").agg(F.count(F.lit(1)).alias("holders")).where("holders > 1").select("half")
     kept = halves.join(shared, "half")
-    own = kept.groupBy("rep", "n").agg(
+    both = kept.groupBy("rep").agg(F.min("place").alias("low"), F.max("place").alias("high")).where((F.col("low") < HALVES) & (F.col("high") >= HALVES)).select("rep")
+    return stored(kept.join(both, "rep"), "halves")
+
+
+def table_keys(halves: DataFrame) -> DataFrame:
+    """(key, rep, n, common) for each table in which the class could meet another."""
+    own = halves.groupBy("rep", "n", "common").agg(
         F.collect_list(F.when(F.col("place") < HALVES, F.col("half"))).alias("first"), F.collect_list(F.when(F.col("place") >= HALVES, F.col("half"))).alias("second")
     )
     keys = F.flatten(F.transform("first", lambda x: F.transform(F.col("second"), lambda y: F.xxhash64(x, y))))
-    return own.select("rep", "n", F.explode(keys).alias("key"))
+    return own.select("rep", "n", "common", F.explode(keys).alias("key"))
+
+
+def may_link(n: Column, common: Column, n2: Column, common2: Column, percent: int) -> Column:
+    """Whether two sets of these sizes can be similar enough, if so many of their items occur in any other set at all."""
+    most = F.least(common, common2)
+    return most * 100 >= (n + n2 - most) * percent
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -156,23 +174,31 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
         filled = stored(one.select("doc_id", "s.*"), "profiles")
     classes = filled.groupBy("set_a", "set_b").agg(F.min(F.struct("doc_id", F.col("n_shingles").alias("n"), "halves")).alias("r"))
     classes = stored(classes.select("set_a", "set_b", F.col("r.doc_id").alias("rep"), F.col("r.n").alias("n"), F.col("r.halves").alias("halves")), "classes")
-    keyed = stored(table_keys(classes.select("rep", "n", "halves")), "keys")
-
-    fits = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
-    buckets = keyed.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("m"), F.count(F.lit(1)).alias("members")).where("members > 1").select("key", F.col("m.rep").alias("a"), F.col("m.n").alias("n_a"))
-    tried = stored(keyed.join(buckets, "key").where((F.col("rep") != F.col("a")) & fits(F.col("n"), F.col("n_a"))).select("a", F.col("rep").alias("b")).distinct(), "pairs")
-    links = stored(confirmed(tried, docs, width, percent, repeats), "links")
+    halves = shared_halves(classes.select("rep", "n", F.posexplode("halves").alias("place", "half")))
+    sets = full_sets(halves.select("rep").distinct(), docs, width, repeats)
+    # an item that no other candidate has is in no intersection: this bounds what a set can be similar to, exactly
+    alone = sets.select("id", F.explode("items").alias("item")).groupBy("item").agg(F.count(F.lit(1)).alias("holders"), F.min("id").alias("rep")).where("holders = 1")
+    alone = alone.groupBy("rep").agg(F.count(F.lit(1)).alias("alone"))
+    live = halves.join(alone, "rep", "left").withColumn("common", F.col("n") - F.coalesce("alone", F.lit(0))).drop("alone")
+    live = shared_halves(live.where(F.col("common") * 100 >= F.col("n") * percent))
+    keyed = stored(table_keys(live), "keys")
+
+    buckets = keyed.groupBy("key").agg(F.min(F.struct("rep", "n", "common")).alias("m"), F.count(F.lit(1)).alias("members")).where("members > 1")
+    buckets = buckets.select("key", F.col("m.rep").alias("a"), F.col("m.n").alias("n_a"), F.col("m.common").alias("common_a"))
+    tried = keyed.join(buckets, "key").where((F.col("rep") != F.col("a")) & may_link(F.col("n"), F.col("common"), F.col("n_a"), F.col("common_a"), percent))
+    tried = stored(tried.select("a", F.col("rep").alias("b")).distinct(), "pairs")
+    links = stored(confirmed(tried, sets, percent), "links")
     found = connected_components(links)
-    placed = keyed.join(found.withColumnRenamed("id", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("component"))
+    placed = keyed.join(found.withColumnRenamed("id", "rep"), "rep", "left").select("key", "rep", "n", "common", F.coalesce("component", "rep").alias("component"))
     placed = stored(placed, "placed")
     open_ = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key")
     across = placed.join(open_, "key")
-    other = across.select("key", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("component").alias("component2"))
-    more = across.join(other, "key").where((F.col("component") < F.col("component2")) & fits(F.col("n"), F.col("n2")))
+    other = across.select("key", *(F.col(c).alias(f"{c}2") for c in ("rep", "n", "common", "component")))
+    more = across.join(other, "key").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent))
     more = more.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
     more = stored(more, "pairs")
     if not more.isEmpty():
-        late = stored(confirmed(more, docs, width, percent, repeats), "links")
+        late = stored(confirmed(more, sets, percent), "links")
         if not late.isEmpty():
             found = connected_components(links.unionByName(late))
 
