@@ -80,7 +80,7 @@ class PairTable:
 class Codec:
     """Encodes and decodes with one rank file."""
 
-    def __init__(self, path: str, pattern: str, memo_pieces: int = 400_000):
+    def __init__(self, path: str, pattern: str, memo_pieces: int = 300_000):
         self.tokens = load_ranks(path)
         self.rank = {t: i for i, t in enumerate(self.tokens) if t}
         self.pairs = PairTable(self.tokens)

@@ -35,7 +35,7 @@ class WordEncoder:
     """Encodes with the tokenizers library, each distinct blank-separated word once: the vocabulary's own rules drop white
     space and never join across it, so a text's ids are its words' ids in a row.  Ids come as little-endian bytes."""
 
-    def __init__(self, path: str, memo_words: int = 600_000):
+    def __init__(self, path: str, memo_words: int = 300_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
