@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -692,8 +693,6 @@ def relational() -> None:
     add("udf_sql_coin", f"SELECT p_partkey, {_C(42, 'p_partkey')} AS coin FROM part", sql_coin)
 
     def udaf(s, d):
-        import pandas as pd
-
         @F.pandas_udf("double")
         def middle_of_means(x: pd.Series, group: pd.Series) -> float:
             return float(x.groupby(group.values).mean().median())
