@@ -7,8 +7,8 @@ A pair that meets in a table shares a half in both collections, so documents wit
 1. Equal sets collapse to one class, named by its least doc_id.
 2. Of classes that share a half in both collections the full sets are made.  Shingles that only one of these sets has are in no
    intersection, so their number bounds a set's similarity to any other: sets that cannot reach the threshold drop out.
-3. The rest gets table keys; classes that meet in a table are candidates.  A bucket's members are first compared with its least class only, and what that links is
-   joined to components.
+3. The rest gets table keys; classes that meet in a table are candidates.  A bucket's members are first compared with its leader only, the class with
+   the largest share of shingles that others have, and what that links is joined to components.
 4. Buckets whose members are still in several components are compared across these components, so nothing that meets in a table is
    left unchecked; pairs inside one component need no check, as they cannot change it.
 All candidates are confirmed on the full sets, in integers: 100 * common >= percent * union.
@@ -183,7 +183,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     live = shared_halves(live.where(F.col("common") * 100 >= F.col("n") * percent))
     keyed = stored(table_keys(live), "keys")
 
-    buckets = keyed.groupBy("key").agg(F.min(F.struct("rep", "n", "common")).alias("m"), F.count(F.lit(1)).alias("members")).where("members > 1")
+    # a bucket is led by the class with the largest share of items that others have: the version the others were made from
+    leading = F.struct((F.col("common") / F.col("n")).alias("share"), (-F.col("rep")).alias("first"), "rep", "n", "common")
+    buckets = keyed.groupBy("key").agg(F.max(leading).alias("m"), F.count(F.lit(1)).alias("members")).where("members > 1")
     buckets = buckets.select("key", F.col("m.rep").alias("a"), F.col("m.n").alias("n_a"), F.col("m.common").alias("common_a"))
     tried = keyed.join(buckets, "key").where((F.col("rep") != F.col("a")) & may_link(F.col("n"), F.col("common"), F.col("n_a"), F.col("common_a"), percent))
     tried = stored(tried.select("a", F.col("rep").alias("b")).distinct(), "pairs")
