@@ -14,6 +14,7 @@ Strings of special tokens are ordinary text.  Only the named columns are read; a
 
 from __future__ import annotations
 
+import os
 import struct
 import zlib
 from collections.abc import Iterator
@@ -31,28 +32,59 @@ MAGIC = b"STIX0001"
 NULL_KEY = np.uint64(0xD1B54A32D192ED03)
 
 
+#: ASCII marks that the vocabulary's rules keep together as one piece and apart from letters; the apostrophe is in rules of its own.
+MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum() and chr(c) != "'")
+
+
 class WordEncoder:
     """Encodes with the tokenizers library, each distinct blank-separated word once: the vocabulary's own rules drop white
-    space and never join across it, so a text's ids are its words' ids in a row.  Ids come as little-endian bytes."""
+    space and never join across it, so a text's ids are its words' ids in a row.  A new word of Latin letters between marks is looked
+    up by its lower-case letters and its marks, which the rules cut apart and lower just so.  Ids come as little-endian bytes.
+
+    Both memos are emptied when full, so a worker's memory has a bound."""
 
-    def __init__(self, path: str, memo_words: int = 300_000):
+    def __init__(self, path: str, memo_words: int = 400_000, memo_parts: int = 600_000):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.memo: dict[str, bytes] = {}
-        self.memo_words = memo_words
+        self.parts: dict[str, bytes] = {}
+        self.memo_words, self.memo_parts = memo_words, memo_parts
+
+    @staticmethod
+    def cut(word: str) -> tuple[str, ...]:
+        """Parts that can be encoded apart, or the word itself."""
+        tail = word.lstrip(MARKS)
+        core = tail.rstrip(MARKS)
+        if not core or not core.isalpha() or not (core.isascii() or (max(core) < "\u0250" and "\u0130" not in core)):
+            return (word,)
+        head, rest = word[: len(word) - len(tail)], tail[len(core) :]
+        return tuple(x for x in (head, core.lower(), rest) if x)
+
+    def _learn(self, fresh: set[str]) -> None:
+        if len(self.parts) > self.memo_parts:
+            self.parts = {}
+        cut = {w: self.cut(w) for w in fresh}
+        new = list({p for parts in cut.values() for p in parts} - self.parts.keys())
+        kind = "H" if self.dtype.itemsize == 2 else "I"
+        for start in range(0, len(new), 20_000):
+            some = new[start : start + 20_000]
+            for part, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                ids = e.ids
+                self.parts[part] = struct.pack(f"<{len(ids)}{kind}", *ids)
+        for word, parts in cut.items():
+            self.memo[word] = self.parts[parts[0]] if len(parts) == 1 else b"".join(map(self.parts.__getitem__, parts))
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
         if len(self.memo) > self.memo_words:
             self.memo = {}
         split = [t.replace("\n", " ").split(" ") for t in texts]
-        fresh = list({w for words in split for w in words} - self.memo.keys())
-        for start in range(0, len(fresh), 20_000):
-            part = fresh[start : start + 20_000]
-            for word, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.memo[word] = np.array(e.ids, self.dtype).tobytes()
+        fresh = set().union(*split) - self.memo.keys()
+        if fresh:
+            self._learn(fresh)
         for words in split:
             yield b"".join(map(self.memo.__getitem__, words))
 

@@ -313,6 +313,23 @@ def test_op9_store(docs):
     assert token_store.lookup(rows, 55555) is None
 
 
+def test_op9_words_are_the_library(spark):
+    """Every Latin letter between marks, and random text: the memo's cuts change no id."""
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(q.WORD_BPE)
+    t.encode_special_tokens = True
+    own = token_store.WordEncoder(q.WORD_BPE, memo_words=50, memo_parts=50)
+    rnd = random.Random(6)
+    texts = [f"{m}{chr(c)}{chr(c)}x{m}, A{chr(c)}" for c in range(1, 0x300) for m in ("", "$$", "'")]
+    pool = [*"abcXYZÉßσΣİ0٣'`.!?<|>_-\u0301\u00a0\u2003\t\n ", "'s", "'LL", "<|endoftext|>", "ﬁ", "Å"]
+    texts += ["".join(rnd.choice(pool) for _ in range(rnd.randint(0, 40))) for _ in range(2000)]
+    for start in range(0, len(texts), 100):
+        some = texts[start : start + 100]
+        for x, raw in zip(some, own.encode(some), strict=True):
+            assert np.frombuffer(raw, own.dtype).tolist() == t.encode(x, add_special_tokens=False).ids, x
+
+
 def test_op9_minimal_perfect_hash():
     for n in (1, 2, 7, 1000, 20_000):
         h = token_store.key_hashes(np.arange(n) * 3, np.zeros(n, bool), np.zeros(n, np.uint32), 0)
