@@ -163,6 +163,26 @@ def may_link(n: Column, common: Column, n2: Column, common2: Column, percent: in
     return most * 100 >= (n + n2 - most) * percent
 
 
+def across_components(halves: DataFrame, found: DataFrame, percent: int) -> DataFrame:
+    """(a, b): all pairs that meet in some table and whose classes are in different components, each once.
+
+    To meet in a table is to share a half of the first collection and one of the second.  So the join is on halves of the first,
+    a pair counts at its first shared half only, and the second collection is a filter: a pair is one row, however many tables hold it."""
+    lists = halves.groupBy("rep", "n", "common").agg(
+        F.array_sort(F.collect_list(F.when(F.col("place") < HALVES, F.struct("place", "half")))).alias("first"), F.collect_list(F.when(F.col("place") >= HALVES, F.col("half"))).alias("second")
+    )
+    named = lists.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    earlier = lambda i: F.transform(F.slice("first", 1, i), lambda x: x["half"])
+    rows = named.select("rep", "n", "common", "component", "second", "first", F.posexplode(F.transform("first", lambda x: x["half"])).alias("at", "half"))
+    rows = stored(rows.select("rep", "n", "common", "component", "second", "half", earlier(F.col("at")).alias("earlier")), "across")
+    open_ = rows.groupBy("half").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("half")
+    left = rows.join(open_, "half")
+    right = left.select("half", *(F.col(c).alias(f"{c}2") for c in ("rep", "n", "common", "component", "second", "earlier")))
+    once = ~F.arrays_overlap("earlier", "earlier2") & F.arrays_overlap("second", "second2")
+    met = left.join(right, "half").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & once)
+    return met.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b"))
+
+
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept): a row for each row of docs."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))
@@ -191,13 +211,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     tried = stored(tried.select("a", F.col("rep").alias("b")).distinct(), "pairs")
     links = stored(confirmed(tried, sets, percent), "links")
     found = connected_components(links)
-    placed = keyed.join(found.withColumnRenamed("id", "rep"), "rep", "left").select("key", "rep", "n", "common", F.coalesce("component", "rep").alias("component"))
-    placed = stored(placed, "placed")
-    open_ = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key")
-    across = placed.join(open_, "key")
-    other = across.select("key", *(F.col(c).alias(f"{c}2") for c in ("rep", "n", "common", "component")))
-    more = across.join(other, "key").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent))
-    more = more.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
+    more = across_components(live, found, percent).join(tried, ["a", "b"], "left_anti")
     more = stored(more, "pairs")
     if not more.isEmpty():
         late = stored(confirmed(more, sets, percent), "links")
