@@ -21,6 +21,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -32,18 +33,20 @@ MAGIC = b"STIX0001"
 NULL_KEY = np.uint64(0xD1B54A32D192ED03)
 
 
-#: ASCII marks that the vocabulary's rules keep together as one piece and apart from letters; the apostrophe is in rules of its own.
-MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum() and chr(c) != "'")
+#: Texts of ASCII without apostrophes and control characters and of Latin letters: in them the vocabulary's rules keep runs of marks apart from letters and
+#: digits, and lower each letter by itself, so both can be done before words are numbered.
+PLAIN = "^[\\t-\\r -&(-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f]*$"
+MARKS = r"([!-&(-/:-@\[-`{-~]+)"
 
 
 class WordEncoder:
     """Encodes with the tokenizers library, each distinct blank-separated word once: the vocabulary's own rules drop white
-    space and never join across it, so a text's ids are its words' ids in a row.  A new word of Latin letters between marks is looked
-    up by its lower-case letters and its marks, which the rules cut apart and lower just so.  Ids come as little-endian bytes.
+    space and never join across it, so a text's ids are its words' ids in a row.  Arrow splits and numbers the words, Python sees
+    each distinct word of a group of texts once, and ids are gathered by number.
 
-    Both memos are emptied when full, so a worker's memory has a bound."""
+    The memo is emptied when full, so a worker's memory has a bound.  Ids come as little-endian bytes."""
 
-    def __init__(self, path: str, memo_words: int = 400_000, memo_parts: int = 600_000):
+    def __init__(self, path: str, memo_words: int = 700_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
         from tokenizers import Tokenizer
 
@@ -51,42 +54,39 @@ class WordEncoder:
         self.tokenizer.encode_special_tokens = True
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.memo: dict[str, bytes] = {}
-        self.parts: dict[str, bytes] = {}
-        self.memo_words, self.memo_parts = memo_words, memo_parts
-
-    @staticmethod
-    def cut(word: str) -> tuple[str, ...]:
-        """Parts that can be encoded apart, or the word itself."""
-        tail = word.lstrip(MARKS)
-        core = tail.rstrip(MARKS)
-        if not core or not core.isalpha() or not (core.isascii() or (max(core) < "\u0250" and "\u0130" not in core)):
-            return (word,)
-        head, rest = word[: len(word) - len(tail)], tail[len(core) :]
-        return tuple(x for x in (head, core.lower(), rest) if x)
-
-    def _learn(self, fresh: set[str]) -> None:
-        if len(self.parts) > self.memo_parts:
-            self.parts = {}
-        cut = {w: self.cut(w) for w in fresh}
-        new = list({p for parts in cut.values() for p in parts} - self.parts.keys())
+        self.memo_words = memo_words
+
+    def _learn(self, fresh: list[str]) -> None:
         kind = "H" if self.dtype.itemsize == 2 else "I"
-        for start in range(0, len(new), 20_000):
-            some = new[start : start + 20_000]
-            for part, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
+        for start in range(0, len(fresh), 20_000):
+            some = fresh[start : start + 20_000]
+            for word, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
                 ids = e.ids
-                self.parts[part] = struct.pack(f"<{len(ids)}{kind}", *ids)
-        for word, parts in cut.items():
-            self.memo[word] = self.parts[parts[0]] if len(parts) == 1 else b"".join(map(self.parts.__getitem__, parts))
+                self.memo[word] = struct.pack(f"<{len(ids)}{kind}", *ids)
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
         if len(self.memo) > self.memo_words:
             self.memo = {}
-        split = [t.replace("\n", " ").split(" ") for t in texts]
-        fresh = set().union(*split) - self.memo.keys()
-        if fresh:
+        raw = pa.array(texts, pa.large_string())
+        plain = pc.match_substring_regex(raw, PLAIN)
+        if pc.any(plain).as_py():
+            eased = pc.replace_substring_regex(pc.utf8_lower(pc.if_else(plain, raw, "")), MARKS, r" \1 ")
+            raw = pc.if_else(plain, eased, raw)
+        words = pc.ascii_split_whitespace(raw)
+        numbered = words.values.dictionary_encode()
+        distinct, which = numbered.dictionary.to_pylist(), numbered.indices.to_numpy()
+        if fresh := [w for w in distinct if w not in self.memo]:
             self._learn(fresh)
-        for words in split:
-            yield b"".join(map(self.memo.__getitem__, words))
+        held = [self.memo[w] for w in distinct]
+        lens = np.fromiter(map(len, held), np.int64, len(held)) // self.dtype.itemsize
+        flat = np.frombuffer(b"".join(held), self.dtype)
+        shift = (np.cumsum(lens) - lens)[which]
+        lens = lens[which]
+        ends = np.concatenate([[0], np.cumsum(lens)])
+        shift -= ends[:-1]
+        cuts = words.offsets.to_numpy()
+        for low, high in zip(cuts, cuts[1:], strict=False):
+            yield flat[np.repeat(shift[low:high], lens[low:high]) + np.arange(ends[low], ends[high])].tobytes()
 
 
 _encoders: dict[str, WordEncoder] = {}
@@ -224,7 +224,7 @@ def write_shards(docs: DataFrame, tokenizer_path: str, end_id: int = 1, shard_by
 
         for batch in batches:
             ids = batch.column(0).to_pylist()
-            for start, texts in text_groups(batch, 1):
+            for start, texts in text_groups(batch, 1, 4 << 20):
                 for key, raw in zip(ids[start:], own.encode(texts)):
                     keys.append(key), lengths.append(len(raw) // own.dtype.itemsize + 1), payload.append(raw + end)
                     size += len(raw) + own.dtype.itemsize
