@@ -8,7 +8,7 @@ A pair that meets in a table shares a half in both collections, so documents wit
 2. Of classes that share a half in both collections the full sets are made.  Shingles that only one of these sets has are in no
    intersection, so their number bounds a set's similarity to any other: sets that cannot reach the threshold drop out.
 3. The rest gets table keys; classes that meet in a table are candidates.  A bucket's members are first compared with its leader only, the class with
-   the largest share of shingles that others have, and what that links is joined to components.
+   the largest share of shingles that others have, then with a member drawn by hash; what that links is joined to components.
 4. Buckets whose members are still in several components are compared across these components, so nothing that meets in a table is
    left unchecked; pairs inside one component need no check, as they cannot change it.
 All candidates are confirmed on the full sets, in integers: 100 * common >= percent * union.
@@ -131,13 +131,13 @@ def full_sets(candidates: DataFrame, docs: DataFrame, width: int, repeats: bool)
     return stored(sets.select("id", "items"), "sets")
 
 
-def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough."""
+def measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """pairs (a, b) with the distance of their full sets, and whether they link."""
     joined = pairs.join(sets.select(F.col("id").alias("b"), F.col("items").alias("items_b")).hint("merge"), "b")
     joined = joined.join(sets.select(F.col("id").alias("a"), F.col("items").alias("items_a")).hint("merge"), "a")
     common = F.size(F.array_intersect("items_a", "items_b")).cast("long")
     union = F.size("items_a") + F.size("items_b") - common
-    return joined.where(common * 100 >= union * percent).select("a", "b")
+    return joined.select("a", "b", (1 - common / union).alias("distance"), (common * 100 >= union * percent).alias("linked"))
 
 
 def shared_halves(halves: DataFrame) -> DataFrame:
@@ -163,23 +163,46 @@ def may_link(n: Column, common: Column, n2: Column, common2: Column, percent: in
     return most * 100 >= (n + n2 - most) * percent
 
 
-def across_components(halves: DataFrame, found: DataFrame, percent: int) -> DataFrame:
+def in_components(rows: DataFrame, found: DataFrame) -> DataFrame:
+    """rows with the component of rep, which is rep itself where nothing links."""
+    return rows.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+
+
+def led_pairs(keyed: DataFrame, leading: Column, percent: int) -> DataFrame:
+    """(a, b), a < b: in every bucket its leader, the maximum of `leading`, with each member of another component."""
+    keyed = keyed.select("key", "rep", "n", "common", "component")
+    leaders = keyed.groupBy("key").agg(F.max(leading).alias("m"), F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
+    leaders = leaders.select("key", F.col("m.rep").alias("lead"), F.col("m.n").alias("n2"), F.col("m.common").alias("common2"), F.col("m.component").alias("component2"))
+    met = keyed.join(leaders, "key").where((F.col("component") != F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent))
+    return met.select(F.least("rep", "lead").alias("a"), F.greatest("rep", "lead").alias("b")).distinct()
+
+
+def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, percent: int) -> DataFrame:
     """(a, b): all pairs that meet in some table and whose classes are in different components, each once.
 
     To meet in a table is to share a half of the first collection and one of the second.  So the join is on halves of the first,
-    a pair counts at its first shared half only, and the second collection is a filter: a pair is one row, however many tables hold it."""
+    a pair counts at its first shared half only, and the second collection is a filter: a pair is one row, however many tables hold it.
+    Distances obey the triangle inequality, so two sets whose measured distances to a third differ by too much are left out."""
     lists = halves.groupBy("rep", "n", "common").agg(
         F.array_sort(F.collect_list(F.when(F.col("place") < HALVES, F.struct("place", "half")))).alias("first"), F.collect_list(F.when(F.col("place") >= HALVES, F.col("half"))).alias("second")
     )
-    named = lists.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    # each class's measured third is the one that most classes were measured against
+    ends = tried.select(F.inline(F.array(F.struct(F.col("a").alias("pivot"), F.col("b").alias("rep"), "distance"), F.struct(F.col("b").alias("pivot"), F.col("a").alias("rep"), "distance"))))
+    used = ends.groupBy("pivot").agg(F.count(F.lit(1)).alias("uses"))
+    itself = used.select("pivot", F.col("pivot").alias("rep"), F.lit(0.0).alias("distance"), "uses")
+    pivots = ends.join(used, "pivot").select("pivot", "rep", "distance", "uses").unionByName(itself)
+    pivots = pivots.groupBy("rep").agg(F.max(F.struct("uses", "pivot", "distance")).alias("p")).select("rep", F.col("p.pivot").alias("pivot"), F.col("p.distance").alias("distance"))
+    named = in_components(lists, found).join(pivots, "rep", "left")
+    own = ["rep", "n", "common", "component", "second", "pivot", "distance"]
     earlier = lambda i: F.transform(F.slice("first", 1, i), lambda x: x["half"])
-    rows = named.select("rep", "n", "common", "component", "second", "first", F.posexplode(F.transform("first", lambda x: x["half"])).alias("at", "half"))
-    rows = stored(rows.select("rep", "n", "common", "component", "second", "half", earlier(F.col("at")).alias("earlier")), "across")
+    rows = named.select(*own, "first", F.posexplode(F.transform("first", lambda x: x["half"])).alias("at", "half"))
+    rows = stored(rows.select(*own, "half", earlier(F.col("at")).alias("earlier")), "across")
     open_ = rows.groupBy("half").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("half")
     left = rows.join(open_, "half")
-    right = left.select("half", *(F.col(c).alias(f"{c}2") for c in ("rep", "n", "common", "component", "second", "earlier")))
+    right = left.select("half", *(F.col(c).alias(f"{c}2") for c in (*own, "earlier")))
     once = ~F.arrays_overlap("earlier", "earlier2") & F.arrays_overlap("second", "second2")
-    met = left.join(right, "half").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & once)
+    far = F.coalesce((F.col("pivot") == F.col("pivot2")) & (F.abs(F.col("distance") - F.col("distance2")) > 1 - percent / 100 + 1e-9), F.lit(False))
+    met = left.join(right, "half").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & ~far & once)
     return met.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b"))
 
 
@@ -204,19 +227,19 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     keyed = stored(table_keys(live), "keys")
 
     # a bucket is led by the class with the largest share of items that others have: the version the others were made from
-    leading = F.struct((F.col("common") / F.col("n")).alias("share"), (-F.col("rep")).alias("first"), "rep", "n", "common")
-    buckets = keyed.groupBy("key").agg(F.max(leading).alias("m"), F.count(F.lit(1)).alias("members")).where("members > 1")
-    buckets = buckets.select("key", F.col("m.rep").alias("a"), F.col("m.n").alias("n_a"), F.col("m.common").alias("common_a"))
-    tried = keyed.join(buckets, "key").where((F.col("rep") != F.col("a")) & may_link(F.col("n"), F.col("common"), F.col("n_a"), F.col("common_a"), percent))
-    tried = stored(tried.select("a", F.col("rep").alias("b")).distinct(), "pairs")
-    links = stored(confirmed(tried, sets, percent), "links")
-    found = connected_components(links)
-    more = across_components(live, found, percent).join(tried, ["a", "b"], "left_anti")
-    more = stored(more, "pairs")
+    leading = F.struct((F.col("common") / F.col("n")).alias("share"), (-F.col("rep")).alias("first"), "rep", "n", "common", "component")
+    tried = stored(measured(led_pairs(keyed.withColumn("component", F.col("rep")), leading, percent), sets, percent), "measured")
+    found = connected_components(tried.where("linked").select("a", "b"))
+    # then, in buckets of several components, by any member: what has a near version of its own finds it there
+    leading = F.struct(F.xxhash64("key", "rep").alias("by"), "rep", "n", "common", "component")
+    more = led_pairs(in_components(keyed, found), leading, percent).join(tried.select("a", "b"), ["a", "b"], "left_anti")
+    tried = stored(tried.unionByName(measured(more, sets, percent)), "measured")
+    found = connected_components(tried.where("linked").select("a", "b"))
+    more = stored(across_components(live, found, tried, percent).join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
     if not more.isEmpty():
-        late = stored(confirmed(more, sets, percent), "links")
+        late = stored(measured(more, sets, percent).where("linked").select("a", "b"), "links")
         if not late.isEmpty():
-            found = connected_components(links.unionByName(late))
+            found = connected_components(tried.where("linked").select("a", "b").unionByName(late))
 
     members = filled.select("doc_id", "set_a", "set_b").join(classes.select("set_a", "set_b", "rep"), ["set_a", "set_b"]).select("doc_id", "rep")
     named = members.join(found.withColumnRenamed("id", "rep"), "rep", "left").select("doc_id", F.coalesce("component", "rep").alias("component"))
