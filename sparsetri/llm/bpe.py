@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 import regex
 
-from .common import arrow_rows
+from .common import arrow_rows, claim_cache
 
 LONG = 1024
 NONE = np.int32(2**31 - 1)
@@ -206,6 +206,7 @@ _codecs: dict[tuple[str, str], Codec] = {}
 
 def codec(path: str, pattern: str) -> Codec:
     """One for each worker process."""
+    claim_cache("bpe", _codecs.clear)
     if (path, pattern) not in _codecs:
         _codecs[path, pattern] = Codec(path, pattern)
     return _codecs[path, pattern]

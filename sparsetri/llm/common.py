@@ -93,3 +93,16 @@ def arrow_rows(schema: pa.Schema, flush_rows: int = 2048, flush_bytes: int = 8 <
         return [make()] if rows else []
 
     return add, rest
+
+
+_caches: dict[str, Callable[[], None]] = {}
+
+
+def claim_cache(owner: str, clear: Callable[[], None]) -> None:
+    """Called by a task that is going to fill a worker-wide memo: memos of other operators in this worker go first, as workers
+    live on from stage to stage."""
+    for name, drop in _caches.items():
+        if name != owner:
+            drop()
+    _caches[owner] = clear
+    pa.default_memory_pool().release_unused()

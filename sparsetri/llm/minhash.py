@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, stored
+from .common import arrow_rows, claim_cache, stored
 from .components import connected_components
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -99,6 +99,7 @@ PROFILE_DDL = "doc_id long, n_shingles long, set_a long, set_b long, halves arra
 
 
 def _profile(width: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    claim_cache("minhash", _words.clear)
     add, rest = arrow_rows(PROFILE)
     for batch in batches:
         for key, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -111,7 +112,8 @@ def _profile(width: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Recor
 
 def _sets(width: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("id", pa.int64()), ("set_a", pa.int64()), ("set_b", pa.int64()), ("items", pa.list_(pa.int64()))])
-    add, rest = arrow_rows(schema)
+    claim_cache("minhash", _words.clear)
+    add, rest = arrow_rows(schema, flush_bytes=4 << 20)
     for batch in batches:
         for key, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
             sh = shingles(text.as_py(), width)

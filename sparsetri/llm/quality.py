@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_rows
+from .common import arrow_rows, claim_cache
 
 BITS = 18
 SIZE = 1 << BITS
@@ -171,6 +171,7 @@ def score(docs: DataFrame, model: Model, name: str = "score") -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(model)  # three arrays of fixed size
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim_cache("quality", lambda: None)
         make = Indicators()
         for batch in batches:
             for start in range(0, batch.num_rows, 1024):

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import text_groups
-from .common import arrow_rows, attempt_name, filesystem, new_folder, stored, write_atomically
+from .common import arrow_rows, attempt_name, claim_cache, filesystem, new_folder, stored, write_atomically
 
 MAGIC = b"STIX0001"
 NULL_KEY = np.uint64(0xD1B54A32D192ED03)
@@ -111,6 +111,7 @@ _encoders: dict[str, WordEncoder] = {}
 
 
 def encoder(path: str) -> WordEncoder:
+    claim_cache("words", _encoders.clear)
     if path not in _encoders:
         _encoders[path] = WordEncoder(path)
     return _encoders[path]
