@@ -38,6 +38,7 @@ from .components import connected_components
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 SIDES, HALVES, PER_HALF = 2, 10, 2
+PARITY_WORDS = 16
 
 
 class _Words(dict):
@@ -71,6 +72,13 @@ def shingles(text: str | None, width: int) -> np.ndarray:
     return np.unique(_mixed(out))
 
 
+def parities(sh: np.ndarray) -> np.ndarray:
+    """Whether each of the 64 * PARITY_WORDS cells holds an odd number of items.  Items that two sets share cancel out, so the
+    cells in which two sets differ are never more than the items that only one of them has."""
+    odd = np.bincount((sh >> np.uint64(32)).astype(np.int64) % (64 * PARITY_WORDS), minlength=64 * PARITY_WORDS) & 1
+    return np.packbits(odd.astype(np.uint8)).view(np.int64)
+
+
 def set_hash(sh: np.ndarray) -> list[int]:
     return np.frombuffer(xxhash.xxh3_128_digest(sh.tobytes()), np.int64).tolist()
 
@@ -111,26 +119,26 @@ def _profile(width: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Recor
 
 
 def _sets(width: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    schema = pa.schema([("id", pa.int64()), ("set_a", pa.int64()), ("set_b", pa.int64()), ("items", pa.list_(pa.int64()))])
+    schema = pa.schema([("id", pa.int64()), ("set_a", pa.int64()), ("set_b", pa.int64()), ("items", pa.list_(pa.int64())), ("odd", pa.list_(pa.int64()))])
     claim_cache("minhash", _words.clear)
     add, rest = arrow_rows(schema, flush_bytes=4 << 20)
     for batch in batches:
         for key, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
             sh = shingles(text.as_py(), width)
-            if (full := add((key, *set_hash(sh), sh.view(np.int64)), 8 * len(sh))) is not None:
+            if (full := add((key, *set_hash(sh), sh.view(np.int64), parities(sh)), 8 * (len(sh) + PARITY_WORDS))) is not None:
                 yield full
     yield from rest()
 
 
 def full_sets(candidates: DataFrame, docs: DataFrame, width: int, repeats: bool) -> DataFrame:
-    """(id, items) of the candidate classes.  Sets are made again from texts, which is cheaper than storing the sets of
+    """(id, items, odd) of the candidate classes.  Sets are made again from texts, which is cheaper than storing the sets of
     all; the join is always a merge join, so that the plan does not change with the number of candidates."""
     needed = candidates.select(F.col("rep").alias("id")).hint("merge")
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(needed, "id", "left_semi")
-    sets = texts.mapInArrow(partial(_sets, width), "id long, set_a long, set_b long, items array<long>")
+    sets = texts.mapInArrow(partial(_sets, width), "id long, set_a long, set_b long, items array<long>, odd array<long>")
     if repeats:
-        sets = sets.where("size(items) > 0").groupBy("id").agg(F.min(F.struct("set_a", "set_b", "items")).alias("s")).select("id", "s.items")
-    return stored(sets.select("id", "items"), "sets")
+        sets = sets.where("size(items) > 0").groupBy("id").agg(F.min(F.struct("set_a", "set_b", "items", "odd")).alias("s")).select("id", "s.items", "s.odd")
+    return stored(sets.select("id", "items", "odd"), "sets")
 
 
 def measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -165,6 +173,13 @@ def may_link(n: Column, common: Column, n2: Column, common2: Column, percent: in
     return most * 100 >= (n + n2 - most) * percent
 
 
+def cells_link(n: Column, n2: Column, words: list[tuple[Column, Column]], percent: int) -> Column:
+    """Whether two sets can be similar enough, if they differ in at least as many items as parity cells."""
+    apart = sum((F.bit_count(x.bitwiseXOR(y)) for x, y in words), F.lit(0))
+    most = F.floor((n + n2 - apart) / 2)
+    return most * 100 >= (n + n2 - most) * percent
+
+
 def in_components(rows: DataFrame, found: DataFrame) -> DataFrame:
     """rows with the component of rep, which is rep itself where nothing links."""
     return rows.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
@@ -179,12 +194,13 @@ def led_pairs(keyed: DataFrame, leading: Column, percent: int) -> DataFrame:
     return met.select(F.least("rep", "lead").alias("a"), F.greatest("rep", "lead").alias("b")).distinct()
 
 
-def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, percent: int) -> DataFrame:
+def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """(a, b): all pairs that meet in some table and whose classes are in different components, each once.
 
     To meet in a table is to share a half of the first collection and one of the second.  So the join is on halves of the first,
     a pair counts at its first shared half only, and the second collection is a filter: a pair is one row, however many tables hold it.
-    Distances obey the triangle inequality, so two sets whose measured distances to a third differ by too much are left out."""
+    Distances obey the triangle inequality, so two sets whose measured distances to a third differ by too much are left out,
+    and so are sets whose parity cells differ in too many places.  Both are bounds: they leave out no pair that links."""
     lists = halves.groupBy("rep", "n", "common").agg(
         F.array_sort(F.collect_list(F.when(F.col("place") < HALVES, F.struct("place", "half")))).alias("first"), F.collect_list(F.when(F.col("place") >= HALVES, F.col("half"))).alias("second")
     )
@@ -200,11 +216,14 @@ def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, per
     rows = named.select(*own, "first", F.posexplode(F.transform("first", lambda x: x["half"])).alias("at", "half"))
     rows = stored(rows.select(*own, "half", earlier(F.col("at")).alias("earlier")), "across")
     open_ = rows.groupBy("half").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("half")
-    left = rows.join(open_, "half")
-    right = left.select("half", *(F.col(c).alias(f"{c}2") for c in (*own, "earlier")))
+    odd = [f"odd_{k}_" for k in range(PARITY_WORDS)]
+    cells = sets.select(F.col("id").alias("rep"), *(F.col("odd")[k].alias(c) for k, c in enumerate(odd)))
+    left = stored(rows.join(open_, "half").join(cells.hint("merge"), "rep"), "open")
+    right = left.select("half", *(F.col(c).alias(f"{c}2") for c in (*own, *odd, "earlier")))
+    near = cells_link(F.col("n"), F.col("n2"), [(F.col(c), F.col(f"{c}2")) for c in odd], percent)
     once = ~F.arrays_overlap("earlier", "earlier2") & F.arrays_overlap("second", "second2")
     far = F.coalesce((F.col("pivot") == F.col("pivot2")) & (F.abs(F.col("distance") - F.col("distance2")) > 1 - percent / 100 + 1e-9), F.lit(False))
-    met = left.join(right, "half").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & ~far & once)
+    met = left.join(right, "half").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & ~far & near & once)
     return met.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b"))
 
 
@@ -237,7 +256,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     more = led_pairs(in_components(keyed, found), leading, percent).join(tried.select("a", "b"), ["a", "b"], "left_anti")
     tried = stored(tried.unionByName(measured(more, sets, percent)), "measured")
     found = connected_components(tried.where("linked").select("a", "b"))
-    more = stored(across_components(live, found, tried, percent).join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
+    more = stored(across_components(live, found, tried, sets, percent).join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
     if not more.isEmpty():
         late = stored(measured(more, sets, percent).where("linked").select("a", "b"), "links")
         if not late.isEmpty():

@@ -400,3 +400,14 @@ def test_components_of_chains_and_stars(spark):
     edges = [(k, k + 1) for k in range(200)] + [(1000, 1000 + k) for k in range(1, 300)] + [(5, 5)]
     got = {r.id: r.component for r in components.connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {k: 0 for k in range(201)} | {1000 + k: 1000 for k in range(300)}
+
+
+def test_op10_parity_cells_never_exclude_a_link():
+    rnd = np.random.default_rng(4)
+    for n in (1, 30, 300, 5000):
+        for changed in {0, 1, n // 10, n // 3}:
+            pool = rnd.integers(0, 2**63, n + changed, np.uint64)
+            a, b = pool[:n], pool[changed : n + changed]
+            cells = sum(bin(x ^ y).count("1") for x, y in zip(*((minhash.parities(s).astype(object) & (2**64 - 1)).tolist() for s in (a, b)), strict=True))
+            assert cells <= len(set(a.tolist()) ^ set(b.tolist()))
+            assert cells >= min(changed, 60) and cells % 2 == 0
