@@ -2,8 +2,9 @@
 
 A neighbour graph inside each label starts from random-hyperplane leaves and is refined by joins of neighbours of neighbours: around
 every vector its nearest and reverse neighbours are compared with each other, and what improves a list enters it.  Lists hold `K`
-entries; one that is full of links is saturated, and is enlarged to the whole component its links lead to, which is compared in tiles.
-So every link inside a component is found and counted, and the only thing that can be missed is a component's other half: an
+entries; one that is full of links is saturated and may hide others.  Inside a component all links are found and counted, in tiles.  A
+link between components is in the list of its end that is not saturated; where both ends are, it is found by comparing all saturated
+vectors of a label with one another, in tiles too.  So the only thing that can be missed is what the descent did not come upon: an
 audit compares a fixed number of sampled vectors with all others, and new leaves and another descent follow until its recall is met.
 
 Equal vectors are one node with a multiplicity, so copies are never compared with one another.  Leaves are split by hash when a
@@ -21,7 +22,7 @@ from functools import partial
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import stored
@@ -172,7 +173,7 @@ def descend(nodes: DataFrame, lists: DataFrame) -> DataFrame:
     return shortened(lists.select("v", "u", "cos").unionByName(found), K)
 
 
-TILE, MOST_BLOCKS, MOST_ROWS = 32, 64, 8192
+TILE, MOST_BLOCKS, MOST_ROWS, ACROSS = 32, 64, 8192, 2048
 
 
 def _tile(threshold: float, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -191,17 +192,40 @@ def _tile(threshold: float, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Re
         yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(n.astype(np.int64))], names=["node", "links"])
 
 
-def links_inside(members: DataFrame, threshold: float) -> DataFrame:
-    """members: component, node, copies, unit.  (node, links): copies of other nodes of the component that link with it."""
-    sizes = members.groupBy("component").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    block = F.greatest(F.lit(TILE), F.least(F.lit(MOST_ROWS), F.ceil(F.col("size") / MOST_BLOCKS)))
-    cut = members.join(sizes.select("component", F.ceil(F.col("size") / block).cast("long").alias("blocks")), "component")
+def tiled(members: DataFrame, key: list[str], block: Column) -> DataFrame:
+    """Each pair of blocks of the nodes of one key is a tile; `block` is the rows of a block, by `size`."""
+    sizes = members.groupBy(*key).agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    cut = members.join(sizes.select(*key, F.ceil(F.col("size") / block).cast("long").alias("blocks")), key)
     cut = cut.withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")))
     tiles = cut.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     side = F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1)
-    named = F.concat_ws("|", F.col("component"), F.least("own", "other"), F.greatest("own", "other"))
-    found = _dealt(tiles.select(named.alias("tile"), "node", "copies", side.alias("side"), "unit"), "tile").mapInArrow(partial(_tile, threshold), "node long, links long")
-    return found.groupBy("node").agg(F.sum("links").alias("links"))
+    named = F.concat_ws("|", *key, F.least("own", "other"), F.greatest("own", "other"))
+    return tiles.withColumn("tile", named).withColumn("side", side)
+
+
+def links_inside(members: DataFrame, threshold: float) -> DataFrame:
+    """members: component, node, copies, unit.  (node, links): copies of other nodes of the component that link with it."""
+    block = F.greatest(F.lit(TILE), F.least(F.lit(MOST_ROWS), F.ceil(F.col("size") / MOST_BLOCKS)))
+    tiles = tiled(members, ["component"], block).select("tile", "node", "copies", "side", "unit")
+    return _dealt(tiles, "tile").mapInArrow(partial(_tile, threshold), "node long, links long").groupBy("node").agg(F.sum("links").alias("links"))
+
+
+def _across(threshold: float, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The pairs of components that links between the two blocks of a tile join."""
+    for t in grouped(batches):
+        component, side, x = column(t, "component"), column(t, "side"), matrix(t)
+        if (component == component[0]).all():
+            continue
+        a, b = (np.flatnonzero(side != 1), np.flatnonzero(side != 0))
+        i, j = np.nonzero((x[a] @ x[b].T >= threshold) & (component[a][:, None] != component[b]))
+        pairs = np.unique(np.sort(np.stack([component[a[i]], component[b[j]]], axis=1), axis=1), axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+
+
+def links_across(members: DataFrame, threshold: float) -> DataFrame:
+    """members: label, dim, component, node, unit.  (a, b): components that a link between any two of the members joins."""
+    tiles = tiled(members, ["label", "dim"], F.lit(ACROSS)).select("tile", "component", "side", "unit")
+    return _dealt(tiles, "tile").mapInArrow(partial(_across, threshold), "a long, b long").distinct()
 
 
 def audit(members: DataFrame, threshold: float, sample: int = AUDIT) -> tuple[int, int]:
@@ -233,6 +257,12 @@ def audit(members: DataFrame, threshold: float, sample: int = AUDIT) -> tuple[in
     return int(got[0]), int(got[1])
 
 
+def joined(nodes: DataFrame, links: DataFrame) -> DataFrame:
+    """The nodes with their components."""
+    found = connected_components(links)
+    return stored(nodes.join(found.withColumnRenamed("id", "node"), "node", "left").withColumn("component", F.coalesce("component", "node")), "placed")
+
+
 def near_vectors(rows: DataFrame, threshold: float = 0.93, recall: float = 0.999, most_rounds: int = 5, descents: int = 2) -> DataFrame:
     """(vec_id, n_links, component_id, kept): a row for each row of `rows`."""
     rows = rows.select("vec_id", "label", "embedding")
@@ -249,8 +279,11 @@ def near_vectors(rows: DataFrame, threshold: float = 0.93, recall: float = 0.999
             lists = stored(descend(nodes, lists), "lists")
         new = lists.where(F.col("cos") >= threshold).select(F.col("v").alias("a"), F.col("u").alias("b"))
         links = stored(new if links is None else links.unionByName(new), "links")
-        found = connected_components(links)
-        placed = stored(nodes.join(found.withColumnRenamed("id", "node"), "node", "left").withColumn("component", F.coalesce("component", "node")), "placed")
+        placed = joined(nodes, links)
+        saturated = links.groupBy(F.col("a").alias("node")).agg(F.countDistinct("b").alias("n")).where(F.col("n") >= K).select("node")
+        bridges = stored(links_across(placed.join(saturated, "node"), threshold), "bridges")
+        if not bridges.isEmpty():
+            placed = joined(nodes, links.unionByName(bridges))
         got, whole = audit(placed, threshold)
         if got >= recall * whole:
             break

@@ -231,6 +231,25 @@ def test_op6_recall_on_table(spark):
     assert whole > 300 and sum(got.values()) >= 0.99 * whole and all(got[i] <= len(x) for i, x in links.items())
 
 
+def test_op6_saturated_groups(spark):
+    """Two dense groups: every vector has far more than a list's length of nearer neighbours, and weaker links join the groups."""
+    rng = np.random.default_rng(6)
+    centres = np.zeros((2, 32))
+    centres[0, 0], centres[1, :2] = 1, (0.92, np.sqrt(1 - 0.92**2))
+    vectors = {}
+    for i in range(300):
+        noise = rng.standard_normal(32)
+        v = centres[i % 2] + 0.1 * noise / np.sqrt(noise @ noise)
+        vectors[i] = (v / np.sqrt(v @ v)).astype(np.float32).astype(float)
+    links = _links(vectors, dict.fromkeys(vectors, 0))
+    cross = {i: sum((i - j) % 2 for j in x) for i, x in links.items()}
+    assert sum(cross.values()) > 20 and all(len(x) - cross[i] > 100 for i, x in links.items())
+    nearest = {i: sorted(links[i], key=lambda j, v=v: -(v @ vectors[j]))[: nn_descent.K] for i, v in vectors.items()}
+    assert all((i - j) % 2 == 0 for i, x in nearest.items() for j in x)
+    got = nn_descent.near_vectors(spark.createDataFrame([(i, v.tolist(), 0) for i, v in vectors.items()], "vec_id long, embedding array<float>, label int")).collect()
+    assert {r.vec_id: r.n_links for r in got} == {i: len(x) for i, x in links.items()} and {r.component_id for r in got} == {0}
+
+
 def test_op7_is_tiktoken(docs):
     import tiktoken
 
