@@ -4,8 +4,10 @@ A neighbour graph inside each label starts from random-hyperplane leaves and is
 every vector its nearest and reverse neighbours are compared with each other, and what improves a list enters it.  Lists hold `K`
 entries; one that is full of links is saturated and may hide others.  Inside a component all links are found and counted, in tiles.  A
 link between components is in the list of its end that is not saturated; where both ends are, it is found by comparing all saturated
-vectors of a label with one another, in tiles too.  So the only thing that can be missed is what the descent did not come upon: an
-audit compares a fixed number of sampled vectors with all others, and new leaves and another descent follow until its recall is met.
+vectors of a label with one another, in tiles too.  So the only thing that can be missed is what the descent did not come upon.  New
+leaves and another descent follow until a round joins no more components and an audit meets the recall: sampled vectors are compared with
+all others, and the sample grows until enough of it have a link.  Rounds grow with the largest label.  Where links are too rare to be
+audited, or rounds run out, all vectors of a label are compared in tiles: exact, and quadratic in a label.
 
 Equal vectors are one node with a multiplicity, so copies are never compared with one another.  Leaves are split by hash when a
 cluster falls into one, tiles are small blocks of a component, and lists are bounded, so that no task holds an unbounded group.
@@ -17,6 +19,8 @@ vector) stands for it.  A null vec_id is its own, with a null component.  Only v
 
 from __future__ import annotations
 
+import math
+from collections import defaultdict
 from collections.abc import Iterator
 from functools import partial
 
@@ -28,7 +32,7 @@ from pyspark.sql import functions as F
 from .common import stored
 from .components import connected_components
 
-K, TREES, LEAF, EMIT, AUDIT = 8, 6, 64, 4, 256
+K, TREES, LEAF, EMIT, AUDIT, SEEN, MOST_AUDIT = 8, 6, 64, 4, 256, 100, 16384
 
 
 def units(rows: DataFrame) -> DataFrame:
@@ -228,33 +232,55 @@ def links_across(members: DataFrame, threshold: float) -> DataFrame:
     return _dealt(tiles, "tile").mapInArrow(partial(_across, threshold), "a long, b long").distinct()
 
 
-def audit(members: DataFrame, threshold: float, sample: int = AUDIT) -> tuple[int, int]:
-    """(found, all) links of a bounded sample of nodes against all nodes; members: node, label, component, unit."""
-    queries = members.orderBy(F.xxhash64(F.lit("audit"), "node")).limit(sample).toArrow()
+def audit(members: DataFrame, threshold: float, sample: int = AUDIT) -> tuple[int, int, int, float]:
+    """Of a bounded sample of nodes against all nodes: links found, all links, nodes that have one, and the sum of their found shares;
+    members: node, label, dim, component, unit."""
+    queries = members.orderBy(F.xxhash64(F.lit("audit"), "node")).limit(sample).select("node", "label", "component", "unit").toArrow()
     if not queries.num_rows:
-        return 0, 0
-    own_ids, own_labels, own_components = column(queries, "node"), np.array(queries.column("label").to_pylist()), column(queries, "component")
-    vectors = [np.array(v) for v in queries.column("unit").to_pylist()]
+        return 0, 0, 0, 0.0
+    own_ids, own_components, vectors = column(queries, "node"), column(queries, "component"), queries.column("unit").combine_chunks()
+    alike = defaultdict(list)
+    for i, (label, n) in enumerate(zip(queries.column("label").to_pylist(), vectors.value_lengths().to_pylist(), strict=True)):
+        alike[n, label].append(i)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        found = whole = 0
+        found, whole = np.zeros(len(own_ids), np.int64), np.zeros(len(own_ids), np.int64)
         for b in batches:
             t = pa.Table.from_batches([b])
-            ids, labels, components, dims = column(t, "node"), np.array(t.column("label").to_pylist()), column(t, "component"), column(t, "dim")
-            units_ = t.column("unit").combine_chunks()
-            for dim in np.unique(dims):
-                where = np.flatnonzero(dims == dim)
-                mine = [i for i, v in enumerate(vectors) if len(v) == dim]
-                if not mine:
-                    continue
+            ids, components, units_ = column(t, "node"), column(t, "component"), t.column("unit").combine_chunks()
+            here = defaultdict(list)
+            for i, key in enumerate(zip(column(t, "dim").tolist(), t.column("label").to_pylist(), strict=True)):
+                here[key].append(i)
+            for key, rows in here.items():
+                where = np.array(rows)
                 x = units_.take(pa.array(where)).flatten().to_numpy(zero_copy_only=False).reshape(len(where), -1)
-                link = (np.stack([vectors[i] for i in mine]) @ x.T >= threshold) & (own_labels[mine][:, None] == labels[where]) & (own_ids[mine][:, None] != ids[where])
-                whole += int(link.sum())
-                found += int((link & (own_components[mine][:, None] == components[where])).sum())
-        yield pa.RecordBatch.from_arrays([pa.array([found]), pa.array([whole])], names=["found", "whole"])
-
-    got = members.select("node", "label", "dim", "component", "unit").mapInArrow(run, "found long, whole long").agg(F.coalesce(F.sum("found"), F.lit(0)), F.coalesce(F.sum("whole"), F.lit(0))).first()
-    return int(got[0]), int(got[1])
+                for low in range(0, len(alike.get(key, ())), AUDIT):
+                    mine = np.array(alike[key][low : low + AUDIT])
+                    q = vectors.take(pa.array(mine)).flatten().to_numpy(zero_copy_only=False).reshape(len(mine), -1)
+                    link = (q @ x.T >= threshold) & (own_ids[mine][:, None] != ids[where])
+                    whole[mine] += link.sum(axis=1)
+                    found[mine] += (link & (own_components[mine][:, None] == components[where])).sum(axis=1)
+        has = np.flatnonzero(whole)
+        yield pa.RecordBatch.from_arrays([pa.array(own_ids[has]), pa.array(found[has]), pa.array(whole[has])], names=["q", "found", "whole"])
+
+    each = members.select("node", "label", "dim", "component", "unit").mapInArrow(run, "q long, found long, whole long").groupBy("q").agg(F.sum("found").alias("found"), F.sum("whole").alias("whole"))
+    got = each.agg(F.sum("found"), F.sum("whole"), F.count(F.lit(1)), F.sum(F.col("found") / F.col("whole"))).first()
+    return int(got[0] or 0), int(got[1] or 0), int(got[2]), float(got[3] or 0)
+
+
+def recall_met(members: DataFrame, n: int, threshold: float, recall: float) -> bool | None:
+    """Whether the links of a sample, and its nodes on average, are found.  The sample grows until SEEN of its nodes have a link or it is the
+    whole table; None if MOST_AUDIT nodes are too few for that."""
+    sample = AUDIT
+    while True:
+        got, whole, linked, shares = audit(members, threshold, sample)
+        if got < recall * whole or shares < recall * linked:
+            return False
+        if linked >= SEEN or sample >= n:
+            return True
+        if sample >= MOST_AUDIT:
+            return None
+        sample *= 4
 
 
 def joined(nodes: DataFrame, links: DataFrame) -> DataFrame:
@@ -272,21 +298,29 @@ def near_vectors(rows: DataFrame, threshold: float = 0.93, recall: float = 0.999
         able = stored(able.groupBy("vec_id").agg(F.min(F.struct("label", "dim", "unit", "h", "h2")).alias("s")).select("vec_id", "s.*"), "units")
     nodes = able.groupBy("label", "dim", "h", "h2").agg(F.min(F.struct("vec_id", "unit")).alias("s"), F.count(F.lit(1)).alias("copies"))
     nodes = stored(nodes.select(F.col("s.vec_id").alias("node"), "label", "dim", "h", "h2", "copies", F.col("s.unit").alias("unit")), "nodes")
-    links, placed = None, None
-    for turn in range(most_rounds):
+    n, largest = nodes.count(), nodes.groupBy("label", "dim").count().agg(F.max("count")).first()[0] or 1
+    links, placed, apart, settled = None, None, n, False
+    for turn in range(most_rounds + max(0, math.ceil(math.log2(largest / LEAF)))):
         lists = stored(shortened(leaf_lists(nodes, turn), K), "lists")
         for _ in range(descents):
             lists = stored(descend(nodes, lists), "lists")
         new = lists.where(F.col("cos") >= threshold).select(F.col("v").alias("a"), F.col("u").alias("b"))
-        links = stored(new if links is None else links.unionByName(new), "links")
+        links = stored(new if links is None else links.unionByName(new).distinct(), "links")
         placed = joined(nodes, links)
         saturated = links.groupBy(F.col("a").alias("node")).agg(F.countDistinct("b").alias("n")).where(F.col("n") >= K).select("node")
         bridges = stored(links_across(placed.join(saturated, "node"), threshold), "bridges")
         if not bridges.isEmpty():
             placed = joined(nodes, links.unionByName(bridges))
-        got, whole = audit(placed, threshold)
-        if got >= recall * whole:
+        before, apart = apart, placed.where("node = component").count()
+        met = recall_met(placed, n, threshold, recall) if turn == 0 or before == apart else False
+        settled = bool(met) and before == apart
+        if settled or met is None:
             break
+    if not settled:
+        # links too rare to be audited, or rounds that ran out: all nodes of a label are compared
+        rest = stored(links_across(placed, threshold), "bridges")
+        if not rest.isEmpty():
+            placed = joined(nodes, placed.where("node <> component").select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(rest))
     counted = links_inside(placed.select("component", "node", "copies", "unit"), threshold)
     named = placed.join(counted, "node", "left").select("label", "dim", "h", "h2", "component", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("links"))
     each = able.select("vec_id", "label", "dim", "h", "h2").join(named, ["label", "dim", "h", "h2"]).select(F.col("vec_id").alias("id"), "links", "component")

@@ -6,6 +6,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pandas as pd
 import public_tokenizers as pt
 import pyarrow.parquet as pq
 import pytest
@@ -250,6 +251,20 @@ def test_op6_saturated_groups(spark):
     assert {r.vec_id: r.n_links for r in got} == {i: len(x) for i, x in links.items()} and {r.component_id for r in got} == {0}
 
 
+def test_op6_rare_links(spark):
+    """One label of random vectors; few have a partner, just above the threshold."""
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((20_000, 64))
+    x /= np.sqrt((x * x).sum(axis=1))[:, None]
+    for k in range(300):
+        side = rng.standard_normal(64)
+        side -= side @ x[k] * x[k]
+        cos = rng.uniform(0.931, 0.95)
+        x[10_000 + k] = cos * x[k] + np.sqrt(1 - cos**2) * side / np.sqrt(side @ side)
+    got = nn_descent.near_vectors(spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(len(x)), "embedding": x.tolist(), "label": 0}))).where("n_links > 0").collect()
+    assert sum(r.n_links for r in got) >= 0.999 * 600
+
+
 def test_op7_is_tiktoken(docs):
     import tiktoken
 
