@@ -353,9 +353,15 @@ best AS (SELECT a, b, c, min(o) AS o FROM allowed GROUP BY ALL),
 own AS (SELECT a, b, c, CASE WHEN o.s <= {kappa / (2 * eps)} THEN o.u END AS owner_u, CASE WHEN o.s <= {kappa / (2 * eps)} THEN o.v END AS owner_v FROM best)"""
 
 
-def _assigned(spark, sf, v, eps):
+def _bounded(spark, sf, v):
+    """A view's edges, an upper bound of its degeneracy (h-index values only fall, to the cores) and its triangles, all of the graph at hand."""
     e = view(spark, sf, v)
-    kappa, t = KNOWN[v]
+    kappa = degeneracy.cores_by_hindex(e).agg(F.coalesce(F.max("core"), F.lit(0))).first()[0]
+    return e, int(kappa), exact.triangles(e).count()
+
+
+def _assigned(bounded, eps):
+    e, kappa, t = bounded
     return assign.assign_exact(e, kappa, eps, t, e.count())
 
 
@@ -363,7 +369,7 @@ for _v in ("g_geo", "g_book", "g_docs"):
 
     @query(f"assignment_exact_{_v[2:]}", f"{_exact_sql(_v, 0.5)} SELECT a, b, c, owner_u, owner_v FROM own")
     def _(spark, sf, v=_v):
-        return _assigned(spark, sf, v, 0.5)
+        return _assigned(_bounded(spark, sf, v), 0.5)
 
 
 QUALITY = [(v, eps) for v in ("g_geo", "g_book", "g_docs") for eps in (0.1, 0.5, 1.0)]
@@ -372,7 +378,8 @@ QUALITY = [(v, eps) for v in ("g_geo", "g_book", "g_docs") for eps in (0.1, 0.5,
 @query("assignment_quality", " UNION ALL ".join(f"""SELECT '{v}' AS view, {eps}::DOUBLE AS eps, * FROM ({_exact_sql(v, eps)}, per AS (SELECT count(*) AS n FROM own WHERE owner_u IS NOT NULL GROUP BY owner_u, owner_v)
 SELECT (SELECT count(*) FROM own) AS triangles, coalesce(sum(n), 0)::BIGINT AS assigned, coalesce(max(n), 0) AS max_assigned, coalesce(sum(n * n), 0)::BIGINT AS sum_squares FROM per)""" for v, eps in QUALITY))
 def _(spark, sf):
-    return union([assign.quality(_assigned(spark, sf, v, eps)).select(F.lit(v).alias("view"), F.lit(eps).alias("eps"), "*") for v, eps in QUALITY])
+    bounded = {v: _bounded(spark, sf, v) for v in dict.fromkeys(v for v, _ in QUALITY)}
+    return union([assign.quality(_assigned(bounded[v], eps)).select(F.lit(v).alias("view"), F.lit(eps).alias("eps"), "*") for v, eps in QUALITY])
 
 
 def _marked(kind: str, v: str, eps: float) -> tuple[str, str]:

@@ -4,7 +4,9 @@ import itertools
 import math
 
 import pytest
+from pyspark.sql import functions as F
 
+from sparsetri import queries
 from sparsetri.operators import assign, baselines, degeneracy, estimators, exact, sampling
 from sparsetri.plans.ledger import SpaceBudgetExceeded, SpaceGuard
 from sparsetri.plans.params import SamplePlan, plan_from_rse, plan_theory, predicted_rse
@@ -106,3 +108,11 @@ def test_plans():
     assert plan_from_rse(3000, 1501, 3, 1500, 9000, 1500, 0.1).ell >= 4
     with pytest.raises(ValueError):
         plan_theory(10, 10, 1, 1, 0.5)
+
+
+def test_assignment_takes_its_bounds_from_the_graph(spark, monkeypatch):
+    """A complete graph of 40 has degeneracy 39, above that of the small table's view: every triangle still gets an owner."""
+    clique = spark.range(40).select(F.col("id").alias("u")).crossJoin(spark.range(40).select(F.col("id").alias("v"))).where("u < v")
+    monkeypatch.setitem(queries.VIEWS, "g_docs", lambda *_: clique)
+    got = queries.QUERIES["assignment_exact_docs"](spark, "")
+    assert got.count() == 9880 and got.where("owner_u IS NULL").count() == 0
