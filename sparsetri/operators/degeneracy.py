@@ -47,7 +47,7 @@ def peel_batch(edges: DataFrame, eta: float = 0.5) -> int:
 
 
 def cores_by_hindex(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
-    """Core numbers (v, core): every vertex takes the h-index of its neighbours' values until nothing moves."""
+    """Core numbers (v, core): every vertex takes the h-index of its neighbours' values until nothing moves; after most_rounds, peeling gives them."""
     half = stored(half_edges(edges), "hindex-edges")
     value = stored(half.groupBy("x").agg(F.count(F.lit(1)).alias("h")), "hindex")
     for _ in range(most_rounds):
@@ -60,8 +60,8 @@ def cores_by_hindex(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
         moved = not new.where("h != next").isEmpty()
         value = new.select("x", F.col("next").alias("h"))
         if not moved:
-            break
-    return value.select(F.col("x").alias("v"), F.col("h").alias("core"))
+            return value.select(F.col("x").alias("v"), F.col("h").alias("core"))
+    return peel(edges)[1]
 
 
 def forward_degree_bound(edges: DataFrame, order: DataFrame) -> DataFrame:

@@ -116,3 +116,9 @@ def test_assignment_takes_its_bounds_from_the_graph(spark, monkeypatch):
     monkeypatch.setitem(queries.VIEWS, "g_docs", lambda *_: clique)
     got = queries.QUERIES["assignment_exact_docs"](spark, "")
     assert got.count() == 9880 and got.where("owner_u IS NULL").count() == 0
+
+
+def test_hindex_finishes_long_chains(spark):
+    """A value moves one hop a round: with fewer rounds than half the chain, peeling has to finish the work."""
+    chain = spark.range(40).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
+    assert {r.core for r in degeneracy.cores_by_hindex(chain, most_rounds=2).collect()} == {1}
