@@ -1,4 +1,5 @@
-"""The registry: every method, baseline, measure, workload and relational operator as a query, with DuckDB SQL for the same rows."""
+"""The registry: methods, baselines, measures, workloads and relational operators as queries, with DuckDB SQL for the same rows; the README
+lists what is not built."""
 
 from __future__ import annotations
 
