@@ -21,8 +21,17 @@ def folder(spark: SparkSession, what: str) -> str:
     return f"{shared_root(spark)}/sparsetri/{what}-{uuid.uuid4().hex}"
 
 
+def gone_at_end(spark: SparkSession, uri: str) -> None:
+    """The folder, which must exist, is deleted when the driver's JVM ends, by Hadoop and so in any store that Spark can write to."""
+    jvm = spark.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(uri)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(path)
+
+
 def stored(df: DataFrame, what: str) -> DataFrame:
-    """Lineage ends in Parquet files: later passes scan them, and a lost executor costs a re-read."""
-    uri = folder(df.sparkSession, what)
-    df.write.parquet(uri)
-    return df.sparkSession.read.schema(df.schema).parquet(uri)
+    """Lineage ends in Parquet files: later passes scan them, and a lost executor costs a re-read of files, not a re-run of what made them."""
+    spark = df.sparkSession
+    uri = folder(spark, what)
+    df.write.option("compression", "zstd").parquet(uri)
+    gone_at_end(spark, uri)
+    return spark.read.schema(df.schema).parquet(uri)
