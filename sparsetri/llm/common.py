@@ -1,15 +1,16 @@
-"""Shared ground of the operators: tables, the folder that all executors see, and written intermediate tables."""
+"""Shared ground of the operators: tables, files in the folder that all executors see, and row buffers.  Written tables are the engine's."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..plans.store import folder, gone_at_end, stored
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,41 +18,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a temporary one is set only where the session names none."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not root:
-        root = f"file://{tempfile.mkdtemp(prefix='checkpoints-')}"
-        spark.sparkContext.setCheckpointDir(root)
-    return root.rstrip("/")
-
-
-def _remove(uri: str) -> None:
-    try:
-        fs, path = pafs.FileSystem.from_uri(uri)
-        fs.delete_dir(path)
-    except OSError:
-        pass
-
-
 def new_folder(spark: SparkSession, what: str) -> str:
     """A fresh folder under the shared root; it goes when the driver ends."""
-    uri = f"{shared_root(spark)}/sparsetri/{what}-{uuid.uuid4().hex}"
-    atexit.register(_remove, uri)
+    uri = folder(spark, what)
+    jvm = spark.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(uri)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).mkdirs(path)
+    gone_at_end(spark, uri)
     return uri
 
 
-def stored(df: DataFrame, what: str) -> DataFrame:
-    """Writes df as a Parquet table in the shared folder and reads it again: lineage ends here, and a lost
-    executor costs a re-read of files, not a re-run of what made them."""
-    spark = df.sparkSession
-    uri = new_folder(spark, what)
-    df.write.option("compression", "zstd").parquet(uri)
-    return spark.read.schema(df.schema).parquet(uri)
+def parts_for(df: DataFrame, total: str, bytes_each: int) -> int:
+    """How many tasks a table's work asks for: its summed `total` (bytes, of a short written table) over bytes_each, but no fewer than cores
+    while there are rows for them.  A stated number is not merged by adaptive execution, which sees only the short rows."""
+    n, whole = df.agg(F.count(F.lit(1)), F.coalesce(F.sum(total), F.lit(0))).first()
+    return max(1, min(n, max(df.sparkSession.sparkContext.defaultParallelism, -(-int(whole) // bytes_each))))
 
 
 def filesystem(uri: str) -> tuple[pafs.FileSystem, str]:
-    return pafs.FileSystem.from_uri(uri)
+    """Arrow's view of a folder or file.  It knows file, hdfs, viewfs, s3, gs and abfs addresses; Hadoop's s3a and s3n are its s3, gcs its gs."""
+    scheme, mark, rest = uri.partition("://")
+    return pafs.FileSystem.from_uri({"s3a": "s3", "s3n": "s3", "gcs": "gs"}.get(scheme, scheme) + mark + rest)
 
 
 def write_atomically(folder: str, name: str, chunks: Iterator[bytes]) -> str:
