@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, attempt_name, filesystem, new_folder, stored, write_atomically
+from .common import arrow_rows, attempt_name, filesystem, new_folder, parts_for, stored, write_atomically
 
 INDEX = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64()), ("file", pa.string()), ("offset", pa.int64()), ("length", pa.int64())])
 INDEX_DDL = "page_id long, url string, digest string, record_type string, refers_to long, file string, offset long, length long"
@@ -107,8 +107,10 @@ def write_archives(pages: DataFrame, min_revisit_bytes: int = 1000, max_bytes: i
         named.where((F.col("bytes") >= min_revisit_bytes) & F.col("page_id").isNotNull()).groupBy(F.col("digest").alias("d"), F.col("bytes").alias("b"))
         .agg(F.max("page_id").alias("keeper"), F.min("page_id").alias("least")).where(F.col("least") < F.col("keeper")).select("d", "b", "keeper")
     )
-    placed = named.join(repeated, (F.col("digest") == F.col("d")) & (F.col("bytes") == F.col("b")), "left")
-    placed = placed.select("page_id", "url", "html", "digest", F.when(F.col("page_id") != F.col("keeper"), F.col("keeper")).alias("refers_to"))
+    # ids and digests look for their response; html meets the answer by page, so that a page copied very often is no hot key of whole pages
+    copies = named.select("page_id", "digest", "bytes").where(F.col("bytes") >= min_revisit_bytes).join(repeated, (F.col("digest") == F.col("d")) & (F.col("bytes") == F.col("b")))
+    refers = copies.where(F.col("page_id") != F.col("keeper")).select(F.col("page_id").alias("p"), "d", F.col("keeper").alias("refers_to")).distinct()
+    placed = named.join(refers, (F.col("page_id") == F.col("p")) & (F.col("digest") == F.col("d")), "left").select("page_id", "url", "html", "digest", "refers_to")
     folder = new_folder(pages.sparkSession, "warc")
     return stored(placed.mapInArrow(partial(_write, folder, max_bytes), INDEX_DDL), "warc-index")
 
@@ -160,8 +162,9 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def read_records(index: DataFrame) -> DataFrame:
     """The records that `index` (any selection of index rows) lists, with payloads; a revisit's payload is null.
 
-    The rows are dealt out by place, so that each task reads runs of neighbouring records, however large one archive is."""
-    return index.select("file", "offset", "length").repartitionByRange("file", "offset").sortWithinPartitions("file", "offset").mapInArrow(_read, RECORD_DDL)
+    The rows are dealt out by place, so that each task reads runs of neighbouring records, however large one archive is; the number
+    of tasks follows the bytes to read, not the short index rows."""
+    return index.select("file", "offset", "length").repartitionByRange(parts_for(index, "length", 32 << 20), "file", "offset").sortWithinPartitions("file", "offset").mapInArrow(_read, RECORD_DDL)
 
 
 def resolve_revisits(records: DataFrame) -> DataFrame:
