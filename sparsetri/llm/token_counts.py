@@ -7,7 +7,8 @@ tells every block how many documents ended before it and how many ids of an open
 
 Defined results: an empty file has no documents.  Ids after the last separator are a document without end and are
 reported with ended = false.  Bytes that do not fill an id are an error.  A null text is an empty document, with a count of 0.
-Repeated rows are documents of their own, and null doc_ids come first.
+Repeated rows are documents of their own, and a null doc_id is noted as it is.  Only doc_id and text are read, so other columns may have any
+name; an empty table makes no file.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import text_groups
-from .common import arrow_rows, attempt_name, filesystem, new_folder, stored, write_atomically
+from .common import arrow_rows, attempt_name, filesystem, new_folder, parts_for, stored, write_atomically
 from .token_store import encoder
 
 FILES_DDL = "file string, bytes long, doc_ids array<long>"
@@ -93,7 +94,8 @@ def scan(blocked: DataFrame, end_id: int, width: int = 2) -> DataFrame:
                     yield full
         yield from rest()
 
-    return blocked.repartition(F.xxhash64("file", "block")).mapInArrow(run, SCAN_DDL)
+    parts = parts_for(blocked.select((F.col("high") - F.col("low")).alias("bytes")), "bytes", 64 << 20)
+    return blocked.repartition(parts, F.xxhash64("file", "block")).mapInArrow(run, SCAN_DDL)
 
 
 def stitch(scanned: DataFrame) -> DataFrame:
