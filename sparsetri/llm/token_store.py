@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import text_groups
-from .common import arrow_rows, attempt_name, claim_cache, filesystem, new_folder, stored, write_atomically
+from .common import arrow_rows, attempt_name, claim_cache, filesystem, new_folder, parts_for, stored, write_atomically
 
 MAGIC = b"STIX0001"
 NULL_KEY = np.uint64(0xD1B54A32D192ED03)
@@ -212,6 +212,22 @@ class ShardIndex:
             at += parts[-1].nbytes
         return cls(width, seed, *parts)
 
+    @classmethod
+    def find_one(cls, f, key: int, null: bool, nth: int) -> tuple[int, int, int] | None:
+        """(width, offset, length) of one key from an open index file: head, one displacement and one entry are read, whatever its size."""
+        head = f.read_at(32, 0)
+        if head[:8] != MAGIC:
+            raise ValueError("not an index")
+        width, seed, n, m = struct.unpack_from("<IIQQ", head, 8)
+        if not n:
+            return None
+        h = key_hashes(np.array([key], np.int64), np.array([null]), np.array([nth]), seed)
+        at = 32 + n * (8 + 1 + 4)
+        d = np.frombuffer(f.read_at(4, at + 4 * int(h[0] % np.uint64(m))), "<i4").astype(np.int64)
+        slot = -int(d[0]) - 1 if d[0] < 0 else int(_slots(h, d, n)[0])
+        e = np.frombuffer(f.read_at(ENTRY.itemsize, at + 4 * m + ENTRY.itemsize * slot), ENTRY)[0]
+        return (width, int(e["offset"]), int(e["length"])) if e["fingerprint"] == _mixed(h ^ np.uint64(0x5851F42D4C957F2D))[0] else None
+
     def find(self, keys: np.ndarray, nulls: np.ndarray, nth: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(present, offset, length) of each key, in constant time each."""
         if not len(self.keys):
@@ -287,20 +303,27 @@ def read_shards(manifest: DataFrame) -> DataFrame:
                             yield full
         yield from rest()
 
-    return placed.repartition("spread").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    # shards are some megabytes each: tasks are counted by ids, as the manifest's own rows are too short to tell
+    return placed.repartition(parts_for(manifest, "n_ids", 32 << 20), "spread").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def lookup(manifest_rows: list, doc_id: int | None, nth: int = 0) -> np.ndarray | None:
-    """One document's ids by keyed access; manifest_rows are the manifest's rows of shards that may hold the id."""
-    for row in manifest_rows:
+    """The ids of the n-th document with this id by keyed access: three short reads of an index and one of its payload.  manifest_rows are
+    the manifest's rows of shards that may hold the id; shards are in order of ids, so that their least and largest leave one or, at a
+    border, two.  Where an id goes on in a next shard, its documents there are counted on."""
+    for row in sorted(manifest_rows, key=lambda r: (r["partition"], r["part"])):
         if doc_id is not None and (row["largest"] is None or not ((row["least"] is None or row["least"] <= doc_id) and doc_id <= row["largest"])):
             continue
         fs, path = filesystem(row["index"])
         with fs.open_input_file(path) as f:
-            own = ShardIndex.from_bytes(f.read())
-        found, offset, length = own.find(np.array([doc_id or 0]), np.array([doc_id is None]), np.array([nth]))
-        if found[0]:
+            one = lambda k, f=f: ShardIndex.find_one(f, doc_id or 0, doc_id is None, k)
+            found, here = one(nth), 0
+            while not found and one(here):
+                here += 1
+        if found:
+            width, offset, length = found
             fs, path = filesystem(row["payload"])
             with fs.open_input_file(path) as f:
-                return np.frombuffer(f.read_at(int(length[0]) * own.width, int(offset[0])), f"<u{own.width}")
+                return np.frombuffer(f.read_at(length * width, offset), f"<u{width}")
+        nth -= here
     return None
