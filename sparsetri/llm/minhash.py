@@ -39,6 +39,8 @@ from .components import connected_components
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 SIDES, HALVES, PER_HALF = 2, 10, 2
 PARITY_WORDS = 16
+#: Classes of one half in a block.
+BLOCK = 256
 
 
 class _Words(dict):
@@ -152,7 +154,8 @@ def measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def shared_halves(halves: DataFrame) -> DataFrame:
     """Halves that another class has too, of classes that have such halves in both collections."""
-    shared = halves.groupBy("half").agg(F.count(F.lit(1)).alias("holders")).where("holders > 1").select("half")
+    # counts are written first: a join of two tables can be split at hot keys, a join with an aggregate beneath it can not
+    shared = stored(halves.groupBy("half").agg(F.count(F.lit(1)).alias("holders")).where("holders > 1").select("half"), "shared")
     kept = halves.join(shared, "half")
     both = kept.groupBy("rep").agg(F.min("place").alias("low"), F.max("place").alias("high")).where((F.col("low") < HALVES) & (F.col("high") >= HALVES)).select("rep")
     return stored(kept.join(both, "rep"), "halves")
@@ -189,7 +192,7 @@ def led_pairs(keyed: DataFrame, leading: Column, percent: int) -> DataFrame:
     """(a, b), a < b: in every bucket its leader, the maximum of `leading`, with each member of another component."""
     keyed = keyed.select("key", "rep", "n", "common", "component")
     leaders = keyed.groupBy("key").agg(F.max(leading).alias("m"), F.min("component").alias("low"), F.max("component").alias("high")).where("low < high")
-    leaders = leaders.select("key", F.col("m.rep").alias("lead"), F.col("m.n").alias("n2"), F.col("m.common").alias("common2"), F.col("m.component").alias("component2"))
+    leaders = stored(leaders.select("key", F.col("m.rep").alias("lead"), F.col("m.n").alias("n2"), F.col("m.common").alias("common2"), F.col("m.component").alias("component2")), "leaders")
     met = keyed.join(leaders, "key").where((F.col("component") != F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent))
     return met.select(F.least("rep", "lead").alias("a"), F.greatest("rep", "lead").alias("b")).distinct()
 
@@ -199,6 +202,7 @@ def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, set
 
     To meet in a table is to share a half of the first collection and one of the second.  So the join is on halves of the first,
     a pair counts at its first shared half only, and the second collection is a filter: a pair is one row, however many tables hold it.
+    Classes of a hot half are dealt to blocks of about BLOCK; each block meets the whole half in a task of its own.
     Distances obey the triangle inequality, so two sets whose measured distances to a third differ by too much are left out,
     and so are sets whose parity cells differ in too many places.  Both are bounds: they leave out no pair that links."""
     lists = halves.groupBy("rep", "n", "common").agg(
@@ -215,15 +219,17 @@ def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, set
     earlier = lambda i: F.transform(F.slice("first", 1, i), lambda x: x["half"])
     rows = named.select(*own, "first", F.posexplode(F.transform("first", lambda x: x["half"])).alias("at", "half"))
     rows = stored(rows.select(*own, "half", earlier(F.col("at")).alias("earlier")), "across")
-    open_ = rows.groupBy("half").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("half")
+    open_ = rows.groupBy("half").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks")).where("low < high").select("half", "blocks")
+    open_ = stored(open_, "open-halves")
     odd = [f"odd_{k}_" for k in range(PARITY_WORDS)]
     cells = sets.select(F.col("id").alias("rep"), *(F.col("odd")[k].alias(c) for k, c in enumerate(odd)))
     left = stored(rows.join(open_, "half").join(cells.hint("merge"), "rep"), "open")
-    right = left.select("half", *(F.col(c).alias(f"{c}2") for c in (*own, *odd, "earlier")))
+    right = left.select("half", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), *(F.col(c).alias(f"{c}2") for c in (*own, *odd, "earlier")))
+    left = left.withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
     near = cells_link(F.col("n"), F.col("n2"), [(F.col(c), F.col(f"{c}2")) for c in odd], percent)
     once = ~F.arrays_overlap("earlier", "earlier2") & F.arrays_overlap("second", "second2")
     far = F.coalesce((F.col("pivot") == F.col("pivot2")) & (F.abs(F.col("distance") - F.col("distance2")) > 1 - percent / 100 + 1e-9), F.lit(False))
-    met = left.join(right, "half").where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & ~far & near & once)
+    met = left.join(right, ["half", "block"]).where((F.col("component") < F.col("component2")) & may_link(F.col("n"), F.col("common"), F.col("n2"), F.col("common2"), percent) & ~far & near & once)
     return met.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b"))
 
 
