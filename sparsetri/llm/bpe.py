@@ -4,15 +4,15 @@ Texts are split by a pattern; the distinct pieces of a batch that are no token t
 have about the same length.  In every round each row looks up the ranks of its neighbouring pairs in a hash table and merges the
 leftmost pair of least rank; finished rows leave the matrix.  Pieces met before keep their ids in a bounded memo.
 
-Defined results: a null text is an empty one, which has no ids.  Special tokens' strings are ordinary text.  Pieces longer than
-`LONG` bytes are merged by a heap over a linked list instead, with the same result: a matrix round costs the whole width.
-Repeated rows repeat; only the named columns are read.
+Rows wider than `WIDE` keep the least rank of each block of entries, so that a round costs a block and not the whole width.
+
+Defined results: a null text is an empty one, which has no ids.  Special tokens' strings are ordinary text.  A null doc_id stays null and
+an empty table gives an empty one.  Repeated rows repeat; only doc_id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
 
 import base64
-import heapq
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,7 +21,7 @@ import regex
 
 from .common import arrow_rows, claim_cache
 
-LONG = 1024
+WIDE, BLOCK = 1024, 256
 NONE = np.int32(2**31 - 1)
 
 
@@ -54,7 +54,6 @@ class PairTable:
             self.values[slot[waiting[mine]]] = value[waiting[mine]]
             waiting = waiting[~mine]
             slot[waiting] = (slot[waiting] + 1) & (1 << self.bits) - 1
-        self.scalar = dict(zip(keys.tolist(), value.tolist(), strict=True))
 
     def _slot(self, keys: np.ndarray) -> np.ndarray:
         return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - self.bits)).astype(np.int64)
@@ -122,25 +121,48 @@ class Codec:
                 ok = (side >= 0) & (side < m.shape[1] - 1)
                 ranks[rows[ok], side[ok]] = self.pairs.ranks(m[rows[ok], side[ok]], m[rows[ok], side[ok] + 1])
 
-    def _merge_long(self, ids: list[int]) -> np.ndarray:
-        """The same merges with a heap of (rank, place) over a doubly linked list: n log n."""
-        n, get = len(ids), self.pairs.scalar.get
-        after, before, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
-        heap = [(r, i) for i in range(n - 1) if (r := get(ids[i] << 32 | ids[i + 1])) is not None]
-        heapq.heapify(heap)
-        while heap:
-            r, i = heapq.heappop(heap)
-            j = after[i] if alive[i] else n
-            if j >= n or get(ids[i] << 32 | ids[j]) != r:
-                continue
-            ids[i], alive[j], after[i] = r, False, after[j]
-            if after[i] < n:
-                before[after[i]] = i
-                if (q := get(r << 32 | ids[after[i]])) is not None:
-                    heapq.heappush(heap, (q, i))
-            if before[i] >= 0 and (q := get(ids[before[i]] << 32 | r)) is not None:
-                heapq.heappush(heap, (q, before[i]))
-        return np.array([x for x, ok in zip(ids, alive, strict=True) if ok], np.int32)
+    def _merge_wide(self, m: np.ndarray, places: np.ndarray, out: list) -> None:
+        """The same rounds for wide rows: ranks stand in blocks with a least rank each, so a round looks at one block a row and leaves dead
+        entries behind, which compaction takes out when half of a row may be dead.  m is as wide as a power of two above BLOCK."""
+        while len(m):
+            n, width = m.shape
+            if width <= 2 * BLOCK:
+                self._merge_matrix(m, places, out)
+                return
+            rows, side = np.arange(n), np.arange(width)
+            ranks = np.full((n, width), NONE, np.int32)
+            ranks[:, :-1] = self.pairs.ranks(m[:, :-1], m[:, 1:])
+            least = ranks.reshape(n, -1, BLOCK).min(axis=2)
+            before, after, live = np.tile(side - 1, (n, 1)), np.tile(side + 1, (n, 1)), m >= 0
+            for _ in range(width // 2):
+                block = least.argmin(axis=1)
+                open_ = least[rows, block] != NONE
+                if not open_.any():
+                    break
+                r, block = rows[open_], block[open_]
+                at = block * BLOCK + ranks.reshape(n, -1, BLOCK)[r, block].argmin(axis=1)
+                gone, new = after[r, at], ranks[r, at]
+                m[r, at], live[r, gone], ranks[r, gone] = new, False, NONE
+                follow = after[r, gone]
+                after[r, at] = follow
+                some = follow < width
+                before[r[some], follow[some]] = at[some]
+                right = np.where(some, m[r, np.minimum(follow, width - 1)], -1)
+                ranks[r, at] = self.pairs.ranks(new, right)
+                lead = before[r, at]
+                some = lead >= 0
+                ranks[r[some], lead[some]] = self.pairs.ranks(m[r[some], lead[some]], new[some])
+                for rr, place in ((r, at), (r, gone), (r[some], lead[some])):
+                    least[rr, place // BLOCK] = ranks.reshape(n, -1, BLOCK)[rr, place // BLOCK].min(axis=1)
+            done = (least == NONE).all(axis=1)
+            for row, ok, place in zip(m[done], live[done], places[done], strict=True):
+                out[place] = row[ok]
+            left = np.flatnonzero(~done)
+            counts = live[left].sum(axis=1)
+            packed = np.full((len(left), max(2 * BLOCK, 1 << int(counts.max(initial=1) - 1).bit_length())), -1, np.int32)
+            for k, i in enumerate(left.tolist()):
+                packed[k, : counts[k]] = m[i][live[i]]
+            m, places = packed, places[left]
 
     def encode_pieces(self, pieces: list[bytes]) -> list[np.ndarray]:
         out: list = [None] * len(pieces)
@@ -148,8 +170,6 @@ class Codec:
         for i, p in enumerate(pieces):
             if (whole := self.rank.get(p)) is not None:
                 out[i] = np.array([whole], np.int32)
-            elif len(p) > LONG:
-                out[i] = self._merge_long(self.byte_ids[np.frombuffer(p, np.uint8)].tolist())
             else:
                 buckets.setdefault(len(p) if len(p) <= 16 else 1 << (len(p) - 1).bit_length(), []).append(i)
         for width, members in buckets.items():
@@ -158,7 +178,8 @@ class Codec:
                 part = np.array(members[start : start + step])
                 raw = np.frombuffer(b"".join(pieces[i].ljust(width, b"\0") for i in part), np.uint8).reshape(-1, width)
                 lens = np.array([len(pieces[i]) for i in part])
-                self._merge_matrix(np.where(np.arange(width) < lens[:, None], self.byte_ids[raw], np.int32(-1)), part, out)
+                merge = self._merge_wide if width > WIDE else self._merge_matrix
+                merge(np.where(np.arange(width) < lens[:, None], self.byte_ids[raw], np.int32(-1)), part, out)
         return out
 
     def encode(self, texts: list[str]) -> Iterator[np.ndarray]:
