@@ -2,9 +2,10 @@
 
 A neighbour graph inside each label starts from random-hyperplane leaves and is refined by joins of neighbours of neighbours: around
 every vector its nearest and reverse neighbours are compared with each other, and what improves a list enters it.  Lists hold `K`
-entries; one that is full of links is saturated and may hide others.  Inside a component all links are found and counted, in tiles.  A
-link between components is in the list of its end that is not saturated; where both ends are, it is found by comparing all saturated
-vectors of a label with one another, in tiles too.  So the only thing that can be missed is what the descent did not come upon.  New
+entries; one that is full of links is saturated and may hide others, so it is enlarged: it takes twice as many, found around its neighbours,
+until it holds something that is no link or has `MOST` entries.  Inside a component all links are found and counted, in tiles.  A
+link between components is in the list of its end that is not saturated; where both ends still are, it is found by comparing all vectors
+that stay saturated in a label with one another, in tiles too.  So the only thing that can be missed is what the descent did not come upon.  New
 leaves and another descent follow until a round joins no more components and an audit meets the recall: sampled vectors are compared with
 all others, and the sample grows until enough of it have a link.  Rounds grow with the largest label.  Where links are too rare to be
 audited, or rounds run out, all vectors of a label are compared in tiles: exact, and quadratic in a label.
@@ -32,7 +33,7 @@ from pyspark.sql import functions as F
 from .common import stored
 from .components import connected_components
 
-K, TREES, LEAF, EMIT, AUDIT, SEEN, MOST_AUDIT = 8, 6, 64, 4, 256, 100, 16384
+K, MOST, TREES, LEAF, EMIT, AUDIT, SEEN, MOST_AUDIT = 8, 64, 6, 64, 4, 256, 100, 16384
 
 
 def units(rows: DataFrame) -> DataFrame:
@@ -112,13 +113,13 @@ def _leaf_join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield from _batched(run())
 
 
-def _local_join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _local_join(emit: int, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Around one vector: its neighbours, each with the similarity that its own list asks for."""
 
     def run():
         for t in grouped(batches):
             if t.num_rows > 1:
-                yield _best(column(t, "u"), matrix(t), EMIT, column(t, "worst"))
+                yield _best(column(t, "u"), matrix(t), emit, column(t, "worst"))
 
     yield from _batched(run())
 
@@ -146,8 +147,9 @@ def _signs(seed: int, trees: int, batches: Iterator[pa.RecordBatch]) -> Iterator
 
 
 def _dealt(df: DataFrame, key: str) -> DataFrame:
-    """Groups of `key` together and in runs; no group is larger than what its maker bounds it by."""
-    return df.repartition(key).sortWithinPartitions(key)
+    """Groups of `key` together and in runs; no group is larger than what its maker bounds it by.  The number of tasks is the session's: merged
+    by their bytes, tasks whose work is the square of a group would be too few."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), key).sortWithinPartitions(key)
 
 
 def leaf_lists(nodes: DataFrame, seed: int) -> DataFrame:
@@ -173,10 +175,29 @@ def descend(nodes: DataFrame, lists: DataFrame) -> DataFrame:
     around = lists.select("v", "u", "cos").unionByName(lists.select(F.col("u").alias("v"), F.col("v").alias("u"), "cos"))
     around = shortened(around, 2 * K).select("v", "u")
     placed = around.join(nodes.select(F.col("node").alias("u"), "unit").join(worst, "u", "left").select("u", "unit", F.coalesce("worst", F.lit(-2.0)).alias("worst")), "u")
-    found = _dealt(placed.select("v", "u", "worst", "unit"), "v").mapInArrow(_local_join, "v long, u long, cos double")
+    found = _dealt(placed.select("v", "u", "worst", "unit"), "v").mapInArrow(partial(_local_join, EMIT), "v long, u long, cos double")
     return shortened(lists.select("v", "u", "cos").unionByName(found), K)
 
 
+def enlarged(nodes: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
+    """lists, of which those that are full of links have been doubled, up to MOST entries, with links found around their neighbours."""
+    size = K
+    while size < MOST:
+        full = stored(lists.where((F.col("place") == size) & (F.col("cos") >= threshold)).select("v"), "full")
+        if full.isEmpty():
+            break
+        around = lists.select("v", "u", "cos").unionByName(lists.select(F.col("u").alias("v"), F.col("v").alias("u"), "cos"))
+        around = shortened(around, 2 * size).select("v", "u")
+        # neighbourhoods with a full list in them; only full lists take what is found, and only links
+        asked = around.join(full.select(F.col("v").alias("u"), F.lit(threshold - 1e-9).alias("worst")), "u", "left")
+        centres = asked.where(F.col("worst").isNotNull()).select("v").distinct()
+        placed = asked.join(centres, "v", "left_semi").join(nodes.select(F.col("node").alias("u"), "unit"), "u")
+        found = _dealt(placed.select("v", "u", F.coalesce("worst", F.lit(2.0)).alias("worst"), "unit"), "v").mapInArrow(partial(_local_join, 2 * size), "v long, u long, cos double")
+        size *= 2
+        lists = stored(shortened(lists.select("v", "u", "cos").unionByName(found), size), "lists")
+    return lists
+
+
 TILE, MOST_BLOCKS, MOST_ROWS, ACROSS = 32, 64, 8192, 2048
 
 
@@ -304,10 +325,11 @@ def near_vectors(rows: DataFrame, threshold: float = 0.93, recall: float = 0.999
         lists = stored(shortened(leaf_lists(nodes, turn), K), "lists")
         for _ in range(descents):
             lists = stored(descend(nodes, lists), "lists")
+        lists = enlarged(nodes, lists, threshold)
         new = lists.where(F.col("cos") >= threshold).select(F.col("v").alias("a"), F.col("u").alias("b"))
         links = stored(new if links is None else links.unionByName(new).distinct(), "links")
         placed = joined(nodes, links)
-        saturated = links.groupBy(F.col("a").alias("node")).agg(F.countDistinct("b").alias("n")).where(F.col("n") >= K).select("node")
+        saturated = lists.where((F.col("place") == MOST) & (F.col("cos") >= threshold)).select(F.col("v").alias("node"))
         bridges = stored(links_across(placed.join(saturated, "node"), threshold), "bridges")
         if not bridges.isEmpty():
             placed = joined(nodes, links.unionByName(bridges))
