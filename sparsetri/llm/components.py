@@ -4,6 +4,9 @@ In each round every vertex names its least neighbour (or itself) as parent, vert
 one vertex vanish; the order is by id first, which ends star-shaped groups in one round, and by a new hash in later rounds, which
 keeps long chains logarithmic.  Minima combine on the map side and the relabelling joins are plain equi-joins, so a vertex with
 very many edges is no hot task.  Every round is a written table.
+
+Defined results: edges with a null end are no edges, repeated and reversed edges are one, an edge of a vertex with itself joins nothing, and
+no edges give an empty table.  Only a and b are read.
 """
 
 from __future__ import annotations

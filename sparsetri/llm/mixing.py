@@ -8,10 +8,12 @@ expressions.
 
 Targets: sources in code point order (null last) weigh 5, 2, 1 and so on in turn and share `share` times all words; no target
 passes `cap` times its source's words, and what is over goes to the others by weight.  The level at which this stops
-has a closed form over sources ordered by words per weight, so one window over the (few) sources gives it.
+has a closed form over sources ordered by words per weight, so one window over the sources gives it: a row of some 50 bytes for each, which
+one task orders; `MOST_SOURCES` bounds it, and more raise an error rather than slow down.
 
 Defined results: a null text has size 0.  Rows without a doc_id are hashed by their text, equal rows share their fate.
-A source without words has target 0.  The source column may hold nulls; these form one source.
+A source without words has target 0.  The source column may hold nulls; these form one source.  An empty table gives an empty one.  Only
+doc_id, text and source are read, so other columns may have any name, and take() passes them through.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ from pyspark.sql import functions as F
 from .common import stored
 
 WORD = r"[^\x20\x09-\x0D]+"
-DIGITS, ROUNDS = 3, 3
+DIGITS, ROUNDS, MOST_SOURCES = 3, 3, 1_000_000
 
 
 def word_count(text: Column) -> Column:
@@ -86,6 +88,8 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.
         .withColumn("left", F.col("target") - F.col("whole") * F.col("source_size")),
         "mix-targets",
     )
+    if (n := targets.count()) > MOST_SOURCES:
+        raise ValueError(f"{n} sources; a mix has at most {MOST_SOURCES}")
     last, prefix = None, 0
     for _ in range(ROUNDS):
         if last is None:

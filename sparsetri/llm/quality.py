@@ -4,13 +4,16 @@ Indicators of byte n-grams (raw text and its letter shapes) are hashed to 2^18 f
 ratio of its smoothed class shares, rows are brought to unit length, and a hinge-loss model is fitted by dual coordinate
 descent; a logistic curve fitted on rows kept aside turns margins into probabilities.
 
-The fit uses at most `max_fit_rows` labelled rows (lowest hashes of their ids, so it is the same sample everywhere);
-this bound is what makes the broadcast of the sample's labels and the collected features bounded.  Scoring covers every
+The fit uses at most `max_fit_rows` labelled rows (lowest hashes of their ids, so it is the same sample everywhere), and of these, in the
+same order, as many as have `max_fit_features` features together (a feature is four bytes on the driver); these two bounds are what makes the
+broadcast of the sample's labels and the collected features bounded.  Scoring covers every
 whole text in one scan without a shuffle.
 
 Defined results: a null text is an empty one; an empty text has no features and gets the curve's value at the bias.
 Labels that are null or not 0/1 are ignored; several labels of one document count each.  Without labels of both classes all
-documents get the smoothed share of label 1.  Repeated rows repeat their score.  Only text decides a score.
+documents get the smoothed share of label 1.  Repeated rows repeat their score, and equal texts have equal scores.  Only text decides a
+score.  A row with a null doc_id is scored like any other, is not held out, and finds no label.  Columns of docs pass through, and one named
+like the score is replaced.  An empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -20,10 +23,10 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, claim_cache
+from .common import arrow_rows, claim_cache, stored
 
 BITS = 18
 SIZE = 1 << BITS
@@ -152,12 +155,16 @@ def _featurize(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield from rest()
 
 
-def fit(docs: DataFrame, labels: DataFrame, max_fit_rows: int = 12000) -> Model:
-    """labels: doc_id, quality.  The bounded sample's features come to the driver; a row has 2^18 at most, most have some hundreds."""
+def fit(docs: DataFrame, labels: DataFrame, max_fit_rows: int = 12000, max_fit_features: int = 48_000_000) -> Model:
+    """labels: doc_id, quality.  The bounded sample's features come to the driver."""
     place = F.xxhash64(F.lit("fit"), "doc_id")
     sample = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isin(0, 1)).select("doc_id", F.col("quality").cast("long").alias("label"), place.alias("place"))
     sample = sample.orderBy("place", "doc_id", "label").limit(max_fit_rows)
-    found = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id").select("place", "label", "text").mapInArrow(_featurize, "place long, label long, features array<int>").toArrow()
+    found = docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id").select("place", "label", "text").mapInArrow(_featurize, "place long, label long, features array<int>")
+    found = stored(found, "fit-features")
+    upto = F.sum(F.size("features")).over(Window.orderBy("place", "label").rowsBetween(Window.unboundedPreceding, 0))  # of max_fit_rows rows at most
+    last = found.select("place", "label", upto.alias("upto")).where(F.col("upto") <= max_fit_features).agg(F.max(F.struct("place", "label")).alias("last")).first()["last"]
+    found = (found if last is None else found.where(F.struct("place", "label") <= F.struct(F.lit(last["place"]).cast("long"), F.lit(last["label"]).cast("long")))).toArrow()
     found = found.sort_by([("place", "ascending"), ("label", "ascending")])
     lists = found.column("features").combine_chunks()
     rows = [x.values.to_numpy(zero_copy_only=False) for x in lists] if len(lists) else []
@@ -188,4 +195,5 @@ def score(docs: DataFrame, model: Model, name: str = "score") -> DataFrame:
 
 
 def held_out(doc_id="doc_id"):
-    return F.crc32(F.col(doc_id).cast("string").cast("binary")) % 4 == 2
+    """Never null: a row without an id is not held out."""
+    return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 4 == 2, F.lit(False))
