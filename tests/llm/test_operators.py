@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import struct
 import zlib
 from collections import Counter, defaultdict
 
@@ -86,15 +87,74 @@ def test_op1_unended_and_odd_files(spark, tmp_path):
         token_counts.token_counts(files.withColumn("bytes", files.bytes - 1), 9).collect()
 
 
-def test_op2_round_trip(docs):
-    got = telephony.media_digest(telephony.store_media(docs)).collect()
-    want = Counter()
+def _ima(raw, block):
+    """Sample by sample."""
+    out = []
+    for start in range(0, len(raw), block):
+        b = raw[start : start + block]
+        value, index = int.from_bytes(b[:2], "little", signed=True), b[2]
+        out.append(value)
+        for byte in b[4:]:
+            for code in (byte & 15, byte >> 4):
+                step = int(telephony.IMA_STEPS[index])
+                change = (step >> 3) + (step >> 2) * (code & 1) + (step >> 1) * (code >> 1 & 1) + step * (code >> 2 & 1)
+                value = max(-32768, min(32767, value - change if code & 8 else value + change))
+                index = max(0, min(88, index + [-1, -1, -1, -1, 2, 4, 6, 8][code & 7]))
+                out.append(value)
+    return out
+
+
+def _companded(byte, codec):
+    """One sample by the rules of the two laws."""
+    if codec == 7:
+        code = byte ^ 0xFF
+        size = (((code & 15) * 8 + 132) << (code >> 4 & 7)) - 132
+        return -size if code & 128 else size
+    code = byte ^ 0x55
+    segment, size = code >> 4 & 7, (code & 15) * 16 + 8
+    size = size if segment == 0 else (size + 256) << (segment - 1)
+    return size if code & 128 else -size
+
+
+@pytest.mark.parametrize("to", [4000, 16000])
+def test_op2_round_trip(docs, to):
+    got = telephony.media_digest(telephony.store_media(docs), to).collect()
+    want, codecs = Counter(), Counter()
     for i, t, _ in awkward():
         own = (t or "").encode()
         padded = own + b"\0" * (-len(own) % 64 if own else 64)
-        want[i, len(own), len(padded), hashlib.sha256(padded).hexdigest(), zlib.crc32(padded[-64:])] += 1
-    assert Counter((r.doc_id, r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) for r in got) == want
-    assert all(r.media_bytes == 58 + r.payload_bytes for r in got)
+        codec = telephony.dealt_codec(padded)
+        codecs[codec] += 1
+        if codec == 17:
+            data = b"".join(b"\0" * 4 + padded[k : k + 64] for k in range(0, len(padded), 64))
+            pcm = _ima(data, 68)
+            fmt = (17, 1, 8000, 8000 * 68, 68, 4, 0)
+        else:
+            data, pcm, fmt = padded, [_companded(b, codec) for b in padded], (codec, 1, 8000, 8000, 1, 8, 0)
+        body = b"WAVEfmt " + struct.pack("<I", 18) + struct.pack("<HHIIHHH", *fmt) + b"fact" + struct.pack("<II", 4, len(data)) + b"data" + struct.pack("<I", len(data)) + data
+        media = b"RIFF" + struct.pack("<I", len(body)) + body
+        wide = []
+        for k in range(-(-len(pcm) * to // 8000)):
+            low, part = divmod(k * 8000, to)
+            wide.append((pcm[low] * (to - part) + pcm[min(low + 1, len(pcm) - 1)] * part) // to)
+        crossings = sum((a < 0) != (b < 0) for a, b in zip(wide, wide[1:], strict=False))
+        raw = struct.pack(f"<{len(wide)}h", *wide)
+        feature = f"codec={codec};rate=8000>{to};samples={len(wide)};peak={max(map(abs, wide))};power={sum(x * x for x in wide) // len(wide)};crossings={crossings};pcm_crc32={zlib.crc32(raw)}"
+        want[i, len(own), len(padded), hashlib.sha256(padded).hexdigest(), zlib.crc32(padded[-64:]), len(media), hashlib.sha256(media).hexdigest(), feature, None] += 1
+    assert len(codecs) == 3
+    assert Counter((r.doc_id, r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32, r.media_bytes, r.media_sha256, r.feature, r.error) for r in got) == want
+
+
+def test_op2_errors_are_rows(spark):
+    good = telephony.wav(b"\x10\x20", telephony.ALAW)
+    bad = [None, b"", b"RIFF", good[:12] + b"fmt " + struct.pack("<I", 18) + b"\1\0", good[:30], good[:-1], telephony.wav(b"ab", telephony.ALAW, rate=0), telephony.wav(b"ab", 99), b"RIFFxxxxWAVEdata\xff\xff\xff\xff"]
+    rows = [(k, 0, m) for k, m in enumerate(bad)] + [(None, None, good), (50, 2, telephony.wav(b"", telephony.IMA, block=68)), (51, 3, telephony.wav(b"\0" * 71, telephony.IMA, block=68))]
+    media = spark.createDataFrame(rows, "key long, n_bytes long, media binary").withColumn("pcm", q.F.lit(1))
+    got = {r.doc_id: r for r in telephony.media_digest(media).collect()}
+    assert len(got) == len(rows) and all(got[k].error and got[k].feature is None and got[k].payload_sha256 is None for k in range(len(bad)))
+    assert all(got[k].media_sha256 == hashlib.sha256(m or b"").hexdigest() for k, m in enumerate(bad))
+    assert got[None].error is None and "codec=6" in got[None].feature and got[50].payload_bytes == 0 and got[51].payload_bytes == 64
+    assert {r.key for r in telephony.decode_media(media).where("error is null").collect()} == {None, 50, 51}
 
 
 def test_op2_codecs(spark):
@@ -103,22 +163,12 @@ def test_op2_codecs(spark):
     rng = np.random.default_rng(1)
     data = rng.integers(0, 256, 36 * 5 + 20, np.uint8)
     data[2::36] = 40
-    raw, out = data.tobytes(), []
-    for start in range(0, len(raw), 36):  # sample by sample
-        b = raw[start : start + 36]
-        value, index = int.from_bytes(b[:2], "little", signed=True), b[2]
-        out.append(value)
-        for byte in b[4:]:
-            for code in (byte & 15, byte >> 4):
-                step = int(telephony.IMA_STEPS[index])
-                change = (step >> 3) + (step >> 2) * (code & 1) + (step >> 1) * (code >> 1 & 1) + step * (code >> 2 & 1)
-                value = max(-32768, min(32767, value - change if code & 8 else value + change))
-                index = max(0, min(88, index + [-1, -1, -1, -1, 2, 4, 6, 8][code & 7]))
-                out.append(value)
+    raw = data.tobytes()
+    out = _ima(raw, 36)
     assert telephony.decode_ima(raw, 36).tolist() == out
     media = spark.createDataFrame([(1, 1, telephony.wav(raw, telephony.IMA, 8000, 4, 36)), (2, 0, None), (3, 0, b"RIFFxxxxWAVEdata"), (4, 2, telephony.wav(b"\x10\x20", telephony.ALAW))], "key long, n_bytes long, media binary")
     rows = {r.key: r for r in telephony.decode_media(media).collect()}
-    assert rows[1].payload == raw and len(rows[1].pcm) == 4 * len(out) and rows[2].error and rows[3].error and rows[4].codec == 6
+    assert rows[1].payload == b"".join(raw[k + 4 : k + 36] for k in range(0, len(raw), 36)) and len(rows[1].pcm) == 4 * len(out) and rows[2].error and rows[3].error and rows[4].codec == 6
 
 
 def test_op3_brute_force(docs):
@@ -139,7 +189,8 @@ def test_op3_brute_force(docs):
         lines = (t or "").split("\n")
         keep = [x for x in lines if i is None or key(x) not in bad or bad[key(x)] == i]
         want[i, len(lines), len(lines) - len(keep), "\n".join(keep)] += 1
-    got = line_dedup.dedup_lines(docs)
+    for got in (line_dedup.dedup_lines(docs, most_sent=0), line_dedup.dedup_lines(docs)):
+        assert Counter((r.doc_id, r.line_dedup.n_lines, r.line_dedup.n_dropped, r.text) for r in got.collect()) == want
     assert Counter((r.doc_id, r.line_dedup.n_lines, r.line_dedup.n_dropped, r.text) for r in got.collect()) == want
     assert got.columns == [*docs.columns, "line_dedup"]
 
@@ -153,6 +204,80 @@ def test_op4_learns(spark):
     assert all(0 <= r.score <= 1 and r.predicted == int(r.score >= 0.7) for r in got.values())
 
 
+def test_op3_hot_line_is_split(spark):
+    """Where common lines are joined, a line of most documents is dealt to several tasks."""
+    settings = {"spark.sql.adaptive.skewJoin.skewedPartitionThresholdInBytes": "4k", "spark.sql.adaptive.advisoryPartitionSizeInBytes": "4k", "spark.sql.adaptive.skewJoin.skewedPartitionFactor": "1.5", "spark.sql.adaptive.coalescePartitions.enabled": "false"}
+    before = {k: spark.conf.get(k) for k in settings}
+    rows = spark.range(4000).select(q.F.col("id").alias("doc_id"), q.F.concat(q.F.lit("a line that nearly every document of this table holds\n"), q.F.repeat(q.F.md5(q.F.col("id").cast("string")), 2)).alias("text")).repartition(16)
+    try:
+        for k, v in settings.items():
+            spark.conf.set(k, v)
+        lined = rows.select("doc_id", q.F.xxhash64("text").alias("__row"), q.F.split("text", "\n").alias("__lines"))
+        lost = line_dedup.over_common_lines(lined, most_sent=0)
+        assert lost.count() == 3999
+        out = lost.collect()
+        assert len(out) == 3999 and "SortMergeJoin(skew=true)" in lost._jdf.queryExecution().executedPlan().toString()
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
+def _features(text):
+    """Distinct hashed byte n-grams, one at a time."""
+    raw, out = (text or "").encode(), set()
+    shapes = bytes(97 if 97 <= c <= 122 or c >= 128 else 65 if 65 <= c <= 90 else 57 if 48 <= c <= 57 else c for c in raw)
+    for kind, data, n in ((1, raw, 3), (2, shapes, 5)):
+        for at in range(len(data) - n + 1):
+            code = kind
+            for c in data[at : at + n]:
+                code = (code * 257 + c) % 2**64
+            out.add(code * 0x9E3779B97F4A7C15 % 2**64 >> 46)
+    return out
+
+
+def test_op4_brute_force(docs):
+    """Features and ratios by sets and counts, and the optimality conditions of the hinge-loss dual."""
+    rnd = random.Random(9)
+    texts = [t for _, t, _ in awkward()] + [" ".join(rnd.choice(("fine good prose words " if k % 2 else "CLICK $$$ 99 now ").split()) for _ in range(30)) for k in range(60)]
+    make = quality.Indicators()
+    rows = [make.of(t) for t in texts if len(t or "") < 3000]
+    assert [set(x.tolist()) for x in rows] == [_features(t) for t in texts if len(t or "") < 3000]
+    rows = rows[-60:]
+    y = np.arange(60) % 2
+    ratios = quality.log_count_ratios(rows, y)
+    counts = [Counter(f for x, label in zip(rows, y, strict=True) if label == c for f in x.tolist()) for c in (0, 1)]
+    for f in {*counts[0], *counts[1], 5}:
+        assert abs(ratios[f] - np.log(((counts[1][f] + 1) / 32) / ((counts[0][f] + 1) / 32))) < 1e-12
+    values = [ratios[x] / np.sqrt((ratios[x] ** 2).sum() or 1.0) for x in rows]
+    sign, c = np.where(y == 1, 1.0, -1.0), np.full(60, 0.05)
+    w, bias = quality.dual_coordinate_descent(rows, values, sign, c, epochs=500)
+    dense = np.zeros((60, quality.SIZE + 1))
+    for i, (x, v) in enumerate(zip(rows, values, strict=True)):
+        dense[i, x], dense[i, -1] = v, 1
+    margin = sign * (dense @ np.append(w, bias))
+    # a plain projected gradient on the dual gives the best value there is; what coordinate descent found has to reach it
+    signed = dense * sign[:, None]
+    gram, alpha = signed @ signed.T, np.zeros(60)
+    for _ in range(20_000):
+        alpha = np.clip(alpha + (1 - gram @ alpha) / np.linalg.norm(gram, 2), 0, c)
+    best = alpha.sum() - alpha @ gram @ alpha / 2
+    assert 0 <= (w @ w + bias * bias) / 2 + (c * np.maximum(0, 1 - margin)).sum() - best + 1e-9 < 2e-3
+
+
+def test_op4_ties_and_bounds(spark):
+    rows = [(k % 30, "good words here" if k % 2 else "BAD 11", "s") for k in range(60)] + [(None, "good words here", "s")]
+    labels = spark.createDataFrame([(k, k % 2) for k in range(30)], "doc_id long, quality int")
+    docs = frame(spark, rows)
+    model = quality.fit(docs, labels)
+    by = defaultdict(set)
+    for r in quality.score(docs, model).collect():
+        by[r.text].add(r.score)
+    assert all(len(x) == 1 for x in by.values()) and min(by["good words here"]) > min(by["BAD 11"])
+    small = quality.fit(docs, labels, max_fit_features=60)
+    assert np.count_nonzero(small.ratios) <= np.count_nonzero(model.ratios)
+    assert [r.h for r in spark.createDataFrame([(None,), (4,)], "doc_id long").select(quality.held_out().alias("h")).collect()][0] is False
+
+
 def test_op4_odd_inputs(spark, docs):
     labels = spark.createDataFrame([(1, None), (None, 1), (2, 1), (3, 7)], "doc_id long, quality int")
     model = quality.fit(docs, labels)
@@ -251,6 +376,23 @@ def test_op6_saturated_groups(spark):
     assert {r.vec_id: r.n_links for r in got} == {i: len(x) for i, x in links.items()} and {r.component_id for r in got} == {0}
 
 
+def test_op6_enlarged_lists(spark):
+    """A list that is full of links takes more of them, and stops at something that is none."""
+    rng = np.random.default_rng(7)
+    centre = rng.standard_normal((3, 24))
+    sizes, vectors = (20, 5, 90), []
+    for c, n in zip(centre, sizes, strict=True):
+        vectors += [c + 0.05 * rng.standard_normal(24) for _ in range(n)]
+    df = spark.createDataFrame([(i, v.tolist(), 0) for i, v in enumerate(vectors)], "vec_id long, embedding array<double>, label int")
+    nodes = nn_descent.units(df).withColumnRenamed("vec_id", "node")
+    lists = nn_descent.shortened(nn_descent.leaf_lists(nodes, 0), nn_descent.K)
+    for _ in range(2):
+        lists = nn_descent.descend(nodes, lists)
+    got = Counter(r.v for r in nn_descent.enlarged(nodes, lists, 0.93).where("cos >= 0.93").collect())
+    links = _links(dict(enumerate(vectors)), dict.fromkeys(range(len(vectors)), 0))
+    assert all(got[i] == len(links[i]) for i in range(25)) and all(got[i] == nn_descent.MOST for i in range(25, 115))
+
+
 def test_op6_rare_links(spark):
     """One label of random vectors; few have a partner, just above the threshold."""
     rng = np.random.default_rng(8)
@@ -345,6 +487,10 @@ def test_op9_store(docs):
     for key in (7, 103, 106):
         assert token_store.lookup(rows, key).astype("<u4").tolist() == ids[key][0].tolist()
     assert token_store.lookup(rows, 55555) is None
+    nulls = sorted(a.tolist() for a in ids[None])
+    assert sorted(token_store.lookup(rows, None, k).astype("<u4").tolist() for k in range(2)) == nulls and token_store.lookup(rows, None, 2) is None
+    same = sorted(a.tolist() for a in ids[5])
+    assert len(same) == 3 and sorted(token_store.lookup(rows, 5, k).astype("<u4").tolist() for k in range(3)) == same and token_store.lookup(rows, 5, 3) is None
 
 
 def test_op9_words_are_the_library(spark):
@@ -424,6 +570,12 @@ def test_op10_groups_across_components(spark):
     assert {r.doc_id: r.component_id for r in got} == want
 
 
+def test_op10_blocks_of_a_hot_half(spark, monkeypatch):
+    """The same links when a half's classes are dealt to many blocks."""
+    monkeypatch.setattr(minhash, "BLOCK", 3)
+    test_op10_groups_across_components(spark)
+
+
 def test_repeated_ids_with_other_texts(spark):
     rows = [(1, "a b c d e f g h i j", "s"), (1, "k l m n o p q r s t", "s"), (2, "a b c d e f g h i j", "s"), (3, "k l m n o p q r s t", "s")]
     got = minhash.near_duplicates(frame(spark, rows), 4).collect()
