@@ -1,4 +1,11 @@
-"""Five stages from raw documents to token ids; each works on everything its predecessor kept."""
+"""Five stages from raw documents to token ids; each works on everything its predecessor kept.
+
+Defined results: a null text counts as an empty one, and like any text it stays or goes by its score; line dedup turns a null text that stays
+into an empty one.  Rows with a null doc_id learn from no label, count for no line, are copies of nothing and are mixed by their text.  Rows
+that share a doc_id keep a row each, and stay or go together as near copies.  Equal texts have equal scores; of equal texts under different
+ids the least id stays.  Columns beyond doc_id, text and source pass through untouched, but for n_chars, which follows the text.  An empty
+table gives an empty one.
+"""
 
 from __future__ import annotations
 
