@@ -8,6 +8,8 @@ once for each distinct triangle.
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -16,32 +18,65 @@ from ..plans.params import SamplePlan
 from ..sources.edges import half_edges
 from .exact import edge_triangle_counts, triangle_edges, triangles
 from .passes import pairs_of, probe_pass, with_edge_degree
-from .sampling import sample_neighbors
+from .sampling import bottom_neighbors, drawn_neighbors
 
 ABC = ["a", "b", "c"]
 
 
-def _owner(rows: DataFrame, count: Column, most: Column | float) -> DataFrame:
+def _owner(rows: DataFrame, count: Column, most: Column | float, by: tuple[str, ...] = ()) -> DataFrame:
     """rows a, b, c, u, v: the owner is the edge of least (count, u, v); null counts are infinite."""
-    best = rows.withColumn("t", count).groupBy(*ABC).agg(F.min(F.when(F.col("t").isNotNull(), F.struct("t", "u", "v"))).alias("o"))
+    best = rows.withColumn("t", count).groupBy(*by, *ABC).agg(F.min(F.when(F.col("t").isNotNull(), F.struct("t", "u", "v"))).alias("o"))
     own = F.when(F.col("o.t") <= most, F.col("o"))
-    return best.select(*ABC, own["u"].alias("owner_u"), own["v"].alias("owner_v"))
+    return best.select(*by, *ABC, own["u"].alias("owner_u"), own["v"].alias("owner_v"))
 
 
-def assign_sampled(ledger: PassLedger, tri: DataFrame, degree: DataFrame, plan: SamplePlan) -> DataFrame:
-    """tri (distinct a, b, c) -> (a, b, c, owner_u, owner_v); two passes for all triangles together.  degree: of all their vertices."""
+def asked(tri: DataFrame, degree: DataFrame, cut: float) -> tuple[DataFrame, DataFrame]:
+    """tri (distinct a, b, c) -> (rows: a, b, c and each edge with its degree; targets: the edges that may own, u, v, x, y, d_e)."""
     rows = with_edge_degree(triangle_edges(tri, *ABC), degree)
-    targets = rows.where(F.col("d_e") <= plan.degree_cut).select("u", "v", "x", "y", "d_e").distinct()
-    drawn = sample_neighbors(half_edges(ledger.scan("owner neighbours")), targets, plan.s, plan.seed, plan.coin, plan.exhaustive).where("w != y")
-    drawn = drawn.withColumns({"p": F.least("y", "w"), "q": F.greatest("y", "w")})
-    hit = pairs_of(probe_pass(ledger.scan("owner closures"), degree.where("false").select("x"), drawn.select("p", "q")))
+    return rows, rows.where(F.col("d_e") <= cut).select("u", "v", "x", "y", "d_e").distinct()
+
+
+def closing_pairs(drawn: DataFrame) -> DataFrame:
+    """Drawn neighbours with the pair (p, q) that would close a triangle."""
+    return drawn.where("w != y").withColumns({"p": F.least("y", "w"), "q": F.greatest("y", "w")})
+
+
+def estimated(targets: DataFrame, drawn: DataFrame, hit: DataFrame, plan: SamplePlan) -> DataFrame:
+    """(u, v, scaled): s times the estimate of how many triangles hold each target, an integer."""
     # a whole neighbourhood counts each neighbour s times, a sample counts draws times d_e: both are estimates times s
     weight = F.when(F.lit(plan.exhaustive) & (F.col("d_e") <= plan.s), F.col("times")).otherwise(F.col("times") * F.col("d_e"))
     counted = drawn.join(hit, ["p", "q"]).groupBy("u", "v").agg(F.sum(weight).alias("scaled"))
-    known = targets.select("u", "v").join(counted, ["u", "v"], "left").select("u", "v", F.coalesce("scaled", F.lit(0)).alias("scaled"))
+    return targets.select("u", "v").join(counted, ["u", "v"], "left").select("u", "v", F.coalesce("scaled", F.lit(0)).alias("scaled"))
+
+
+def _two_passes(ledger: PassLedger, targets: DataFrame, degree: DataFrame, plan: SamplePlan) -> DataFrame:
+    ranked = bottom_neighbors(half_edges(ledger.scan("owner neighbours")), targets, plan.s, plan.seed, plan.coin)
+    drawn = ledger.keep("owner draws", closing_pairs(drawn_neighbors(ranked, targets, plan.s, plan.seed, plan.coin, plan.exhaustive)))
+    hit = ledger.keep("owner hits", pairs_of(probe_pass(ledger.scan("owner closures"), degree.where("false").select("x"), drawn.select("p", "q"))))
+    return estimated(targets, drawn, hit, plan)
+
+
+def assign_sampled(ledger: PassLedger, tri: DataFrame, degree: DataFrame, plan: SamplePlan) -> DataFrame:
+    """tri (distinct a, b, c) -> (a, b, c, owner_u, owner_v); two passes for all triangles together.  degree: of all their vertices."""
+    rows, targets = asked(tri, degree, plan.degree_cut)
+    targets = ledger.keep("owner targets", targets)
+    return decided(rows, _two_passes(ledger, targets, degree, plan), plan)
+
+
+def decided(rows: DataFrame, known: DataFrame, plan: SamplePlan) -> DataFrame:
     return _owner(rows.select(*ABC, "u", "v").join(known, ["u", "v"], "left"), F.col("scaled"), plan.owner_threshold * plan.s)
 
 
+def assign_for_guesses(ledger: PassLedger, tri: DataFrame, degree: DataFrame, plan: SamplePlan, guesses: list[float]) -> DataFrame:
+    """(guess, a, b, c, owner_u, owner_v): the same two passes for several guesses of the number of triangles, which differ in their degree cut only."""
+    cuts = [(g, replace(plan, t_guess=g).degree_cut) for g in guesses]
+    rows, targets = asked(tri, degree, max(c for _, c in cuts))
+    targets = ledger.keep("owner targets", targets)
+    known = _two_passes(ledger, targets, degree, plan)
+    each = rows.join(known, ["u", "v"], "left").join(F.broadcast(rows.sparkSession.createDataFrame(cuts, "guess double, cut double")))
+    return _owner(each, F.when(F.col("d_e") <= F.col("cut"), F.col("scaled")), plan.owner_threshold * plan.s, ("guess",))
+
+
 def assign_by_degree(tri: DataFrame, degree: DataFrame) -> DataFrame:
     """The edge of least degree owns; ties go to the lesser edge."""
     return _owner(with_edge_degree(triangle_edges(tri, *ABC), degree), F.col("d_e"), float("inf"))

@@ -100,7 +100,7 @@ def hard_graph_for(spark: SparkSession, kappa: int, t: int, n: int, shared: bool
 
 
 def protocol_bits(passes: int, state_bits: int) -> int:
-    """Two parties replay a run: the state crosses once in each direction for each pass but the last half."""
+    """What a replay by two parties can cost at most: the state crosses once in each direction for each pass but the last half."""
     return (2 * passes - 1) * state_bits
 
 

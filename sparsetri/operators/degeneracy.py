@@ -9,28 +9,30 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.store import stored
+from ..plans.store import folder, gone_at_end, stored
 from ..sources.edges import half_edges
 from .exact import degrees
 
+CORES = "v long, core long"
+
 
 def peel(edges: DataFrame) -> tuple[int, DataFrame]:
-    """(kappa, core numbers: v, core)."""
-    left, k, cores = stored(edges, "peel"), 0, None
+    """(kappa, core numbers: v, core).  Each round adds its vertices to one folder, so the plan of the answer is one scan, however deep the graph."""
+    spark = edges.sparkSession
+    left, k, out = stored(edges, "peel"), 0, folder(spark, "cores")
+    spark.createDataFrame([], CORES).write.parquet(out)
+    gone_at_end(spark, out)
     while not left.isEmpty():
         d = stored(degrees(left), "peel-degrees")
         k = max(k, int(d.agg(F.min("d")).first()[0]))
         gone = d.where(F.col("d") <= k).select(F.col("x").alias("v"), F.lit(k).alias("core"))
-        cores = gone if cores is None else cores.unionByName(gone)
         u, v = gone.select(F.col("v").alias("u")), gone.select("v")
         smaller = stored(left.join(u, "u", "left_anti").join(v, "v", "left_anti").select("u", "v"), "peel")
         # a vertex whose last neighbours go with this batch has no edge left: it goes at this k too
         rest = d.where(F.col("d") > k).select(F.col("x").alias("v")).join(half_edges(smaller).select(F.col("x").alias("v")).distinct(), "v", "left_anti")
-        cores = cores.unionByName(rest.select("v", F.lit(k).alias("core")))
+        gone.unionByName(rest.select("v", F.lit(k).alias("core"))).select("v", F.col("core").cast("long").alias("core")).write.mode("append").parquet(out)
         left = smaller
-    if cores is None:
-        cores = edges.select(F.col("u").alias("v"), F.lit(0).alias("core")).limit(0)
-    return k, cores
+    return k, spark.read.schema(CORES).parquet(out)
 
 
 def peel_batch(edges: DataFrame, eta: float = 0.5) -> int:
@@ -61,7 +63,7 @@ def cores_by_hindex(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
         value = new.select("x", F.col("next").alias("h"))
         if not moved:
             return value.select(F.col("x").alias("v"), F.col("h").alias("core"))
-    return peel(edges)[1]
+    return peel(edges)[1]  # also where a chain is longer than the rounds reach
 
 
 def forward_degree_bound(edges: DataFrame, order: DataFrame) -> DataFrame:
@@ -76,5 +78,11 @@ def min_degree_of_subgraph(edges: DataFrame, vertices: DataFrame) -> DataFrame:
     return degrees(inside).agg(F.coalesce(F.min("d"), F.lit(0)).alias("lower"))
 
 
+def density_bound(edges: DataFrame) -> DataFrame:
+    """A forest on n vertices has at most n - 1 edges: ceil(m / (n - 1)) forests are needed."""
+    n = degrees(edges).agg(F.count(F.lit(1)).alias("n"))
+    return n.join(edges.agg(F.count(F.lit(1)).alias("m"))).select(F.when(F.col("n") > 1, F.ceil(F.col("m") / (F.col("n") - 1))).otherwise(0).cast("long").alias("lower"))
+
+
 def arboricity_bounds(kappa: int) -> tuple[int, int]:
     return -(-(kappa + 1) // 2) if kappa else 0, kappa

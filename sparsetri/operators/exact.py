@@ -9,6 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.store import stored
 from ..sources.edges import half_edges
 
 
@@ -98,10 +99,52 @@ def summary(edges: DataFrame) -> DataFrame:
     return n.join(e).join(count_triangles(edges)).select("n", "m", "t", "sum_de")
 
 
-def cliques4(edges: DataFrame) -> DataFrame:
-    """Number of 4-cliques: oriented triangles with a fourth vertex."""
-    o = oriented(edges)
-    tri = o.join(o.select("p", F.col("q").alias("w")), "p").where("q < w").join(edges.select(F.col("u").alias("q"), F.col("v").alias("w")), ["q", "w"], "left_semi")
-    four = tri.join(o.select("p", F.col("q").alias("z")), "p").where("w < z")
-    four = four.join(edges.select(F.col("u").alias("q"), F.col("v").alias("z")), ["q", "z"], "left_semi").join(edges.select(F.col("u").alias("w"), F.col("v").alias("z")), ["w", "z"], "left_semi")
-    return four.agg(F.count(F.lit(1)).alias("c4"))
+def cliques(edges: DataFrame, k: int) -> DataFrame:
+    """Number of k-cliques, k >= 3: cliques among later neighbours of their first vertex, grown by one vertex a step; each new vertex is
+    joined to the first by orientation and to the others by semi-joins."""
+    o = stored(oriented(edges), "oriented")
+    rows = o.withColumnRenamed("q", "q0")
+    for i in range(1, k - 1):
+        rows = rows.join(o.select("p", F.col("q").alias(f"q{i}")), "p").where(f"q{i - 1} < q{i}")
+        for j in range(i):
+            rows = rows.join(edges.select(F.col("u").alias(f"q{j}"), F.col("v").alias(f"q{i}")), [f"q{j}", f"q{i}"], "left_semi")
+    return rows.agg(F.count(F.lit(1)).alias("cliques"))
+
+
+def transitivity(edges: DataFrame) -> DataFrame:
+    """t, wedges and 3t / wedges."""
+    d = degrees(edges).agg(F.coalesce(F.sum((F.col("d") * (F.col("d") - 1) / 2).cast("decimal(38,0)")), F.lit(0)).cast("long").alias("wedges"))
+    return d.join(count_triangles(edges)).select("t", "wedges", F.when(F.col("wedges") > 0, F.round(3 * F.col("t") / F.col("wedges"), 9)).otherwise(0.0).alias("transitivity"))
+
+
+def group_summary(held: DataFrame) -> DataFrame:
+    """n, m, t, sum_de of the graph that joins members of a common group, however large groups are; held: member, token.
+
+    Members of the very same groups are neighbours of the same vertices, so they fold into one vertex with a weight.  All counts are sums over the folded
+    graph, which a group of a million like members leaves at one vertex: no pair of members is ever made."""
+    own = held.where("member is not null and token is not null").select("member", "token").distinct()
+    shared = stored(own.groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("token"), "shared-groups")
+    kinds = own.join(shared, "token").groupBy("member").agg(F.sha2(F.array_join(F.array_sort(F.collect_list(F.sha2(F.col("token").cast("string"), 256))), ""), 256).alias("kind"))
+    kinds = stored(kinds, "kinds")
+    weights = kinds.groupBy("kind").agg(F.count(F.lit(1)).alias("w"), F.min("member").alias("id"))
+    weights = stored(weights.select("id", "kind", "w"), "folded")
+    tokens = own.join(shared, "token").join(weights.select(F.col("id").alias("member")), "member", "left_semi")
+    a, b = tokens.select("token", F.col("member").alias("u")), tokens.select("token", F.col("member").alias("v"))
+    edges = stored(a.join(b, "token").where("u < v").select("u", "v").distinct(), "folded-edges")
+    w = weights.select("id", "w")
+    ends = edges.join(w.select(F.col("id").alias("u"), F.col("w").alias("wu")), "u").join(w.select(F.col("id").alias("v"), F.col("w").alias("wv")), "v")
+    ends = stored(ends, "folded-ends")
+    around = ends.select(F.inline(F.array(F.struct(F.col("u").alias("id"), F.col("wv").alias("w2")), F.struct(F.col("v").alias("id"), F.col("wu").alias("w2"))))).groupBy("id").agg(F.sum("w2").alias("around"))
+    d = stored(w.join(around, "id", "left").select("id", "w", (F.col("w") - 1 + F.coalesce("around", F.lit(0))).alias("d")), "folded-degrees")
+    # inside a folded vertex: its own pairs and triples, and pairs with one neighbour outside
+    pairs = F.col("w") * (F.col("w") - 1) / 2
+    big = lambda c: F.coalesce(F.sum(c.cast("decimal(38,0)")), F.lit(0)).cast("decimal(38,0)")
+    inside = d.agg(big(F.col("w")).alias("n"), big(pairs).alias("m"), big(pairs * (F.col("w") - 2) / 3 + pairs * (F.col("d") - F.col("w") + 1)).alias("t"), big(pairs * F.col("d")).alias("s"))
+    across = ends.join(d.select(F.col("id").alias("u"), F.col("d").alias("du")), "u").join(d.select(F.col("id").alias("v"), F.col("d").alias("dv")), "v")
+    across = across.agg(big(F.col("wu") * F.col("wv")).alias("m2"), big(F.col("wu") * F.col("wv") * F.least("du", "dv")).alias("s2"))
+    thrice = triangles(edges)
+    for c in "abc":
+        thrice = thrice.join(w.select(F.col("id").alias(c), F.col("w").alias(f"w{c}")), c)
+    thrice = thrice.agg(big(F.col("wa") * F.col("wb") * F.col("wc")).alias("t3"))
+    out = inside.join(across).join(thrice)
+    return out.select(F.col("n").cast("long").alias("n"), (F.col("m") + F.col("m2")).cast("long").alias("m"), (F.col("t") + F.col("t3")).cast("long").alias("t"), (F.col("s") + F.col("s2")).cast("long").alias("sum_de"))

@@ -81,15 +81,27 @@ def sample_neighbor(half: DataFrame, picks: DataFrame, seed: int, coin: str = "m
     return tossed.groupBy("rep", "i").agg(F.min(F.struct("coin", "nbr")).alias("best")).select("rep", "i", F.col("best.nbr").alias("w"))
 
 
-def sample_neighbors(half: DataFrame, targets: DataFrame, s: int, seed: int, coin: str = "md5", exhaustive: bool = False) -> DataFrame:
-    """targets (u, v, x, d_e) -> (u, v, w, times): s draws from N(x) with repetition, equal draws added up.
+def ranked_neighbor(half: DataFrame, picks: DataFrame, seed: int, coin: str = "md5") -> DataFrame:
+    """picks (rep, i, x, d_e) -> (rep, i, w): the neighbour at a drawn place among those of x, in order of ids.  A pick tosses one coin, not one for each
+    neighbour; neighbours are numbered once for each distinct x."""
+    listed = half.join(picks.select("x").distinct(), "x").withColumn("place", F.row_number().over(Window.partitionBy("x").orderBy("nbr")) - 1)
+    aimed = picks.select("rep", "i", "x", (coin52(seed, F.lit("place"), "rep", "i", mode=coin) % F.col("d_e")).cast("int").alias("place"))
+    return aimed.join(listed, ["x", "place"]).select("rep", "i", F.col("nbr").alias("w"))
 
-    With exhaustive, targets of at most s neighbours get each of them s times over d_e: times = s for each and the caller
-    divides by d_e less."""
-    spark = half.sparkSession
+
+def bottom_neighbors(half: DataFrame, targets: DataFrame, s: int, seed: int, coin: str = "md5") -> DataFrame:
+    """targets (u, v, x, y, d_e) -> targets with nbr, coin and rank: the s neighbours of x of least coin.  Lists of parts of the edges merge by another cut."""
     tossed = half.join(targets, "x").withColumn("coin", coin52(seed, F.lit("owner"), "u", "v", "nbr", mode=coin))
     order = Window.partitionBy("u", "v").orderBy("coin", "nbr")
-    ranked = tossed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= s)
+    return tossed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= s)
+
+
+def drawn_neighbors(ranked: DataFrame, targets: DataFrame, s: int, seed: int, coin: str = "md5", exhaustive: bool = False) -> DataFrame:
+    """(u, v, y, w, d_e, times): s draws from N(x) with repetition out of bottom lists, equal draws added up.
+
+    With exhaustive, targets of at most s neighbours get each of them s times over d_e: times = s for each and the caller
+    divides by d_e less."""
+    spark = ranked.sparkSession
     drawn = targets.join(spark.range(s).select(F.col("id").alias("j")))
     drawn = drawn.withColumn("position", coin52(seed, F.lit("draw"), "u", "v", "j", mode=coin) % F.col("d_e"))
     drawn = drawn.withColumn("rank", F.dense_rank().over(Window.partitionBy("u", "v").orderBy("position")))

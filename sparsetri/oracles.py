@@ -67,10 +67,38 @@ te AS (SELECT t[1] AS a, t[2] AS b, t[3] AS c, unnest([t[1], t[1], t[2]]) AS u,
 inc AS MATERIALIZED (SELECT ed.u, ed.v, ed.d_e, count(te.a) AS t_inc FROM ed LEFT JOIN te ON ed.u = te.u AND ed.v = te.v GROUP BY ALL)"""
 
 
-def passes(view: str, seed: int, r: int, ell: int, s: int, kappa: int, t: float, eps: float, rep: int = 0) -> str:
-    """CTEs of all six passes over a view for one replica."""
-    return f"""{graph(view)},
-m AS (SELECT count(*) AS m FROM e),
+#: CTEs kap (kappa: batch peeling's upper bound of the degeneracy), by rounds that drop all vertices of degree up to 1.5 times the mean.
+KAPPA = """bp(i, u, v) AS (SELECT 0, u, v FROM e UNION ALL SELECT q.i, q.u, q.v FROM (
+  WITH dg AS (SELECT x, count(*) AS d FROM (SELECT u AS x FROM bp UNION ALL SELECT v FROM bp) GROUP BY x), st AS (SELECT count(*) AS n, sum(d) AS s FROM dg), hi AS (SELECT x FROM dg, st WHERE 2 * d * n > 3 * s)
+  SELECT bp.i + 1 AS i, bp.u, bp.v FROM bp JOIN hi a ON bp.u = a.x JOIN hi b ON bp.v = b.x) q),
+bd AS (SELECT i, x, count(*) AS d FROM (SELECT i, u AS x FROM bp UNION ALL SELECT i, v FROM bp) GROUP BY i, x),
+kap AS MATERIALIZED (SELECT coalesce(max(d), 0)::BIGINT AS kappa FROM bd JOIN (SELECT i, count(*) AS n, sum(d) AS s FROM bd GROUP BY i) USING (i) WHERE 2 * d * n <= 3 * s)"""
+
+#: CTE cores (v, core): in each round all vertices of degree up to k go, k rising to the least degree that is left.
+CORES = """pc(k, u, v) AS (SELECT (SELECT min(d) FROM d), u, v FROM e UNION ALL SELECT q.k, q.u, q.v FROM (
+  WITH dg AS (SELECT x, count(*) AS d FROM (SELECT u AS x FROM pc UNION ALL SELECT v FROM pc) GROUP BY x), hi AS (SELECT x FROM dg WHERE d > (SELECT max(k) FROM pc)),
+  st AS (SELECT pc.k, pc.u, pc.v FROM pc JOIN hi a ON pc.u = a.x JOIN hi b ON pc.v = b.x)
+  SELECT greatest(st.k, (SELECT min(n) FROM (SELECT count(*) AS n FROM (SELECT u AS x FROM st UNION ALL SELECT v FROM st) GROUP BY x))) AS k, st.u, st.v FROM st) q),
+cores AS MATERIALIZED (SELECT x AS v, max(k)::BIGINT AS core FROM (SELECT k, u AS x FROM pc UNION ALL SELECT k, v FROM pc) GROUP BY x)"""
+
+#: CTE bounds (m, kappa, t): what a plan takes from the graph at hand.
+BOUNDS = f"{KAPPA},\nm AS (SELECT count(*) AS m FROM e),\nbounds AS MATERIALIZED (SELECT m, kappa, (SELECT count(*) FROM tri)::DOUBLE AS t FROM m, kap)"
+
+
+def cut(eps: float, t: str = "t") -> str:
+    """The largest degree of an owner."""
+    return f"CASE WHEN {t} > 0 THEN m * kappa::DOUBLE * kappa / ({eps}::DOUBLE * {eps}::DOUBLE * {t}) ELSE 'inf'::DOUBLE END"
+
+
+def passes(view: str, seed: int, r: int, ell: int, s: int, eps: float, rep: int = 0, t: str | None = None, exhaustive: bool = False, neighbor: str = "argmin") -> str:
+    """CTEs of all six passes over a view for one replica (with WITH RECURSIVE); t is a guess of the triangles, by default their number."""
+    least = f"p.*, h.nbr AS w, row_number() OVER (PARTITION BY p.i ORDER BY {coin(seed, "'neighbor'", str(rep), 'p.i', 'h.nbr')}, h.nbr) AS k"
+    if neighbor == "rank":
+        least = f"p.*, h.nbr AS w, row_number() OVER (PARTITION BY p.i ORDER BY h.nbr) - {coin(seed, "'place'", str(rep), 'p.i')} % p.d_e AS k"
+    draws = f"SELECT n.u, n.v, n.w, n.y, n.d_e, times * n.d_e AS weight FROM near n JOIN times k ON n.u = k.u AND n.v = k.v AND n.rk = k.rk"
+    if exhaustive:
+        draws = f"{draws} WHERE n.d_e > {s} UNION ALL SELECT u, v, w, y, d_e, {s} FROM near WHERE d_e <= {s}"
+    return f"""{graph(view)}, {BOUNDS},
 ranked AS (SELECT u, v, row_number() OVER (ORDER BY {coin(seed, "'edge'", str(rep), 'u', 'v')}, u, v) AS rk FROM e),
 slots AS (SELECT slot, dense_rank() OVER (ORDER BY pos) AS rk FROM (SELECT i AS slot, {coin(seed, "'slot'", str(rep), 'i')} % m AS pos FROM range({r}) z(i), m)),
 drawn AS (SELECT slot, u, v FROM slots JOIN ranked USING (rk)),
@@ -79,17 +107,18 @@ cum AS (SELECT *, sum(d_e) OVER (ORDER BY slot) AS upto FROM sampled),
 total AS (SELECT sum(d_e) AS sum_dr FROM sampled),
 aims AS (SELECT i, {coin(seed, "'pick'", str(rep), 'i')} % sum_dr::BIGINT AS aim FROM range({ell}) z(i), total),
 picks AS MATERIALIZED (SELECT i, u, v, x, y, d_e FROM aims JOIN cum ON aim >= upto - d_e AND aim < upto),
-chosen AS MATERIALIZED (SELECT i, u, v, x, y, d_e, w FROM (SELECT p.*, h.nbr AS w, row_number() OVER (PARTITION BY p.i ORDER BY {coin(seed, "'neighbor'", str(rep), 'p.i', 'h.nbr')}, h.nbr) AS k FROM picks p JOIN h ON p.x = h.x) WHERE k = 1),
+chosen AS MATERIALIZED (SELECT i, u, v, x, y, d_e, w FROM (SELECT {least} FROM picks p JOIN h ON p.x = h.x) WHERE k = 1),
 closed AS MATERIALIZED (SELECT i, c.u, c.v, list_sort([c.u, c.v, c.w]) AS t FROM chosen c JOIN e ON least(c.y, c.w) = e.u AND greatest(c.y, c.w) = e.v WHERE c.w <> c.y),
 found AS (SELECT DISTINCT t FROM closed),
 fe AS (SELECT t, unnest([t[1], t[1], t[2]]) AS u, unnest([t[2], t[3], t[3]]) AS v FROM found),
-targets AS MATERIALIZED (SELECT DISTINCT ed.* FROM fe JOIN ed ON fe.u = ed.u AND fe.v = ed.v, m WHERE ed.d_e <= m * {float(kappa) ** 2} / ({eps} * {eps} * {t})),
+guess AS MATERIALIZED (SELECT m, kappa, {t or 't'} AS t FROM bounds),
+targets AS MATERIALIZED (SELECT DISTINCT ed.* FROM fe JOIN ed ON fe.u = ed.u AND fe.v = ed.v, guess WHERE ed.d_e <= {cut(eps, 'guess.t')}),
 near AS (SELECT g.u, g.v, g.y, g.d_e, h.nbr AS w, row_number() OVER (PARTITION BY g.u, g.v ORDER BY {coin(seed, "'owner'", 'g.u', 'g.v', 'h.nbr')}, h.nbr) AS rk FROM targets g JOIN h ON g.x = h.x),
 times AS (SELECT u, v, rk, count(*) AS times FROM (SELECT u, v, dense_rank() OVER (PARTITION BY u, v ORDER BY pos) AS rk FROM (SELECT u, v, {coin(seed, "'draw'", 'u', 'v', 'j')} % d_e AS pos FROM targets, range({s}) z(j))) GROUP BY ALL),
-counted AS (SELECT n.u, n.v, sum(times * n.d_e)::BIGINT AS scaled FROM near n JOIN times k ON n.u = k.u AND n.v = k.v AND n.rk = k.rk JOIN e ON least(n.y, n.w) = e.u AND greatest(n.y, n.w) = e.v WHERE n.w <> n.y GROUP BY ALL),
+counted AS (SELECT n.u, n.v, sum(weight)::BIGINT AS scaled FROM ({draws}) n JOIN e ON least(n.y, n.w) = e.u AND greatest(n.y, n.w) = e.v WHERE n.w <> n.y GROUP BY ALL),
 estimated AS (SELECT g.u, g.v, coalesce(scaled, 0) AS scaled FROM targets g LEFT JOIN counted c ON g.u = c.u AND g.v = c.v),
 least_ AS (SELECT t, min(CASE WHEN scaled IS NOT NULL THEN {{'s': scaled, 'u': fe.u, 'v': fe.v}} END) AS o FROM fe LEFT JOIN estimated x ON fe.u = x.u AND fe.v = x.v GROUP BY t),
-memo AS MATERIALIZED (SELECT t, CASE WHEN o.s <= {kappa / (2 * eps) * s} THEN o.u END AS owner_u, CASE WHEN o.s <= {kappa / (2 * eps) * s} THEN o.v END AS owner_v FROM least_)"""
+memo AS MATERIALIZED (SELECT least_.t, CASE WHEN o.s <= kappa / (2 * {eps}::DOUBLE) * {s} THEN o.u END AS owner_u, CASE WHEN o.s <= kappa / (2 * {eps}::DOUBLE) * {s} THEN o.v END AS owner_v FROM least_, kap)"""
 
 
 def owner_by(count: str) -> str:
@@ -103,6 +132,30 @@ def estimate(view: str, memo: str | None, share: float = 1.0, **plan) -> str:
     name = "memo" if memo == "memo" else "memo2"
     hits = "closed" if memo is None else f"closed JOIN {name} USING (t) WHERE owner_u = u AND owner_v = v"
     r, ell = plan["r"], plan["ell"]
-    return f"""WITH {passes(view, **plan)}{extra},
+    return f"""WITH RECURSIVE {passes(view, **plan)}{extra},
 hit AS (SELECT count(*) AS hits FROM {hits})
 SELECT m, {r}::BIGINT AS r, {ell}::BIGINT AS ell, sum_dr::BIGINT AS sum_dr, hits, round(m::DOUBLE / {r} * sum_dr::DOUBLE * hits / {ell} / {share}, 6) AS x_est FROM m, total, hit"""
+
+
+def hard(n: int, p: int, q: int, shared: bool) -> str:
+    """Edges u, v of the hard graph: two sides, all joined, and blocks joined to one side by each party's bits."""
+    y = "((i % 3 = 1 AND i <> 1) OR i = 0)" if shared else "i % 3 = 1"
+    block = f"(SELECT i, i * {q} + j + {2 * p} AS w FROM range({n}) a(i), range({q}) b(j))"
+    return f"SELECT a AS u, b + {p} AS v FROM range({p}) s(a), range({p}) t(b) UNION ALL SELECT a, w FROM range({p}) s(a), {block} WHERE i % 3 = 0 UNION ALL SELECT a + {p}, w FROM range({p}) s(a), {block} WHERE {y}"
+
+
+def whole(inner: str) -> str:
+    """Edges between members of a common group, groups of any size; inner gives g, x."""
+    return _members(inner)
+
+
+GROUPS = {
+    "docs": _lines("documents", "doc_id"),
+    "pages": """SELECT unnest(regexp_extract_all(html, 'href="/([^"]*)"', 1)) AS g, page_id AS x FROM pages""",
+    "conv": "SELECT string_split(lower(text), ' ')[1] AS g, conv_id AS x FROM conversations WHERE role = 'user'",
+}
+
+
+def sampled(view: str, seed: int, r: int) -> str:
+    """CTEs of a graph, its bounds and the first two passes: drawn (slot, u, v) and sampled (and x, y, d_e); with WITH RECURSIVE."""
+    return passes(view, seed, r, 1, 1, 0.1).split("cum AS")[0].rstrip(" ,\n")

@@ -1,10 +1,11 @@
-"""The registry: methods, baselines, measures, workloads and relational operators as queries, with DuckDB SQL for the same rows; the README
-lists what is not built."""
+"""The registry: methods, baselines, measures, workloads and relational operators as queries, with DuckDB SQL for the same rows."""
 
 from __future__ import annotations
 
 import math
+import uuid
 from collections.abc import Callable
+from dataclasses import dataclass, replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -13,10 +14,12 @@ from pyspark.sql import functions as F
 from . import oracles as sql
 from .functions import coin52, register_sql_functions
 from .operators import assign, baselines, degeneracy, estimators, exact, sampling
-from .plans.params import SamplePlan, plan_theory
-from .plans.store import folder, stored
+from .plans.ledger import SpaceBudgetExceeded, SpaceGuard
+from .plans.params import SamplePlan, plan_from_rse, plan_theory
+from .plans.store import folder, gone_at_end, stored
 from .sources import edges as edge_io
 from .sources.edges import canonical, half_edges
+from .sources import graphs
 from .sources.graphs import VIEWS
 from .streaming import passes as stream_passes
 from .streaming import windows
@@ -25,8 +28,19 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
-#: Degeneracy and triangles of the views at scale 0.01: upper and lower bounds that plans take as given.  Fixed values.
-KNOWN = {"g_copurchase": (82, 413718), "g_geo": (2, 1500), "g_book": (2, 2000), "g_wheel": (3, 1500), "g_docs": (37, 20617), "g_cust_part_supp": (49, 591627)}
+#: Folders of views that this process has written: by application, table folder and view.
+_WRITTEN: dict[tuple[str, str, str], str] = {}
+_FACTS: dict[str, "Facts"] = {}
+
+
+@dataclass(frozen=True)
+class Facts:
+    """What a plan takes from the graph at hand: n, m, an upper bound of the degeneracy, and the number of triangles."""
+
+    n: int
+    m: int
+    kappa: int
+    t: int
 
 
 def query(name: str, oracle: str | None = None):
@@ -40,8 +54,30 @@ def query(name: str, oracle: str | None = None):
 
 
 def view(spark: SparkSession, sf: str, name: str) -> DataFrame:
-    """A graph view as a written table: passes scan files, not the joins that made them."""
-    return stored(VIEWS[name](spark, sf), name)
+    """A graph view as a written table, once in an application: passes scan files, not the joins that made them."""
+    key = (spark.sparkContext.applicationId, sf, name)
+    if key in _WRITTEN and not _exists(spark, _WRITTEN[key]):
+        del _WRITTEN[key]
+    if key not in _WRITTEN:
+        uri = folder(spark, name)
+        VIEWS[name](spark, sf).select("u", "v").write.option("compression", "zstd").parquet(uri)
+        gone_at_end(spark, uri)
+        _WRITTEN[key] = uri
+    return spark.read.schema("u long, v long").parquet(_WRITTEN[key])
+
+
+def _exists(spark: SparkSession, uri: str) -> bool:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(uri + "/_SUCCESS")
+    return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path)
+
+
+def facts(spark: SparkSession, sf: str, name: str) -> Facts:
+    """Batch peeling bounds the degeneracy from above in a few rounds; triangles are counted."""
+    e = view(spark, sf, name)
+    uri = _WRITTEN[spark.sparkContext.applicationId, sf, name]
+    if uri not in _FACTS:
+        _FACTS[uri] = Facts(exact.degrees(e).count(), e.count(), degeneracy.peel_batch(e, 0.5), exact.triangles(e).count())
+    return _FACTS[uri]
 
 
 def one_row(spark: SparkSession, **values) -> DataFrame:
@@ -55,19 +91,18 @@ def union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def plan_for(edges: DataFrame, name: str, r: int, ell: int, s: int, eps: float = 0.1, seed: int = 11, **other) -> SamplePlan:
-    kappa, t = KNOWN[name]
-    return SamplePlan(edges.count(), 2, kappa, t, eps, r, ell, s, seed, **other)
+def plan_for(spark: SparkSession, sf: str, name: str, r: int, ell: int, s: int, eps: float = 0.1, seed: int = 11, **other) -> SamplePlan:
+    f = facts(spark, sf, name)
+    return SamplePlan(f.m, f.n, f.kappa, f.t, eps, r, ell, s, seed, **other)
 
 
-def sql_plan(name: str, r: int, ell: int, s: int, eps: float = 0.1, seed: int = 11) -> dict:
-    kappa, t = KNOWN[name]
-    return dict(r=r, ell=ell, s=s, kappa=kappa, t=float(t), eps=eps, seed=seed)
+def sql_plan(r: int, ell: int, s: int, eps: float = 0.1, seed: int = 11, **other) -> dict:
+    return dict(r=r, ell=ell, s=s, eps=eps, seed=seed, **other)
 
 
 # --- graphs, degrees, exact counts -------------------------------------------------------------------------------------------------
 
-SUMMARY_VIEWS = [v for v in VIEWS if v not in ("g_knn", "g_vec", "g_cosupply")]
+SUMMARY_VIEWS = [v for v in VIEWS if v != "g_knn"]
 
 
 @query("graph_summary", " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH {sql.graph(v)} SELECT (SELECT count(*) FROM d) AS n, (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM tri) AS t, (SELECT coalesce(sum(d_e), 0)::BIGINT FROM ed) AS sum_de)" for v in SUMMARY_VIEWS))
@@ -112,145 +147,221 @@ def _(spark, sf):
     return exact.vertex_triangles(view(spark, sf, "g_docs"))
 
 
-@query("clique4_count", " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH {sql.graph(v)} SELECT count(*) AS c4 FROM e ab JOIN e ac ON ab.u = ac.u AND ab.v < ac.v JOIN e bc ON bc.u = ab.v AND bc.v = ac.v JOIN e ad ON ad.u = ab.u AND ad.v > ac.v JOIN e bd ON bd.u = ab.v AND bd.v = ad.v JOIN e cd ON cd.u = ac.v AND cd.v = ad.v)" for v in ("g_docs", "g_pages")))
+def _clique_sql(v: str, k: int) -> str:
+    names = "abcdefg"[:k]
+    joins = " ".join(f"JOIN e {x}{y} ON {x}{y}.u = {names[0]}{x}.v AND {x}{y}.v = {names[0]}{y}.v" for i, x in enumerate(names) for y in names[i + 1 :] if i)
+    first = f"e {names[0]}{names[1]} " + " ".join(f"JOIN e {names[0]}{y} ON {names[0]}{y}.u = {names[0]}{names[1]}.u AND {names[0]}{y}.v > {names[0]}{x}.v" for x, y in zip(names[1:], names[2:], strict=False))
+    return f"WITH {sql.graph(v)} SELECT count(*) AS cliques FROM {first} {joins}"
+
+
+CLIQUES = [("g_docs", 4), ("g_pages", 4), ("g_conv", 5), ("g_geo", 4), ("g_geo", 3)]
+
+
+@query("clique_counts", " UNION ALL ".join(f"SELECT '{v}' AS view, {k} AS k, * FROM ({_clique_sql(v, k)})" for v, k in CLIQUES))
 def _(spark, sf):
-    return union([exact.cliques4(view(spark, sf, v)).withColumn("view", F.lit(v)) for v in ("g_docs", "g_pages")])
+    return union([exact.cliques(view(spark, sf, v), k).select(F.lit(v).alias("view"), F.lit(k).alias("k"), "cliques") for v, k in CLIQUES])
 
 
-# --- degeneracy ------------------------------------------------------------------------------------------------------------------------
+@query("clique_space", " UNION ALL ".join(f"SELECT '{v}' AS view, {k} AS k, cliques, round(m::DOUBLE * kappa ** {k - 2} / cliques, 6) AS space FROM ({_clique_sql(v, k)}), (WITH RECURSIVE {sql.graph(v)}, {sql.BOUNDS} SELECT m, kappa FROM bounds) WHERE cliques > 0" for v, k in CLIQUES))
+def _(spark, sf):
+    """The conjectured space for k-cliques, without logarithms."""
+    rows = [(v, k, exact.cliques(view(spark, sf, v), k).first()[0], facts(spark, sf, v)) for v, k in CLIQUES]
+    return spark.createDataFrame([(v, k, c, round(baselines.clique_bound(f.m, f.kappa, k, c), 6)) for v, k, c, f in rows if c], "view string, k int, cliques long, space double")
+
 
-PEEL_SQL = """WITH RECURSIVE {graph},
-s(k, live) AS (
-  SELECT 0::BIGINT, (SELECT list(x) FROM d)
-  UNION ALL
-  SELECT CASE WHEN len(live) = len(keep) THEN k + 1 ELSE k END, keep
-  FROM (SELECT k, live, coalesce((SELECT list(x) FROM (SELECT h.x, count(*) AS n FROM h WHERE list_contains(live, h.x) AND list_contains(live, h.nbr) GROUP BY h.x) z WHERE n > k), []) AS keep FROM s WHERE len(live) > 0))
-SELECT max(k) AS kappa FROM s"""
+TRANSITIVE = ("g_docs", "g_geo", "g_pages", "g_part_supp")
 
 
-@query("degeneracy_peel", PEEL_SQL.format(graph=sql.graph("g_coactive")))
+@query("transitivity", " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH {sql.graph(v)}, w AS (SELECT coalesce(sum(d * (d - 1) // 2), 0)::BIGINT AS wedges FROM d), q AS (SELECT count(*) AS t FROM tri) SELECT t, wedges, CASE WHEN wedges > 0 THEN round(3 * t / wedges, 9) ELSE 0 END::DOUBLE AS transitivity FROM w, q)" for v in TRANSITIVE))
 def _(spark, sf):
-    return one_row(spark, kappa=degeneracy.peel(view(spark, sf, "g_coactive"))[0])
+    return union([exact.transitivity(view(spark, sf, v)).select(F.lit(v).alias("view"), "t", "wedges", "transitivity") for v in TRANSITIVE])
 
 
-@query("core_numbers_peel")
+def _held(spark, sf) -> dict[str, DataFrame]:
+    href = F.explode(F.regexp_extract_all("html", F.lit('href="/([^"]*)"'), F.lit(1))).alias("token")
+    first = F.get(F.split(F.lower("text"), " ", -1), F.lit(0)).alias("token")
+    return {
+        "docs": graphs.document_lines(_table(spark, sf, "documents")).withColumnRenamed("doc_id", "member"),
+        "pages": _table(spark, sf, "pages").select(F.col("page_id").alias("member"), href),
+        "conv": _table(spark, sf, "conversations").where("role = 'user'").select(F.col("conv_id").alias("member"), first),
+    }
+
+
+@query("whole_groups", " UNION ALL ".join(f"SELECT '{k}' AS groups, * FROM (WITH {sql.graph('(' + sql.whole(g) + ')')} SELECT (SELECT count(*) FROM d) AS n, (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM tri) AS t, (SELECT coalesce(sum(d_e), 0)::BIGINT FROM ed) AS sum_de)" for k, g in sql.GROUPS.items()))
 def _(spark, sf):
-    return degeneracy.peel(view(spark, sf, "g_pages"))[1]
+    """Documents that share a line, pages a link, conversations a first word: groups of any size, none left out."""
+    return union([exact.group_summary(h).select(F.lit(k).alias("groups"), "n", "m", "t", "sum_de") for k, h in _held(spark, sf).items()])
+
 
+# --- degeneracy ------------------------------------------------------------------------------------------------------------------------
 
-@query("core_numbers_hindex")
+@query("degeneracy_peel", f"WITH RECURSIVE {sql.graph('g_coactive')}, {sql.CORES} SELECT max(core) AS kappa FROM cores")
 def _(spark, sf):
-    return degeneracy.cores_by_hindex(view(spark, sf, "g_pages"))
+    return one_row(spark, kappa=degeneracy.peel(view(spark, sf, "g_coactive"))[0]).select(F.col("kappa").cast("long"))
+
 
+CORES_SQL = f"WITH RECURSIVE {sql.graph('g_pages')}, {sql.CORES} SELECT v, core FROM cores"
 
-@query("cores_agree", "SELECT true AS equal")
+
+@query("core_numbers_peel", CORES_SQL)
 def _(spark, sf):
-    e = view(spark, sf, "g_pages")
-    a, b = degeneracy.peel(e)[1], degeneracy.cores_by_hindex(e)
-    return a.exceptAll(b).unionAll(b.exceptAll(a)).agg((F.count(F.lit(1)) == 0).alias("equal"))
+    return degeneracy.peel(view(spark, sf, "g_pages"))[1]
 
 
-def _facts(spark, sf, views) -> list[tuple[str, int, int, int, int]]:
-    out = []
-    for v in views:
-        e = view(spark, sf, v)
-        s = exact.summary(e).first()
-        out.append((v, s["n"], s["m"], s["t"], s["sum_de"], degeneracy.peel(e)[0]))
-    return out
+@query("core_numbers_hindex", CORES_SQL)
+def _(spark, sf):
+    return degeneracy.cores_by_hindex(view(spark, sf, "g_pages"))
 
 
-SMALL_VIEWS = ("g_geo", "g_wheel", "g_book", "g_docs", "g_pages", "g_coactive", "g_geo_supp", "g_conv")
-SMALL_KAPPA = {"g_geo": 2, "g_wheel": 3, "g_book": 2, "g_docs": 37, "g_pages": 28, "g_coactive": 73, "g_geo_supp": 2, "g_conv": 12}
+@query("cores_agree", f"WITH RECURSIVE {sql.graph('g_docs')}, {sql.CORES} SELECT count(*) AS n, max(core) AS kappa, 0::BIGINT AS differ FROM cores")
+def _(spark, sf):
+    e = view(spark, sf, "g_docs")
+    a, b = stored(degeneracy.peel(e)[1], "cores"), stored(degeneracy.cores_by_hindex(e), "cores")
+    differ = a.exceptAll(b).unionAll(b.exceptAll(a)).agg(F.count(F.lit(1)).alias("differ"))
+    return a.agg(F.count(F.lit(1)).alias("n"), F.max("core").alias("kappa")).join(differ)
 
 
-def _small_facts(spark, sf) -> DataFrame:
-    return spark.createDataFrame(_facts(spark, sf, SMALL_VIEWS), "view string, n long, m long, t long, sum_de long, kappa long")
+MOST_VIEWS = [v for v in VIEWS if v not in ("g_knn", "g_cosupply")]
 
 
-SMALL_SQL = " UNION ALL ".join(f"SELECT '{v}' AS view, {k}::BIGINT AS kappa, * FROM (WITH {sql.graph(v)} SELECT (SELECT count(*) FROM d) AS n, (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM tri) AS t, (SELECT coalesce(sum(d_e), 0)::BIGINT FROM ed) AS sum_de)" for v, k in SMALL_KAPPA.items())
+def _exact_facts(spark, sf) -> DataFrame:
+    """Summaries of all views, with the degeneracy that converging h-indices give; written once in an application."""
+    key = (spark.sparkContext.applicationId, sf, "exact facts")
+    schema = "view string, n long, m long, t long, sum_de long, kappa long"
+    if key not in _WRITTEN or not _exists(spark, _WRITTEN[key]):
+        out, uri = [], folder(spark, "exact-facts")
+        for v in MOST_VIEWS:
+            e = view(spark, sf, v)
+            kappa = degeneracy.cores_by_hindex(e).agg(F.coalesce(F.max("core"), F.lit(0)).cast("long").alias("kappa"))
+            out.append(exact.summary(e).join(kappa).select(F.lit(v).alias("view"), "n", "m", "t", "sum_de", "kappa"))
+        union(out).coalesce(1).write.parquet(uri)
+        gone_at_end(spark, uri)
+        _WRITTEN[key] = uri
+    return spark.read.schema(schema).parquet(_WRITTEN[key])
+
 
+EXACT_SQL = " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH RECURSIVE {sql.graph(v)}, {sql.CORES} SELECT (SELECT coalesce(max(core), 0)::BIGINT FROM cores) AS kappa, (SELECT count(*) FROM d) AS n, (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM tri) AS t, (SELECT coalesce(sum(d_e), 0)::BIGINT FROM ed) AS sum_de)" for v in MOST_VIEWS)
 
-@query("degeneracy_sandwich", "SELECT * FROM (VALUES ('g_geo', 2::BIGINT, true), ('g_wheel', 3, true), ('g_book', 2, true)) t(view, kappa, sandwiched)")
+
+@query("degeneracy_sandwich", " UNION ALL ".join(f"SELECT '{v}' AS view, kappa, kappa AS low, kappa AS high FROM (WITH RECURSIVE {sql.graph(v)}, {sql.CORES} SELECT max(core) AS kappa FROM cores)" for v in ("g_geo", "g_wheel", "g_book")))
 def _(spark, sf):
-    """A core is a subgraph of least degree kappa, and the peeling order has forward degrees of at most kappa."""
+    """The kappa-core has least degree kappa, and an order by (core, degree within, id) has no more than kappa later neighbours here."""
     rows = []
     for v in ("g_geo", "g_wheel", "g_book"):
         e = view(spark, sf, v)
         kappa, cores = degeneracy.peel(e)
-        cores = stored(cores, "cores")
         low = degeneracy.min_degree_of_subgraph(e, cores.where(F.col("core") == kappa).select(F.col("v").alias("x"))).first()[0]
         order = cores.join(exact.degrees(e).withColumnRenamed("x", "v"), "v").select(F.col("v").alias("x"), F.struct("core", "d", "v").alias("rank"))
-        high = degeneracy.forward_degree_bound(e, order).first()[0]
-        rows.append((v, kappa, low <= kappa <= high))
-    return spark.createDataFrame(rows, "view string, kappa long, sandwiched boolean")
+        rows.append((v, kappa, low, degeneracy.forward_degree_bound(e, order).first()[0]))
+    return spark.createDataFrame(rows, "view string, kappa long, low long, high long")
+
+
+BATCHED = ("g_coactive", "g_docs", "g_pages", "g_geo")
+
+
+@query("degeneracy_approx", " UNION ALL ".join(f"SELECT '{v}' AS view, kappa AS bound FROM (WITH RECURSIVE {sql.graph(v)}, {sql.KAPPA} SELECT kappa FROM kap)" for v in BATCHED))
+def _(spark, sf):
+    return spark.createDataFrame([(v, degeneracy.peel_batch(view(spark, sf, v), 0.5)) for v in BATCHED], "view string, bound long")
 
 
-@query("degeneracy_approx", "SELECT true AS ok")
+@query("arboricity_bracket", f"SELECT view, greatest((kappa + 2) // 2, CASE WHEN n > 1 THEN (m + n - 2) // (n - 1) ELSE 0 END)::BIGINT AS lo, kappa AS hi FROM ({EXACT_SQL}) WHERE m > 0")
 def _(spark, sf):
-    e = view(spark, sf, "g_coactive")
-    return one_row(spark, ok=degeneracy.peel(e)[0] <= degeneracy.peel_batch(e, 0.5) <= 3 * degeneracy.peel(e)[0])
+    """Half the degeneracy and the density bound arboricity from below, the degeneracy from above."""
+    density = F.when(F.col("n") > 1, F.ceil(F.col("m") / (F.col("n") - 1))).otherwise(0)
+    return _exact_facts(spark, sf).where("m > 0").select("view", F.greatest(F.floor((F.col("kappa") + 2) / 2), density).cast("long").alias("lo"), F.col("kappa").alias("hi"))
 
 
-@query("arboricity_bracket", f"SELECT view, ((kappa + 2) // 2)::BIGINT AS lo, kappa AS hi FROM ({SMALL_SQL})")
+@query("density_bound", " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH {sql.graph(v)}, q AS (SELECT (SELECT count(*) FROM d) AS n, (SELECT count(*) FROM e) AS m) SELECT CASE WHEN n > 1 THEN (m + n - 2) // (n - 1) ELSE 0 END::BIGINT AS lower FROM q)" for v in BATCHED))
 def _(spark, sf):
-    return _small_facts(spark, sf).select("view", F.floor((F.col("kappa") + 2) / 2).alias("lo"), F.col("kappa").alias("hi"))
+    return union([degeneracy.density_bound(view(spark, sf, v)).select(F.lit(v).alias("view"), "lower") for v in BATCHED])
 
 
-@query("invariants", f"""SELECT view, name, CASE name WHEN 'degree_sum' THEN sum_de <= 2 * m * kappa WHEN 'triangles' THEN t <= 2 * m * kappa ELSE kappa <= sqrt(2 * m) END AS ok FROM ({SMALL_SQL}), (VALUES ('degree_sum'), ('triangles'), ('root')) z(name)""")
+@query("invariants", f"""SELECT view, name, CASE name WHEN 'degree_sum' THEN sum_de <= 2 * m * kappa WHEN 'triangles' THEN t <= 2 * m * kappa ELSE kappa <= sqrt(2 * m) END AS ok FROM ({EXACT_SQL}), (VALUES ('degree_sum'), ('triangles'), ('root')) z(name)""")
 def _(spark, sf):
     checks = F.array(
         F.struct(F.lit("degree_sum").alias("name"), (F.col("sum_de") <= 2 * F.col("m") * F.col("kappa")).alias("ok")),
         F.struct(F.lit("triangles").alias("name"), (F.col("t") <= 2 * F.col("m") * F.col("kappa")).alias("ok")),
         F.struct(F.lit("root").alias("name"), (F.col("kappa") <= F.sqrt(2 * F.col("m"))).alias("ok")),
     )
-    return _small_facts(spark, sf).select("view", F.inline(checks))
+    return _exact_facts(spark, sf).select("view", F.inline(checks))
 
 
 @query("bound_comparison", f"""SELECT view, round(m::DOUBLE * kappa / t, 6) AS mk_over_t, round(m::DOUBLE * sqrt(m::DOUBLE) / t, 6) AS m15_over_t, round(m::DOUBLE / sqrt(t), 6) AS m_over_sqrt_t,
-CASE WHEN mk_over_t <= least(m15_over_t, m_over_sqrt_t) THEN 'degeneracy' WHEN m15_over_t <= m_over_sqrt_t THEN 'm15' ELSE 'sqrt' END AS winner, t >= kappa * kappa AS past_crossover FROM ({SMALL_SQL}) WHERE t > 0""")
+CASE WHEN mk_over_t <= least(m15_over_t, m_over_sqrt_t) THEN 'degeneracy' WHEN m15_over_t <= m_over_sqrt_t THEN 'm15' ELSE 'sqrt' END AS winner, t >= kappa * kappa AS past_crossover FROM ({EXACT_SQL}) WHERE t > 0""")
 def _(spark, sf):
-    return baselines.compare_bounds(_small_facts(spark, sf))
+    return baselines.compare_bounds(_exact_facts(spark, sf))
+
+
+PLANNED = [v for v in MOST_VIEWS if v not in ("g_part_supp", "g_doc_bench")]
+
+
+@query("parameter_table", " UNION ALL ".join(f"""SELECT '{v}' AS view, eps, ceil(7 * scale * m * (kappa / eps) / t_asg)::BIGINT AS r, ceil(61 * scale * m * kappa / t)::BIGINT AS s, round(m * kappa::DOUBLE * kappa / (eps * eps * t), 3) AS cut,
+ceil(21 * scale * m * (2.0::DOUBLE * kappa * ceil(7 * scale * m * (kappa / eps) / t_asg)) / (ceil(7 * scale * m * (kappa / eps) / t_asg) * t_asg))::BIGINT AS ell, ceil(7 * scale * m * (kappa / eps) / t_asg) >= m AS exact_is_cheaper
+FROM (SELECT *, ln(n::DOUBLE) / (eps * eps) AS scale, CASE WHEN eps < 1.0::DOUBLE / 12 THEN (1 - 12 * eps) * t ELSE t END AS t_asg FROM
+(WITH RECURSIVE {sql.graph(v)}, {sql.BOUNDS} SELECT m, kappa, t, (SELECT count(*) FROM d) AS n FROM bounds), (VALUES (0.05::DOUBLE), (0.1::DOUBLE), (0.15::DOUBLE)) z(eps)) WHERE t > 0""" for v in PLANNED))
+def _(spark, sf):
+    """Sizes with the proven constants; ell for the largest degree sum that a sample is expected to have, 2 * r * kappa."""
+    rows = []
+    for v in PLANNED:
+        f = facts(spark, sf, v)
+        for eps in (0.05, 0.1, 0.15) if f.t else ():
+            p = plan_theory(f.m, f.n, f.kappa, f.t, eps)
+            rows.append((v, eps, p.r, p.s, round(p.degree_cut, 3), p.with_degrees(2 * f.kappa * p.r).ell, p.exact_is_cheaper))
+    return spark.createDataFrame(rows, "view string, eps double, r long, s long, cut double, ell long, exact_is_cheaper boolean")
+
 
+RSE = ("g_geo", "g_book", "g_copurchase")
 
-@query("parameter_table")
+
+@query("plan_for_error", " UNION ALL ".join(f"""SELECT '{v}' AS view, r, greatest(4 * r, ceil(greatest(0.0, sum_de / t - 1) / half))::BIGINT AS ell FROM (SELECT *, greatest(1, ceil((m * t2 / (t * t) - 1) / half))::BIGINT AS r FROM
+(WITH RECURSIVE {sql.graph(v)}, {sql.BOUNDS}, own AS (SELECT te.a, te.b, te.c, min({{'s': t_inc, 'u': te.u, 'v': te.v}}) AS o FROM te JOIN inc ON te.u = inc.u AND te.v = inc.v GROUP BY ALL)
+SELECT m, t, (SELECT sum(n * n)::DOUBLE FROM (SELECT count(*) AS n FROM own GROUP BY o.u, o.v)) AS t2, (SELECT sum(d_e)::DOUBLE FROM ed) AS sum_de, 0.1::DOUBLE * 0.1::DOUBLE / 2 AS half FROM bounds))""" for v in RSE))
 def _(spark, sf):
+    """Sample sizes for a relative error of a tenth, from the owners' squared counts."""
     rows = []
-    for v, n, m, t, _, kappa in _facts(spark, sf, ("g_geo", "g_wheel", "g_book")):
-        for eps in (0.05, 0.1, 0.15):
-            p = plan_theory(m, n, kappa, t, eps)
-            rows.append((v, eps, p.r, p.s, float(p.degree_cut), p.r / m, p.exact_is_cheaper))
-    return spark.createDataFrame(rows, "view string, eps double, r long, s long, cut double, r_over_m double, exact_is_cheaper boolean")
+    for v in RSE:
+        e, f = view(spark, sf, v), facts(spark, sf, v)
+        q = assign.quality(assign.assign_by_count(exact.triangles(e), stored(exact.edge_triangle_counts(e), "counts"))).first()
+        p = plan_from_rse(f.m, f.n, f.kappa, f.t, exact.summary(e).first()["sum_de"], q["sum_squares"], 0.1)
+        rows.append((v, p.r, p.ell))
+    return spark.createDataFrame(rows, "view string, r long, ell long")
+
+
+def _owned(eps: float) -> str:
+    return f"""allowed AS (SELECT te.a, te.b, te.c, CASE WHEN inc.d_e <= {sql.cut(eps)} THEN {{'s': t_inc, 'u': te.u, 'v': te.v}} END AS o FROM te JOIN inc ON te.u = inc.u AND te.v = inc.v, bounds),
+best AS (SELECT a, b, c, min(o) AS o FROM allowed GROUP BY ALL),
+own AS (SELECT a, b, c, CASE WHEN o.s <= kappa / (2 * {eps}::DOUBLE) THEN o.u END AS owner_u, CASE WHEN o.s <= kappa / (2 * {eps}::DOUBLE) THEN o.v END AS owner_v FROM best, kap)"""
 
 
 # --- estimators -------------------------------------------------------------------------------------------------------------------------
 
-SIX = {"g_copurchase": (500, 2000, 40), "g_geo": (400, 1600, 10), "g_book": (400, 1600, 10), "g_docs": (400, 1600, 12)}
+SIX = {"g_copurchase": (500, 2000, 40), "g_geo": (400, 1600, 10), "g_book": (400, 1600, 10), "g_docs": (400, 1600, 12), "g_order_part_supp": (400, 1600, 20), "g_cust_part_supp": (400, 1600, 20), "g_coactive": (400, 1600, 20), "g_pages": (400, 1600, 12)}
 
 for _v, (_r, _l, _s) in SIX.items():
 
-    @query(f"six_pass_estimate_{_v[2:]}", sql.estimate(_v, "memo", **sql_plan(_v, _r, _l, _s)))
+    @query(f"six_pass_estimate_{_v[2:]}", sql.estimate(_v, "memo", **sql_plan(_r, _l, _s)))
     def _(spark, sf, v=_v, r=_r, ell=_l, s=_s):
         e = view(spark, sf, v)
-        return estimators.six_pass(e, plan_for(e, v, r, ell, s)).per_rep.drop("rep")
+        return estimators.six_pass(e, plan_for(spark, sf, v, r, ell, s)).per_rep.drop("rep")
 
 
 for _v in ("g_book", "g_wheel"):
     for _name, _how, _memo in (("no_assign", None, None), ("min_degree", "min_degree", "d_e"), ("min_triangles", "min_triangles", "t_inc")):
 
-        @query(f"six_pass_{_name}_{_v[2:]}", sql.estimate(_v, _memo, 3.0 if _how is None else 1.0, **sql_plan(_v, 300, 1200, 10)))
+        @query(f"six_pass_{_name}_{_v[2:]}", sql.estimate(_v, _memo, 3.0 if _how is None else 1.0, **sql_plan(300, 1200, 10)))
         def _(spark, sf, v=_v, how=_how):
             e = view(spark, sf, v)
-            return estimators.six_pass(e, plan_for(e, v, 300, 1200, 10), how).per_rep.drop("rep")
+            return estimators.six_pass(e, plan_for(spark, sf, v, 300, 1200, 10), how).per_rep.drop("rep")
 
 
-@query("six_pass_with_oracle", sql.estimate("g_geo", "memo", **sql_plan("g_geo", 400, 1600, 10)).replace("SELECT m,", "SELECT 5::BIGINT AS passes, m,"))
+@query("six_pass_with_oracle", sql.estimate("g_geo", "memo", **sql_plan(400, 1600, 10)).replace("SELECT m,", "SELECT 5::BIGINT AS passes, m,"))
 def _(spark, sf):
     e = view(spark, sf, "g_geo")
-    got = estimators.six_pass(e, plan_for(e, "g_geo", 400, 1600, 10), degree_oracle=exact.degrees(e))
+    got = estimators.six_pass(e, plan_for(spark, sf, "g_geo", 400, 1600, 10), degree_oracle=exact.degrees(e))
     return got.per_rep.drop("rep").withColumn("passes", F.lit(got.ledger.passes).cast("long"))
 
 
-_PLAN = sql_plan("g_copurchase", 500, 2000, 40)
+_PLAN = sql_plan(500, 2000, 40)
 STAGES_SQL = {
     "pass1_multiset": ("sample", "SELECT slot, u, v FROM drawn", ["slot", "u", "v"]),
     "pass2_degrees": ("edges", "SELECT slot, u, v, x, y, d_e FROM sampled", ["slot", "u", "v", "x", "y", "d_e"]),
@@ -261,31 +372,66 @@ STAGES_SQL = {
 }
 for _name, (_stage, _text, _cols) in STAGES_SQL.items():
 
-    @query(_name, f"WITH {sql.passes('g_copurchase', **_PLAN)} {_text}")
+    @query(_name, f"WITH RECURSIVE {sql.passes('g_copurchase', **_PLAN)} {_text}")
     def _(spark, sf, stage=_stage, cols=_cols):
         e = view(spark, sf, "g_copurchase")
-        return estimators.six_pass(e, plan_for(e, "g_copurchase", 500, 2000, 40)).stages[stage].select(*cols)
+        return estimators.six_pass(e, plan_for(spark, sf, "g_copurchase", 500, 2000, 40)).stages[stage].select(*cols)
 
 
-@query("assignment_sampled", f"WITH {sql.passes('g_geo', **sql_plan('g_geo', 400, 1600, 4))} SELECT t[1] AS a, t[2] AS b, t[3] AS c, owner_u, owner_v FROM memo")
+@query("assignment_sampled", f"WITH RECURSIVE {sql.passes('g_geo', **sql_plan(400, 1600, 4))} SELECT t[1] AS a, t[2] AS b, t[3] AS c, owner_u, owner_v FROM memo")
 def _(spark, sf):
     e = view(spark, sf, "g_geo")
-    return estimators.six_pass(e, plan_for(e, "g_geo", 400, 1600, 4)).stages["memo"]
+    return estimators.six_pass(e, plan_for(spark, sf, "g_geo", 400, 1600, 4)).stages["memo"]
+
 
+def _by_rep(v: str, reps: int, memo: str | None = "memo", share: float = 1.0, **plan) -> str:
+    return " UNION ALL ".join(f"SELECT {k}::INT AS rep, * FROM ({sql.estimate(v, memo, share, **plan, rep=k)})" for k in range(reps))
 
-@query("six_pass_replicas")
+
+@query("six_pass_replicas", _by_rep("g_geo", 6, **sql_plan(200, 800, 10)))
 def _(spark, sf):
     e = view(spark, sf, "g_geo")
-    return estimators.six_pass(e, plan_for(e, "g_geo", 200, 800, 10, reps=6)).per_rep
+    return estimators.six_pass(e, plan_for(spark, sf, "g_geo", 200, 800, 10, reps=6)).per_rep
+
+
+@query("six_pass_exhaustive", sql.estimate("g_docs", "memo", **sql_plan(400, 1600, 20, exhaustive=True)))
+def _(spark, sf):
+    e = view(spark, sf, "g_docs")
+    return estimators.six_pass(e, plan_for(spark, sf, "g_docs", 400, 1600, 20, exhaustive=True)).per_rep.drop("rep")
+
+
+@query("six_pass_rank_neighbor", sql.estimate("g_docs", "memo", **sql_plan(400, 1600, 12, neighbor="rank")))
+def _(spark, sf):
+    e = view(spark, sf, "g_docs")
+    return estimators.six_pass(e, plan_for(spark, sf, "g_docs", 400, 1600, 12), neighbor="rank").per_rep.drop("rep")
 
 
-@query("six_pass_exhaustive")
+@query("six_pass_exact_owner", f"WITH RECURSIVE {sql.passes('g_docs', **sql_plan(400, 1600, 12))}, {_owned(0.1)}, hit AS (SELECT count(*) AS hits FROM closed JOIN own ON closed.t[1] = a AND closed.t[2] = b AND closed.t[3] = c WHERE owner_u = closed.u AND owner_v = closed.v) SELECT m, 400::BIGINT AS r, 1600::BIGINT AS ell, sum_dr::BIGINT AS sum_dr, hits, round(m::DOUBLE / 400 * sum_dr::DOUBLE * hits / 1600, 6) AS x_est FROM m, total, hit")
 def _(spark, sf):
     e = view(spark, sf, "g_docs")
-    return estimators.six_pass(e, plan_for(e, "g_docs", 400, 1600, 200, exhaustive=True)).per_rep
+    return estimators.six_pass(e, plan_for(spark, sf, "g_docs", 400, 1600, 12), "exact").per_rep.drop("rep")
+
+
+@query("owner_questions", f"WITH RECURSIVE {sql.passes('g_geo', **sql_plan(400, 1600, 10))} SELECT fe.t[1] AS a, fe.t[2] AS b, fe.t[3] AS c, fe.u, fe.v, coalesce(owner_u = fe.u AND owner_v = fe.v, false) AS owned FROM fe JOIN memo ON fe.t = memo.t")
+def _(spark, sf):
+    """For every edge of every triangle found: does it own the triangle?"""
+    got = estimators.six_pass(view(spark, sf, "g_geo"), plan_for(spark, sf, "g_geo", 400, 1600, 10))
+    return assign.is_owner(got.stages["memo"], exact.triangle_edges(got.stages["triangles"], "a", "b", "c"))
+
+
+@query("assignment_memo", f"WITH RECURSIVE {sql.passes('g_geo', **sql_plan(400, 1600, 10))} SELECT t[1] AS a, t[2] AS b, t[3] AS c, owner_u, owner_v, t[1] % 2 AS round FROM memo")
+def _(spark, sf):
+    """Owners in two rounds: the second decides only what the first has not, and all decisions equal those of one round."""
+    from .plans.ledger import PassLedger
+
+    e, plan = view(spark, sf, "g_geo"), plan_for(spark, sf, "g_geo", 400, 1600, 10)
+    tri, degree = estimators.six_pass(e, plan, None).stages["closed"].select("a", "b", "c"), exact.degrees(e)
+    first = stored(assign.assign_sampled(PassLedger(e, plan.n), assign.remember(None, tri.where("a % 2 = 0")), degree, plan), "memo")
+    second = assign.assign_sampled(PassLedger(e, plan.n), assign.remember(first, tri), degree, plan)
+    return first.withColumn("round", F.lit(0).cast("long")).unionByName(second.withColumn("round", F.lit(1).cast("long")))
 
 
-def oracle_cte(v: str, k: int, seed: int, reps: str = "'0'") -> str:
+def oracle_cte(v: str, k: int, seed: int, owner: str = "d_e") -> str:
     c = sql.coin
     return f"""{sql.graph(v)},
 pos AS (SELECT *, sum(d_e) OVER (ORDER BY {c(seed, "'grp'", 'u', 'v')} % 64, u, v) AS upto FROM ed),
@@ -296,7 +442,7 @@ chosen AS (SELECT i, u, v, x, y, w FROM (SELECT p.*, h.nbr AS w, row_number() OV
 closed AS MATERIALIZED (SELECT i, c.u, c.v, list_sort([c.u, c.v, c.w]) AS t FROM chosen c JOIN e ON least(c.y, c.w) = e.u AND greatest(c.y, c.w) = e.v WHERE c.w <> c.y),
 found AS (SELECT DISTINCT t FROM closed),
 fe AS (SELECT t, unnest([t[1], t[1], t[2]]) AS u, unnest([t[2], t[3], t[3]]) AS v FROM found),
-{sql.owner_by('d_e')},
+{sql.owner_by(owner)},
 hit AS (SELECT i FROM closed JOIN memo2 USING (t) WHERE owner_u = u AND owner_v = v)"""
 
 
@@ -312,53 +458,136 @@ def _(spark, sf):
     return estimators.oracle_estimate(view(spark, sf, "g_cust_part_supp"), 900, 5).median_of_means(9)
 
 
-@query("oracle_estimate_unassigned")
+def _middle(v: str, k: int, groups: int, owner: str | None) -> str:
+    hit, share = ("SELECT i FROM closed", 3.0) if owner is None else ("SELECT i FROM hit", 1.0)
+    return f"WITH {oracle_cte(v, k, 5, owner or 'd_e')}, one AS (SELECT i % {groups} AS g, avg((i IN ({hit}))::BIGINT * sum_de / {share}::DOUBLE) AS x FROM range({k}) z(i), total GROUP BY 1) SELECT round(median(x), 6) AS x_est FROM one"
+
+
+@query("oracle_estimate_unassigned", _middle("g_book", 400, 4, None))
 def _(spark, sf):
     return estimators.oracle_estimate(view(spark, sf, "g_book"), 400, 5, assign=None).median_of_means(4)
 
 
-@query("oracle_estimate_min_triangles")
+@query("oracle_estimate_min_triangles", _middle("g_geo", 400, 4, "t_inc"))
 def _(spark, sf):
     return estimators.oracle_estimate(view(spark, sf, "g_geo"), 400, 5, assign="min_triangles").median_of_means(4)
 
 
-@query("space_report", "SELECT 6::BIGINT AS passes, 0::BIGINT AS oracle_queries, true AS within")
+VARIANCE = ("g_geo", "g_wheel")
+
+
+@query("oracle_variance", " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH {oracle_cte(v, 600, 5)}, x AS (SELECT (i IN (SELECT i FROM hit))::BIGINT * sum_de AS x FROM range(600) z(i), total), q AS (SELECT count(*) AS t FROM tri) SELECT round(avg(x), 6) AS mean, round(var_samp(x), 3) AS variance, any_value(sum_de * t) AS bound, var_samp(x) <= 1.1 * any_value(sum_de * t) AS within FROM x, total, q)" for v in VARIANCE))
 def _(spark, sf):
-    e = view(spark, sf, "g_geo")
-    got = estimators.six_pass(e, plan_for(e, "g_geo", 400, 1600, 10))
-    return one_row(spark, passes=got.ledger.passes, oracle_queries=got.ledger.oracle_queries, within=sum(got.ledger.kept.values()) < 20 * 2000).select(F.col("passes").cast("long"), F.col("oracle_queries").cast("long"), "within")
+    """Mean and variance over copies, beside the bound: the degree sum times the triangles."""
+    out = []
+    for v in VARIANCE:
+        e = view(spark, sf, v)
+        x = estimators.oracle_estimate(e, 600, 5).per_rep.join(exact.count_triangles(e))
+        x = x.agg(F.round(F.avg("x_est"), 6).alias("mean"), F.var_samp("x_est").alias("var"), F.first(F.col("sum_de") * F.col("t")).alias("bound"))
+        out.append(x.select(F.lit(v).alias("view"), "mean", F.round("var", 3).alias("variance"), "bound", (F.col("var") <= 1.1 * F.col("bound")).alias("within")))
+    return union(out)
+
+
+SUCCESS = {"g_geo": (1500, 6000, 10), "g_wheel": (1500, 6000, 6)}
+
+
+@query("success_rate", " UNION ALL ".join(f"SELECT '{v}' AS view, round(avg((abs(x_est / t - 1) <= 0.15)::INT), 6) AS success, avg((abs(x_est / t - 1) <= 0.15)::INT) >= 2.0 / 3 AS enough FROM ({_by_rep(v, 9, **sql_plan(*p, eps=0.15))}), (WITH {sql.graph(v)} SELECT count(*) AS t FROM tri)" for v, p in SUCCESS.items()))
+def _(spark, sf):
+    """The share of independent runs, with sampled owners, whose error is within eps; the guarantee is two thirds."""
+    out = []
+    for v, p in SUCCESS.items():
+        x = estimators.six_pass(view(spark, sf, v), plan_for(spark, sf, v, *p, eps=0.15, reps=9)).per_rep
+        share = F.avg((F.abs(F.col("x_est") / facts(spark, sf, v).t - 1) <= 0.15).cast("int"))
+        out.append(x.agg(share.alias("s")).select(F.lit(v).alias("view"), F.round("s", 6).alias("success"), (F.col("s") >= 2 / 3).alias("enough")))
+    return union(out)
+
+
+SPACE = sql_plan(400, 1600, 10)
+
+
+@query("space_report", f"""WITH RECURSIVE {sql.passes('g_geo', **SPACE)}, bits AS (SELECT 3 * ceil(log2(count(*)))::BIGINT AS bits FROM d),
+third AS (SELECT DISTINCT w FROM chosen), drawn2 AS (SELECT count(*) AS n FROM (SELECT n.u, n.v, n.w FROM near n JOIN times k ON n.u = k.u AND n.v = k.v AND n.rk = k.rk WHERE n.w <> n.y)),
+rows AS (SELECT 'sample' AS stage, (SELECT count(*) FROM drawn) AS kept, 1 AS scans UNION ALL SELECT 'degrees', (SELECT count(*) FROM (SELECT u FROM drawn UNION SELECT v FROM drawn)), 1 UNION ALL SELECT 'edges', (SELECT count(*) FROM sampled), 0
+UNION ALL SELECT 'picks', (SELECT count(*) FROM picks), 0 UNION ALL SELECT 'neighbors', (SELECT count(*) FROM chosen), 1 UNION ALL SELECT 'closures', (SELECT count(*) FROM third) + (SELECT count(*) FROM (SELECT DISTINCT least(y, w), greatest(y, w) FROM chosen JOIN e ON least(y, w) = e.u AND greatest(y, w) = e.v WHERE w <> y)), 1
+UNION ALL SELECT 'closed', (SELECT count(*) FROM closed), 0 UNION ALL SELECT 'triangles', (SELECT count(*) FROM found), 0 UNION ALL SELECT 'owner targets', (SELECT count(*) FROM targets), 0 UNION ALL SELECT 'owner draws', (SELECT n FROM drawn2), 1
+UNION ALL SELECT 'owner hits', (SELECT count(*) FROM (SELECT DISTINCT least(n.y, n.w), greatest(n.y, n.w) FROM near n JOIN times k ON n.u = k.u AND n.v = k.v AND n.rk = k.rk JOIN e ON least(n.y, n.w) = e.u AND greatest(n.y, n.w) = e.v WHERE n.w <> n.y)), 1 UNION ALL SELECT 'memo', (SELECT count(*) FROM memo), 0)
+SELECT stage, kept, (kept * bits)::BIGINT AS bits, scans::BIGINT AS scans FROM rows, bits""")
+def _(spark, sf):
+    """What each stage of a run keeps, in rows and bits, and how often its plan reads the edges."""
+    got = estimators.six_pass(view(spark, sf, "g_geo"), plan_for(spark, sf, "g_geo", 400, 1600, 10)).ledger
+    each = 3 * max(1, math.ceil(math.log2(max(2, got.n))))
+    return spark.createDataFrame([(k, n, n * each, got.read[k]) for k, n in got.kept.items()], "stage string, kept long, bits long, scans long")
+
+
+@query("measures", " UNION ALL ".join(f"SELECT '{v}' AS view, * FROM (WITH RECURSIVE {sql.passes(v, **SPACE)} SELECT 6::BIGINT AS passes, 0::BIGINT AS oracle_queries, (SELECT count(*) FROM closed) AS assign_calls, (SELECT count(*) FROM found) AS distinct_triangles, round(1600::DOUBLE * (SELECT sum(t_inc) FROM drawn JOIN inc ON drawn.u = inc.u AND drawn.v = inc.v) / sum_dr, 6) AS expected_calls, round(m::DOUBLE * kappa / t, 6) AS mk_over_t FROM total, bounds)" for v in ("g_geo", "g_docs")))
+def _(spark, sf):
+    """Passes, degree queries, calls for an owner beside their expectation, and the space that theory asks for without logarithms."""
+    out = []
+    for v in ("g_geo", "g_docs"):
+        e, f = view(spark, sf, v), facts(spark, sf, v)
+        got = estimators.six_pass(e, plan_for(spark, sf, v, 400, 1600, 10))
+        calls, distinct = got.calls()
+        mean = got.stages["sample"].join(exact.edge_triangle_counts(e), ["u", "v"]).agg(F.sum("t_inc").alias("t_r")).join(got.per_rep.select("sum_dr"))
+        out.append(mean.select(F.lit(v).alias("view"), F.lit(got.ledger.reads).cast("long").alias("passes"), F.lit(got.ledger.oracle_queries).cast("long").alias("oracle_queries"), F.lit(calls).cast("long").alias("assign_calls"), F.lit(distinct).cast("long").alias("distinct_triangles"),
+                               F.round(F.lit(1600.0) * F.col("t_r") / F.col("sum_dr"), 6).alias("expected_calls"), F.lit(round(f.m * f.kappa / f.t, 6) if f.t else None).cast("double").alias("mk_over_t")))
+    return union(out)
 
 
-@query("guess_ladder")
+@query("degree_queries", f"WITH RECURSIVE {sql.passes('g_geo', **SPACE)} SELECT 'six_pass' AS method, 5::BIGINT AS passes, (SELECT count(*) FROM (SELECT u FROM drawn UNION SELECT v FROM drawn)) AS queries UNION ALL SELECT 'oracle', 3, 2 * m FROM m")
 def _(spark, sf):
+    """Lookups of the degree oracle: at most two a sample edge in the six-pass form, two an edge in the three-pass form."""
     e = view(spark, sf, "g_geo")
-    return estimators.without_guess(e, plan_for(e, "g_geo", 400, 1600, 10), [6000.0, 3000.0, 1500.0, 750.0])
+    a = estimators.six_pass(e, plan_for(spark, sf, "g_geo", 400, 1600, 10), degree_oracle=exact.degrees(e)).ledger
+    b = estimators.oracle_estimate(e, 50, 5).ledger
+    return spark.createDataFrame([("six_pass", a.passes, a.oracle_queries), ("oracle", b.passes, b.oracle_queries)], "method string, passes long, queries long")
+
+
+@query("space_guard", "SELECT * FROM (VALUES (1.0::DOUBLE, true), (1000.0, false)) t(c, aborted)")
+def _(spark, sf):
+    """A run that keeps more than c times what is expected is stopped."""
+    e, plan, rows = view(spark, sf, "g_geo"), plan_for(spark, sf, "g_geo", 100, 400, 6), []
+    for c in (1.0, 1000.0):
+        try:
+            estimators.six_pass(e, plan, guard=SpaceGuard(100, c))
+            rows.append((c, False))
+        except SpaceBudgetExceeded:
+            rows.append((c, True))
+    return spark.createDataFrame(rows, "c double, aborted boolean")
+
+
+GUESSES = 7
+
+
+def _guess_sql(k: int) -> str:
+    ctes = sql.passes("g_geo", **sql_plan(400, 1600, 10, t=f"(2 * m * kappa)::DOUBLE / {2**k}"))
+    return f"SELECT * FROM (WITH RECURSIVE {ctes}, hit AS (SELECT count(*) AS hits FROM closed JOIN memo USING (t) WHERE owner_u = u AND owner_v = v) SELECT guess.t AS guess, round(m.m::DOUBLE / 400 * sum_dr::DOUBLE * hits / 1600, 6) AS est FROM m, total, hit, guess)"
+
+
+@query("guess_ladder", f"WITH g AS ({' UNION ALL '.join(map(_guess_sql, range(GUESSES)))}) SELECT guess, est, guess = (SELECT max(guess) FROM g WHERE est >= guess) AS accepted FROM g")
+def _(spark, sf):
+    """Guesses of the number of triangles from the largest that the degeneracy allows, halved: one set of six passes for all."""
+    f = facts(spark, sf, "g_geo")
+    plan = plan_for(spark, sf, "g_geo", 400, 1600, 10)
+    return estimators.without_guess(view(spark, sf, "g_geo"), plan, [2 * f.m * f.kappa / 2**k for k in range(GUESSES)])[0]
 
 
-@query("order_independence", "SELECT true AS equal")
+@query("order_independence", sql.estimate("g_docs", "memo", **sql_plan(300, 1200, 12)))
 def _(spark, sf):
+    """A run on the same edges in another order and other files."""
     e = view(spark, sf, "g_docs")
-    plan = plan_for(e, "g_docs", 300, 1200, 12)
-    a = estimators.six_pass(e, plan).per_rep
-    b = estimators.six_pass(stored(e.repartition(17, F.xxhash64("v")).sortWithinPartitions(F.desc("v")), "shuffled"), plan).per_rep
-    return a.exceptAll(b).unionAll(b.exceptAll(a)).agg((F.count(F.lit(1)) == 0).alias("equal"))
+    other = stored(e.repartition(17, F.xxhash64("v")).sortWithinPartitions(F.desc("v")), "shuffled")
+    return estimators.six_pass(other, plan_for(spark, sf, "g_docs", 300, 1200, 12)).per_rep.drop("rep")
 
 
 # --- assignment -------------------------------------------------------------------------------------------------------------------------
 
 def _exact_sql(v: str, eps: float) -> str:
-    kappa, t = KNOWN[v]
-    return f"""WITH {sql.graph(v)}, m AS (SELECT count(*) AS m FROM e),
-allowed AS (SELECT te.a, te.b, te.c, CASE WHEN inc.d_e <= m * {float(kappa**2)} / ({eps} * {eps} * {t}) THEN {{'s': t_inc, 'u': te.u, 'v': te.v}} END AS o FROM te JOIN inc ON te.u = inc.u AND te.v = inc.v, m),
-best AS (SELECT a, b, c, min(o) AS o FROM allowed GROUP BY ALL),
-own AS (SELECT a, b, c, CASE WHEN o.s <= {kappa / (2 * eps)} THEN o.u END AS owner_u, CASE WHEN o.s <= {kappa / (2 * eps)} THEN o.v END AS owner_v FROM best)"""
+    return f"WITH RECURSIVE {sql.graph(v)}, {sql.BOUNDS}, {_owned(eps)}"
 
 
 def _bounded(spark, sf, v):
-    """A view's edges, an upper bound of its degeneracy (h-index values only fall, to the cores) and its triangles, all of the graph at hand."""
-    e = view(spark, sf, v)
-    kappa = degeneracy.cores_by_hindex(e).agg(F.coalesce(F.max("core"), F.lit(0))).first()[0]
-    return e, int(kappa), exact.triangles(e).count()
+    f = facts(spark, sf, v)
+    return view(spark, sf, v), f.kappa, f.t
 
 
 def _assigned(bounded, eps):
@@ -384,18 +613,16 @@ def _(spark, sf):
 
 
 def _marked(kind: str, v: str, eps: float) -> tuple[str, str]:
-    kappa, t = KNOWN[v]
-    rule = f"t_inc > {kappa / eps}" if kind == "heavy" else f"d_e * {eps * t} > t_inc * (m * {kappa})::DOUBLE"
-    edges = f"WITH {sql.graph(v)}, m AS (SELECT count(*) AS m FROM e), marked AS (SELECT u, v FROM inc, m WHERE {rule})"
+    rule = f"t_inc > kappa / {eps}::DOUBLE" if kind == "heavy" else f"d_e * ({eps}::DOUBLE * t) > t_inc * (m * kappa)::DOUBLE"
+    edges = f"WITH RECURSIVE {sql.graph(v)}, {sql.BOUNDS}, marked AS (SELECT u, v FROM inc, bounds WHERE {rule})"
     every = "count(k.u) = 3" if kind == "heavy" else "count(k.u) > 0"
     return f"{edges} SELECT u, v FROM marked", f"{edges} SELECT a, b, c FROM te LEFT JOIN marked k ON te.u = k.u AND te.v = k.v GROUP BY a, b, c HAVING {every}"
 
 
 def _mark(spark, sf, kind, v, eps):
-    e = view(spark, sf, v)
-    kappa, t = KNOWN[v]
+    e, f = view(spark, sf, v), facts(spark, sf, v)
     counts = stored(exact.edge_triangle_counts(e), "counts")
-    return e, (assign.heavy_edges(counts, kappa, eps) if kind == "heavy" else assign.costly_edges(counts, kappa, eps, e.count(), t)).select("u", "v")
+    return e, (assign.heavy_edges(counts, f.kappa, eps) if kind == "heavy" else assign.costly_edges(counts, f.kappa, eps, f.m, f.t)).select("u", "v")
 
 
 for _kind, _v, _eps in (("heavy", "g_book", 0.1), ("costly", "g_copurchase", 1.0)):
@@ -410,12 +637,12 @@ for _kind, _v, _eps in (("heavy", "g_book", 0.1), ("costly", "g_copurchase", 1.0
         return assign.triangles_by_edges(e, marked, every=kind == "heavy")
 
 
-@query("sample_goodness")
+@query("sample_goodness", f"WITH RECURSIVE {sql.sampled('g_geo', 11, 400)}, {_owned(0.1)}, n AS (SELECT count(*) AS n FROM d), per AS (SELECT owner_u AS u, owner_v AS v, count(*) AS t FROM own WHERE owner_u IS NOT NULL GROUP BY ALL), held AS (SELECT ed.u, ed.v, d_e, coalesce(per.t, 0) AS t FROM ed LEFT JOIN per ON ed.u = per.u AND ed.v = per.v), al AS (SELECT sum(d_e) AS d_all, sum(t) AS t_all FROM held), mine AS (SELECT sum(d_e)::BIGINT AS d_r, sum(t)::BIGINT AS t_r FROM drawn JOIN held USING (u, v)) SELECT d_r, t_r, d_r <= d_all * 400::DOUBLE / m * ln(n) / 0.1 AS good_dr, t_r >= t_all * 400::DOUBLE / m * 0.9 AND t_r <= t_all * 400::DOUBLE / m * 1.1 AS good_tr FROM mine, al, m, n")
 def _(spark, sf):
-    e = view(spark, sf, "g_geo")
-    m, plan = e.count(), plan_for(e, "g_geo", 400, 1600, 10)
-    sample = sampling.uniform_multiset(e, plan.r, m, plan.seed)
-    return estimators.good_sample(e, sample, assign.assign_exact(e, plan.kappa, plan.eps, plan.t_guess, m), plan.r, m, exact.degrees(e).count(), plan.eps)
+    e, f = view(spark, sf, "g_geo"), facts(spark, sf, "g_geo")
+    plan = plan_for(spark, sf, "g_geo", 400, 1600, 10)
+    sample = sampling.uniform_multiset(e, plan.r, f.m, plan.seed)
+    return estimators.good_sample(e, sample, assign.assign_exact(e, plan.kappa, plan.eps, plan.t_guess, f.m), plan.r, f.m, f.n, plan.eps)
 
 
 # --- baselines, hard instances -------------------------------------------------------------------------------------------------------------
@@ -423,7 +650,7 @@ def _(spark, sf):
 _C = sql.coin
 
 
-@query("baseline_incident", f"WITH {sql.passes('g_book', **sql_plan('g_book', 300, 10, 4))} SELECT coalesce(sum(t_inc), 0)::BIGINT AS hits, round(m::DOUBLE / 900.0::DOUBLE * coalesce(sum(t_inc), 0)::DOUBLE, 6) AS x_est FROM drawn JOIN inc ON drawn.u = inc.u AND drawn.v = inc.v, m GROUP BY m")
+@query("baseline_incident", f"WITH RECURSIVE {sql.passes('g_book', **sql_plan(300, 10, 4))} SELECT coalesce(sum(t_inc), 0)::BIGINT AS hits, round(m::DOUBLE / 900.0::DOUBLE * coalesce(sum(t_inc), 0)::DOUBLE, 6) AS x_est FROM drawn JOIN inc ON drawn.u = inc.u AND drawn.v = inc.v, m GROUP BY m")
 def _(spark, sf):
     e = view(spark, sf, "g_book")
     return baselines.incident_sample(e, 300, e.count(), 11)
@@ -431,11 +658,7 @@ def _(spark, sf):
 
 @query("baseline_matrix", f"WITH {sql.graph('g_book')} SELECT count(*) AS t FROM tri")
 def _(spark, sf):
-    return baselines_matrix(view(spark, sf, "g_book"))
-
-
-def baselines_matrix(e: DataFrame) -> DataFrame:
-    return exact.count_by_matrix(e)
+    return exact.count_by_matrix(view(spark, sf, "g_book"))
 
 
 @query("baseline_sparsify_edge", f"WITH {sql.graph('(SELECT * FROM (' + sql.VIEWS['g_copurchase'] + ') WHERE ' + _C(3, chr(39) + 'sparsify' + chr(39), 'u', 'v') + ' < ' + str(int(0.3 * (1 << 52))) + ')')} SELECT count(*) AS hits, round(count(*) / {0.3**3}::DOUBLE, 6) AS x_est FROM tri")
@@ -448,13 +671,23 @@ def _(spark, sf):
     return baselines.sparsified_by_colours(view(spark, sf, "g_copurchase"), 3, 3)
 
 
-@query("baseline_wedge_uniform")
+@query("baseline_wedge_uniform", f"""WITH RECURSIVE {sql.sampled('g_copurchase', 3, 2000)},
+tries AS (SELECT *, ceil(d_e / sqrt(2 * m))::BIGINT AS tries FROM sampled, m), each AS (SELECT slot, u, v, x, y, d_e, tries, unnest(range(1, tries + 1)) AS j FROM tries),
+chosen AS (SELECT * FROM (SELECT q.*, h.nbr AS w, row_number() OVER (PARTITION BY slot, j ORDER BY {_C(3, "'wedge'", 'slot', 'j', 'h.nbr')}, h.nbr) AS k FROM each q JOIN h ON q.x = h.x) WHERE k = 1),
+closed AS (SELECT c.*, list_sort([c.u, c.v, c.w]) AS t FROM chosen c JOIN e ON least(c.y, c.w) = e.u AND greatest(c.y, c.w) = e.v WHERE c.w <> c.y),
+fe AS (SELECT slot, j, unnest([t[1], t[1], t[2]]) AS u, unnest([t[2], t[3], t[3]]) AS v FROM closed), best AS (SELECT slot, j, min({{'s': ed.d_e, 'u': fe.u, 'v': fe.v}}) AS o FROM fe JOIN ed ON fe.u = ed.u AND fe.v = ed.v GROUP BY ALL)
+SELECT count(*) AS hits, round(coalesce(sum(c.d_e::DOUBLE / tries), 0) * any_value(m) / 2000, 6) AS x_est FROM closed c JOIN best USING (slot, j), m WHERE o.u = c.u AND o.v = c.v""")
 def _(spark, sf):
     e = view(spark, sf, "g_copurchase")
     return baselines.uniform_wedges(e, 2000, e.count(), 3)
 
 
-@query("baseline_wedge_oriented")
+@query("baseline_wedge_oriented", f"""WITH RECURSIVE {sql.sampled('g_copurchase', 3, 4000)},
+oo AS (SELECT u, v, CASE WHEN d_u <= d_v THEN u ELSE v END AS p, CASE WHEN d_u <= d_v THEN v ELSE u END AS q FROM ed), outs AS (SELECT p, count(*) AS out FROM oo GROUP BY p),
+taken AS (SELECT slot, oo.p, oo.q AS y FROM drawn JOIN oo USING (u, v) JOIN outs ON oo.p = outs.p, m WHERE {_C(3, "'accept'", 'slot')} < out / sqrt(2 * m) * {1 << 52}),
+chosen AS (SELECT * FROM (SELECT s.*, oo.q AS w, row_number() OVER (PARTITION BY slot ORDER BY {_C(3, "'later'", 'slot', 'oo.q')}, oo.q) AS k FROM taken s JOIN oo ON s.p = oo.p) WHERE k = 1),
+hit AS (SELECT count(*) AS hits FROM chosen c JOIN e ON least(c.y, c.w) = e.u AND greatest(c.y, c.w) = e.v WHERE c.w <> c.y)
+SELECT hits, round(hits * (m * sqrt(2 * m) / 2 / 4000), 6) AS x_est FROM hit, m""")
 def _(spark, sf):
     e = view(spark, sf, "g_copurchase")
     return baselines.oriented_wedges(e, 4000, e.count(), 3)
@@ -465,11 +698,6 @@ def _(spark, sf):
     return sampling.bernoulli_edges(VIEWS["g_geo"](spark, sf), 0.25, 3)
 
 
-@query("race_picks")
-def _(spark, sf):
-    return sampling.race_picks(exact.edge_degrees(view(spark, sf, "g_geo")), "d_e", 200, 3)
-
-
 HARD = [(30, 4, 4), (60, 5, 5)]
 
 
@@ -484,51 +712,112 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "blocks int, p int, q int, shared boolean, n long, m long, t long, kappa long")
 
 
-@query("hard_detection", "SELECT * FROM (VALUES (false, false), (true, true)) t(shared, detected)")
+FAMILY = [(3, 2, 12), (3, 3, 12), (4, 2, 30), (4, 3, 30), (5, 2, 30)]
+
+
+@query("hard_family", " UNION ALL ".join(f"SELECT {k} AS kappa_wanted, {t} AS t_power, {n} AS blocks, {s} AS shared, * FROM (WITH RECURSIVE {sql.graph('(' + sql.hard(n, k, k ** (t - 2), s) + ')')}, {sql.CORES} SELECT (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM tri) AS t, (SELECT max(core) FROM cores) AS kappa, {k**t if s else 0}::BIGINT AS t_formula)" for k, t, n in FAMILY for s in (False, True)))
 def _(spark, sf):
+    """Members of the lower bound's family over degeneracy, power and blocks, with and without a shared index."""
     rows = []
-    for s in (False, True):
-        e = stored(baselines.hard_graph(baselines.disjointness_bits(spark, 30, s), 4, 4), "hard")
-        plan = SamplePlan(e.count(), 128, 8, 64, 0.1, 300, 1200, 20, 3)
-        rows.append((s, estimators.six_pass(e, plan, None).per_rep.first()["hits"] > 0))
-    return spark.createDataFrame(rows, "shared boolean, detected boolean")
+    for k, t, n in FAMILY:
+        for s in (False, True):
+            e = stored(baselines.hard_graph_for(spark, k, t, n, s), "hard")
+            rows.append((k, t, n, s, e.count(), exact.count_triangles(e).first()[0], degeneracy.peel(e)[0], k**t if s else 0))
+    return spark.createDataFrame(rows, "kappa_wanted int, t_power int, blocks int, shared boolean, m long, t long, kappa long, t_formula long")
+
+
+DETECT, RUNS = [(4, 3, 30), (4, 2, 30)], 6
+_HARD_PLAN = dict(r=200, ell=800, s=20, eps=0.1, seed=3)
+
+
+def _detect_sql(k: int, t: int, n: int, shared: bool) -> str:
+    g = f"({sql.hard(n, k, k ** (t - 2), shared)})"
+    runs = " UNION ALL ".join(f"SELECT hits FROM ({sql.estimate(g, 'memo', **_HARD_PLAN, rep=rep, t=f'{k**t}::DOUBLE')})" for rep in range(RUNS))
+    return f"SELECT {k} AS kappa, {t} AS t_power, {shared} AS shared, {RUNS}::BIGINT AS runs, sum((hits > 0)::INT)::BIGINT AS detected FROM ({runs})"
+
+
+@query("hard_detection", f"SELECT *, (CASE WHEN shared THEN detected ELSE runs - detected END) * 3 >= runs * 2 AS enough FROM ({' UNION ALL '.join(_detect_sql(k, t, n, s) for k, t, n in DETECT for s in (False, True))})")
+def _(spark, sf):
+    """Independent runs with sampled owners that tell a graph without triangles from one with kappa^t; two thirds have to be right."""
+    out = []
+    for k, t, n in DETECT:
+        for s in (False, True):
+            e = stored(baselines.hard_graph_for(spark, k, t, n, s), "hard")
+            bound = degeneracy.peel_batch(e, 0.5)
+            plan = SamplePlan(e.count(), exact.degrees(e).count(), bound, k**t, 0.1, 200, 800, 20, 3, reps=RUNS)
+            found = estimators.six_pass(e, plan).per_rep.agg(F.count(F.lit(1)).alias("runs"), F.sum((F.col("hits") > 0).cast("long")).alias("detected"))
+            right = F.when(F.lit(s), F.col("detected")).otherwise(F.col("runs") - F.col("detected"))
+            out.append(found.select(F.lit(k).alias("kappa"), F.lit(t).alias("t_power"), F.lit(s).alias("shared"), "runs", "detected", (right * 3 >= F.col("runs") * 2).alias("enough")))
+    return union(out)
+
+
+def _replay(spark):
+    """A run by two parties on the shared hard graph: the first has the sides and its own blocks, the second its blocks."""
+    bits = baselines.disjointness_bits(spark, 30, True)
+    e = stored(baselines.hard_graph(bits, 4, 4), "hard")
+    # the second party's edges go from its side, vertices 4 to 7, to blocks
+    theirs = (F.col("u").between(4, 7)) & (F.col("v") >= 8)
+    halves = stream_passes.Halves(stored(e.where(~theirs), "first"), stored(e.where(theirs), "second"))
+    plan = SamplePlan(e.count(), exact.degrees(e).count(), degeneracy.peel_batch(e, 0.5), 64, 0.1, 200, 800, 20, 3)
+    return halves, stream_passes.streamed_six_pass(halves, plan), plan
+
+
+@query("two_party_replay", sql.estimate(f"({sql.hard(30, 4, 4, True)})", "memo", **_HARD_PLAN, t="64::DOUBLE").replace("SELECT m,", "SELECT 6::BIGINT AS passes, 12::BIGINT AS messages, m,"))
+def _(spark, sf):
+    halves, got, _ = _replay(spark)
+    got = stored(got, "replayed")
+    return got.select(F.lit(halves.passes).cast("long").alias("passes"), F.lit(len(halves.crossed)).cast("long").alias("messages"), "m", "r", "ell", "sum_dr", "hits", "x_est")
 
 
-@query("protocol_bits")
+@query("protocol_bits", "SELECT true AS metered_within_formula, true AS less_than_graph_per_pass_times_samples")
 def _(spark, sf):
-    e = stored(baselines.hard_graph(baselines.disjointness_bits(spark, 30, True), 4, 4), "hard")
-    got = estimators.six_pass(e, SamplePlan(e.count(), 128, 8, 64, 0.1, 60, 240, 10, 3))
-    return one_row(spark, passes=got.ledger.passes, state_bits=got.ledger.retained_bits, bits_exchanged=baselines.protocol_bits(got.ledger.passes, got.ledger.retained_bits))
+    """Bits that cross in the replay, metered, beside what the formula allows for the plan's largest state."""
+    halves, _, plan = _replay(spark)
+    each = 3 * math.ceil(math.log2(plan.n))
+    crossed = sum(halves.crossed) * each
+    state = max(halves.crossed) * each
+    limit = baselines.protocol_bits(halves.passes, state) + state
+    return one_row(spark, metered_within_formula=crossed <= limit, less_than_graph_per_pass_times_samples=max(halves.crossed) <= 3 * (plan.r + plan.ell * plan.s))
 
 
-@query("workload_wheel_space")
+@query("workload_wheel_space", "SELECT m, round(m * 3.0::DOUBLE / t, 6) AS mk_over_t, round(m / sqrt(t::DOUBLE), 6) AS m_over_sqrt_t, true AS flat FROM (SELECT 2 * n AS m, n AS t FROM (SELECT count(*) * f AS n FROM customer, (VALUES (16), (64)) z(f) GROUP BY f))")
 def _(spark, sf):
-    """Rows kept by a run on the wheel, against what rival bounds ask for: flat in n against growing with its root."""
-    e = view(spark, sf, "g_wheel")
-    got = estimators.six_pass(e, plan_for(e, "g_wheel", 200, 800, 10))
-    m = e.count()
-    return one_row(spark, m=m, kept_rows=sum(got.ledger.kept.values()), mk_over_t=6.0, m_over_sqrt_t=m / math.sqrt(m / 2))
+    """Rows kept by a run on two wheels, one four times the other: flat in n, while the rival bound doubles."""
+    out, kept = [], []
+    base = exact.degrees(view(spark, sf, "g_wheel")).count() - 1
+    for n in (16 * base, 64 * base):
+        spokes = F.array(F.struct(F.lit(0).cast("long").alias("p"), (F.col("id") + 1).alias("q")), F.struct((F.col("id") + 1).alias("p"), ((F.col("id") + 1) % n + 1).alias("q")))
+        e = stored(canonical(spark.range(n).select(F.inline(spokes)), "p", "q"), "wheel")
+        got = estimators.six_pass(e, SamplePlan(2 * n, n + 1, 3, n, 0.1, 200, 800, 10, 11))
+        kept.append(sum(got.ledger.kept.values()))
+        out.append((2 * n, round(2 * n * 3 / n, 6), round(2 * n / math.sqrt(n), 6)))
+    return spark.createDataFrame([(*row, max(kept) <= 1.25 * min(kept)) for row in out], "m long, mk_over_t double, m_over_sqrt_t double, flat boolean")
 
 
-@query("workload_book_variance")
+def _spread(how: str, memo: str | None, share: float) -> str:
+    return f"SELECT '{how}' AS how, round(avg(x_est / t), 6) AS mean, round(stddev_samp(x_est / t), 6) AS rse FROM ({_by_rep('g_book', 12, memo, share, **sql_plan(300, 1200, 10))}), (WITH {sql.graph('g_book')} SELECT count(*) AS t FROM tri)"
+
+
+@query("workload_book_variance", f"{_spread('assigned', 'd_e', 1.0)} UNION ALL {_spread('incident', None, 3.0)}")
 def _(spark, sf):
     """Spread of the incident and of the assigned estimate over seeds, on the graph whose triangles share an edge."""
-    e = view(spark, sf, "g_book")
-    t = exact.count_triangles(e).first()[0]
-    plan = plan_for(e, "g_book", 300, 1200, 10, reps=12)
+    e, t = view(spark, sf, "g_book"), facts(spark, sf, "g_book").t
+    plan = plan_for(spark, sf, "g_book", 300, 1200, 10, reps=12)
     a = estimators.six_pass(e, plan, "min_degree").per_rep.select(F.lit("assigned").alias("how"), (F.col("x_est") / t).alias("ratio"))
     b = estimators.six_pass(e, plan, None).per_rep.select(F.lit("incident").alias("how"), (F.col("x_est") / t).alias("ratio"))
     return a.unionByName(b).groupBy("how").agg(F.round(F.avg("ratio"), 6).alias("mean"), F.round(F.stddev("ratio"), 6).alias("rse"))
 
 
-@query("workload_accuracy_sweep")
+SWEEP = [(r, ell, s, how) for r, ell, s in ((250, 1000, 10), (500, 2000, 10), (500, 2000, 40), (1000, 4000, 40)) for how in ("sampled", None)]
+
+
+@query("workload_accuracy_sweep", " UNION ALL ".join(f"SELECT '{how or 'incident'}' AS how, {s} AS s, r, ell, x_est, abs(x_est / t - 1) AS rel_err FROM ({sql.estimate('g_coactive', 'memo' if how else None, 1.0 if how else 3.0, **sql_plan(r, ell, s))}), (WITH {sql.graph('g_coactive')} SELECT count(*) AS t FROM tri)" for r, ell, s, how in SWEEP))
 def _(spark, sf):
-    e = view(spark, sf, "g_copurchase")
-    t = exact.count_triangles(e).first()[0]
-    out = []
-    for r, ell in ((250, 1000), (500, 2000), (1000, 4000)):
-        x = estimators.six_pass(e, plan_for(e, "g_copurchase", r, ell, 20), None).per_rep
-        out.append(x.select("r", "ell", "x_est", F.abs(F.col("x_est") / t - 1).alias("rel_err")))
+    """Error over sample sizes, neighbour samples and with or without owners."""
+    e, t, out = view(spark, sf, "g_coactive"), facts(spark, sf, "g_coactive").t, []
+    for r, ell, s, how in SWEEP:
+        x = estimators.six_pass(e, plan_for(spark, sf, "g_coactive", r, ell, s), how).per_rep
+        out.append(x.select(F.lit(how or "incident").alias("how"), F.lit(s).alias("s"), "r", "ell", "x_est", F.abs(F.col("x_est") / t - 1).alias("rel_err")))
     return union(out)
 
 
@@ -541,7 +830,8 @@ def _(spark, sf):
 @query("bipartite_zero", "SELECT 0::BIGINT AS hits")
 def _(spark, sf):
     e = view(spark, sf, "g_part_supp")
-    return estimators.six_pass(e, SamplePlan(e.count(), 2, 33, 1, 0.1, 300, 1200, 10, 3)).per_rep.select("hits")
+    f = facts(spark, sf, "g_part_supp")
+    return estimators.six_pass(e, SamplePlan(f.m, f.n, f.kappa, 1, 0.1, 300, 1200, 10, 3)).per_rep.select("hits")
 
 
 # --- relational surface --------------------------------------------------------------------------------------------------------------------
@@ -563,19 +853,41 @@ def relational() -> None:
         return edge_io.read_edge_text(spark, out)
 
     def source_scan(spark, sf):
-        """The Python data source on one text file of the local session; a cluster reads edge lists with read_edge_text."""
+        """The Python data source on the text files of a whole view, in the shared folder and cut into small ranges."""
         spark.dataSource.register(edge_io.EdgeListSource)
-        import os
-        import tempfile
+        out = folder(spark, "edge-list")
+        VIEWS["g_geo"](spark, sf).select(F.concat_ws(" ", "v", "u").alias("value")).write.text(out)
+        return canonical(spark.read.format("edge_list").option("path", out if "://" in out else f"file://{out}").option("splitbytes", 10000).load(), "a", "b")
 
-        path = os.path.join(tempfile.mkdtemp(), "edges.txt")
-        with open(path, "w") as f:
-            f.write("# two ids a line\n5 3\n3 5\n1 1\n2 9\n")
-        return canonical(spark.read.format("edge_list").option("path", path).load(), "a", "b")
+    def rows_scan(kind):
+        def run(spark, sf):
+            out = folder(spark, f"edge-{kind}")
+            VIEWS["g_geo"](spark, sf).select(F.col("v").alias("a"), F.col("u").alias("b")).write.format(kind).save(out)
+            return edge_io.read_edge_rows(spark, out, kind)
+
+        return run
 
+    def sorted_sink(spark, sf):
+        """Written by ranges of u, so a filter on u reaches the row groups."""
+        out = folder(spark, "sorted-edges")
+        edge_io.write_edges(view(spark, sf, "g_copurchase"), out, 8)
+        return spark.read.schema("u long, v long").parquet(out).where("u between 10 and 60")
+
+    def bucketed_sink(spark, sf):
+        """Two bucketed tables meet on u without a shuffle of either."""
+        name = f"bucketed_{uuid.uuid4().hex}"
+        edge_io.write_bucketed(view(spark, sf, "g_geo"), name, 8)
+        e = spark.table(name)
+        return e.join(e.select("u", F.col("v").alias("w")), "u").where("v < w").groupBy("u").agg(F.count(F.lit(1)).alias("wedges"))
+
+    geo = sql.VIEWS["g_geo"]
+    add("scan_edges_csv", f"SELECT u, v FROM ({geo})", rows_scan("csv"))
+    add("scan_edges_json", f"SELECT u, v FROM ({geo})", rows_scan("json"))
+    add("sink_sorted_edges", f"SELECT u, v FROM ({e_sql}) WHERE u BETWEEN 10 AND 60", sorted_sink)
+    add("sink_bucketed_edges", f"SELECT i.u, count(*) AS wedges FROM ({geo}) i JOIN ({geo}) j ON i.u = j.u AND i.v < j.v GROUP BY i.u", bucketed_sink)
     add("scan_edges_parquet", f"SELECT u, v FROM ({e_sql})", lambda s, d: view(s, d, "g_copurchase"))
     add("scan_edges_text", f"SELECT u, v FROM ({sql.VIEWS['g_geo']})", text_scan)
-    add("scan_edge_list_source", "SELECT * FROM (VALUES (3::BIGINT, 5::BIGINT), (2, 9)) t(u, v)", source_scan)
+    add("scan_edge_list_source", f"SELECT u, v FROM ({geo})", source_scan)
     add("proj_canonical_edges", "SELECT DISTINCT least(l_partkey, l_suppkey) AS u, greatest(l_partkey, l_suppkey) AS v FROM lineitem WHERE l_partkey <> l_suppkey", lambda s, d: canonical(_table(s, d, "lineitem"), "l_partkey", "l_suppkey"))
 
     def induced(s, d):
@@ -657,7 +969,11 @@ def relational() -> None:
     add("agg_pivot_types", "SELECT user_id, " + ", ".join(f"nullif(count(*) FILTER (event_type = '{k}'), 0) AS \"{k}\"" for k in kinds) + " FROM events GROUP BY user_id", lambda s, d: _table(s, d, "events").groupBy("user_id").pivot("event_type", kinds).agg(F.count(F.lit(1))))
     add("agg_min_by_owner", f"WITH {sql.graph('g_docs')} SELECT a, b, c, (min({{'s': t_inc, 'u': te.u, 'v': te.v}})).u AS owner_u, (min({{'s': t_inc, 'u': te.u, 'v': te.v}})).v AS owner_v FROM te JOIN inc ON te.u = inc.u AND te.v = inc.v GROUP BY a, b, c",
         lambda s, d: (lambda e: assign.assign_by_count(exact.triangles(e), exact.edge_triangle_counts(e)))(view(s, d, "g_docs")))
-    add("agg_approx_distinct", None, lambda s, d: _table(s, d, "lineitem").agg(F.approx_count_distinct("l_partkey").alias("n")))
+    near = lambda s, d, c: c.join(_table(s, d, "lineitem").agg(F.countDistinct("l_partkey").alias("exact"))).select("exact", (F.abs(F.col("n") - F.col("exact")) <= 0.1 * F.col("exact")).alias("near"))
+    near_sql = "SELECT count(DISTINCT l_partkey) AS exact, true AS near FROM lineitem"
+    add("agg_approx_distinct", near_sql, lambda s, d: near(s, d, _table(s, d, "lineitem").agg(F.approx_count_distinct("l_partkey", 0.02).alias("n"))))
+    add("agg_hll_sketch", near_sql, lambda s, d: near(s, d, _table(s, d, "lineitem").groupBy("l_returnflag").agg(F.hll_sketch_agg("l_partkey", 14).alias("h")).agg(F.hll_sketch_estimate(F.hll_union_agg("h")).alias("n"))))
+    add("agg_count_min_sketch", "SELECT count(*) AS n, true AS built FROM lineitem", lambda s, d: _table(s, d, "lineitem").agg(F.count(F.lit(1)).alias("n"), (F.length(F.count_min_sketch("l_partkey", F.lit(0.01), F.lit(0.99), F.lit(7))) > 0).alias("built")))
 
     add("win_running_edge_degree", f"WITH {sql.graph('g_docs')} SELECT u, v, sum(d_e) OVER (PARTITION BY u ORDER BY v)::BIGINT AS upto FROM ed", lambda s, d: exact.edge_degrees(view(s, d, "g_docs")).select("u", "v", F.sum("d_e").over(Window.partitionBy("u").orderBy("v")).alias("upto")))
     rank = lambda s, d: half_edges(view(s, d, "g_docs")).withColumn("k", F.row_number().over(Window.partitionBy("x").orderBy("nbr")))
@@ -676,8 +992,10 @@ def relational() -> None:
         return canonical(ev.select("user_id", F.lead("user_id").over(Window.partitionBy("event_type").orderBy("ts", "event_id")).alias("next")), "user_id", "next")
 
     half = lambda second: sql._pairs(f"SELECT user_id AS p, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS q FROM events WHERE day(ts) {'>' if second else '<='} 15")
-    for name, word, how in (("set_union_edges", "UNION", lambda a, b: a.union(b).distinct()), ("set_intersect_edges", "INTERSECT", lambda a, b: a.intersect(b)), ("set_except_edges", "EXCEPT", lambda a, b: a.subtract(b)), ("set_unionall_edges", "UNION ALL", lambda a, b: a.unionByName(b))):
-        add(name, f"SELECT u, v FROM ({half(False)}) {word} SELECT u, v FROM ({half(True)})", lambda s, d, how=how: how(half_month(s, d, False), half_month(s, d, True)))
+    for name, word, how in (("set_union_edges", "UNION", lambda a, b: a.union(b).distinct()), ("set_intersect_edges", "INTERSECT", lambda a, b: a.intersect(b)), ("set_except_edges", "EXCEPT", lambda a, b: a.subtract(b)), ("set_unionall_edges", "UNION ALL", lambda a, b: a.unionByName(b)), ("set_intersectall_edges", "INTERSECT ALL", lambda a, b: a.unionByName(a).intersectAll(b)), ("set_exceptall_edges", "EXCEPT ALL", lambda a, b: a.unionByName(a).exceptAll(b))):
+        first = f"SELECT u, v FROM ({half(False)})"
+        first = f"(SELECT * FROM ({first}) UNION ALL {first})" if "ALL" in word and word != "UNION ALL" else first
+        add(name, f"{first} {word} SELECT u, v FROM ({half(True)})", lambda s, d, how=how: how(half_month(s, d, False), half_month(s, d, True)))
 
     add("fn_string_tokens", """SELECT page_id, len(regexp_extract_all(html, 'href="/([^"]*)"', 1)) AS n_links, lower(string_split(url, '/')[3]) AS host FROM pages""",
         lambda s, d: _table(s, d, "pages").select("page_id", F.size(F.regexp_extract_all("html", F.lit('href="/([^"]*)"'), F.lit(1))).cast("long").alias("n_links"), F.lower(F.get(F.split("url", "/"), F.lit(2))).alias("host")))
@@ -746,16 +1064,56 @@ def relational() -> None:
 
     add("udtf_hard_graph", "SELECT true AS equal, 336 AS m", udtf_hard)
 
+    def levels(s, d):
+        """A recursive query: the vertices of a small graph by their distance from vertex 1, up to three steps."""
+        half_edges(view(s, d, "g_geo")).createOrReplaceTempView("levels_half")
+        s.sql("WITH RECURSIVE r(x, k) AS (SELECT 1L, 0 UNION ALL SELECT h.nbr, r.k + 1 FROM r JOIN levels_half h ON h.x = r.x WHERE r.k < 2) SELECT x, min(k) AS k FROM r GROUP BY x").createOrReplaceTempView("levels_out")
+        return s.table("levels_out")
+
+    add("sql_recursive_levels", f"WITH RECURSIVE {sql.graph('g_geo')}, r(x, k) AS (SELECT 1::BIGINT, 0 UNION ALL SELECT h.nbr, r.k + 1 FROM r JOIN h ON h.x = r.x WHERE r.k < 2) SELECT x, min(k) AS k FROM r GROUP BY x", levels)
+
+    def table_function(s, d):
+        view(s, d, "g_geo").createOrReplaceTempView("function_edges")
+        s.sql("CREATE OR REPLACE TEMPORARY FUNCTION edges_of(vertex BIGINT) RETURNS TABLE (u BIGINT, v BIGINT) RETURN SELECT u, v FROM function_edges WHERE u = vertex OR v = vertex")
+        return s.sql("SELECT u, v FROM edges_of(5)")
+
+    add("sql_table_function", f"SELECT u, v FROM ({sql.VIEWS['g_geo']}) WHERE u = 5 OR v = 5", table_function)
+
+    def race(s, d):
+        """A statistical test: over many draws every edge's share is near its share of the weight."""
+        rows = stored(exact.edge_degrees(view(s, d, "g_geo")).select("u", "v", "d_e"), "race")
+        picks = stored(sampling.race_picks(rows, "d_e", 400, 3), "race-picks")
+        mean = rows.agg((F.sum(F.col("d_e") * F.col("d_e")) / F.sum("d_e")).alias("mean"), F.sqrt(F.sum(F.pow("d_e", F.lit(3))) / F.sum("d_e")).alias("spread"))
+        got = picks.join(rows, ["u", "v"]).agg(F.count(F.lit(1)).alias("picks"), F.avg("d_e").alias("seen"))
+        return got.join(mean).select("picks", (F.abs(F.col("seen") - F.col("mean")) <= 5 * F.col("spread") / 20).alias("near"))
+
+    add("race_picks", "SELECT 400::BIGINT AS picks, true AS near", race)
+
     # windows that the watermark of one hour has closed
     closed = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
     bound = lambda s, d, out, end: out.join(_table(s, d, "events").agg(F.max("ts").alias("last")), F.expr(f"{end} <= last - interval 1 hour")).drop("last")
     add("stream_tumbling_windows", f"SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, count(*) AS n_events, count(*) FILTER (event_type = 'purchase') AS n_purchases FROM events GROUP BY 1 HAVING time_bucket(INTERVAL 1 HOUR, any_value(ts)) + INTERVAL 1 HOUR <= {closed}",
         lambda s, d: bound(s, d, windows.run_to_table(windows.tumbling_users(windows.event_stream(s, d)), "tumbling"), "start + interval 1 hour"))
-    add("stream_sliding_edges", f"WITH w AS (SELECT time_bucket(INTERVAL 15 MINUTE, ts) - k * INTERVAL 15 MINUTE AS start FROM events, range(4) z(k)) SELECT start, count(*) AS n_events FROM w GROUP BY 1 HAVING start + INTERVAL 1 HOUR <= {closed}",
-        lambda s, d: bound(s, d, windows.run_to_table(windows.sliding_users(windows.event_stream(s, d)), "sliding"), "start + interval 1 hour"))
-    add("stream_session_edges", f'WITH m AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events), g AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM m) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS "end", count(*) AS n_events FROM g GROUP BY user_id, k HAVING max(ts) + INTERVAL 30 MINUTE <= {closed}',
+    hourly = "SELECT DISTINCT start, least(a.user_id, b.user_id) AS u, greatest(a.user_id, b.user_id) AS v FROM w a JOIN w b USING (start, event_type) WHERE a.user_id < b.user_id"
+    members = lambda s, d, what, step=None: stored(bound(s, d, windows.run_to_table(windows.window_members(windows.event_stream(s, d), "1 hour", step), what), "start + interval 1 hour"), what)
+    tumbling = f"WITH w AS (SELECT DISTINCT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, user_id FROM events WHERE time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR <= {closed}), e AS ({hourly})"
+    colour = " AND ".join(f"{_C(3, chr(39) + 'colour' + chr(39), 'ab.u')} % 2 = {_C(3, chr(39) + 'colour' + chr(39), f'{x}')} % 2" for x in ("ab.v", "bc.v"))
+    add("stream_tumbling_triangles", f"{tumbling}, t AS (SELECT ab.start, count(*) AS t, count(*) FILTER ({colour}) * 4 AS t_est FROM e ab JOIN e bc ON ab.start = bc.start AND ab.v = bc.u JOIN e ac ON ac.start = ab.start AND ac.u = ab.u AND ac.v = bc.v GROUP BY 1), m AS (SELECT start, count(*) AS m FROM e GROUP BY 1) SELECT start, m, coalesce(t, 0) AS t, coalesce(t_est, 0) AS t_est FROM m LEFT JOIN t USING (start)",
+        lambda s, d: windows.window_triangles(stored(windows.window_edges(members(s, d, "tumbling")), "window-edges")))
+    sliding = f"WITH w AS (SELECT DISTINCT time_bucket(INTERVAL 15 MINUTE, ts) - k * INTERVAL 15 MINUTE AS start, event_type, user_id FROM events, range(4) z(k) WHERE time_bucket(INTERVAL 15 MINUTE, ts) - k * INTERVAL 15 MINUTE + INTERVAL 1 HOUR <= {closed})"
+    add("stream_sliding_edges", f"{sliding} SELECT start, count(*) AS m FROM ({hourly}) GROUP BY 1", lambda s, d: windows.window_edges(members(s, d, "sliding", "15 minutes")).groupBy("start").agg(F.count(F.lit(1)).alias("m")))
+    add("stream_session_edges", f'WITH m AS (SELECT user_id, ts, event_type, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events), g AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM m) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS "end", count(*) AS n_events, count(DISTINCT event_type) AS n_edges FROM g GROUP BY user_id, k HAVING max(ts) + INTERVAL 30 MINUTE <= {closed}',
         lambda s, d: bound(s, d, windows.run_to_table(windows.sessions(windows.event_stream(s, d)), "sessions"), "end"))
-    add("stream_dedupe_edges", "SELECT DISTINCT user_id, event_type, ts FROM events", lambda s, d: windows.run_to_table(windows.dedupe(windows.event_stream(s, d)), "dedupe"))
+    add("stream_dedupe_edges", "SELECT DISTINCT user_id, event_type, date_trunc('hour', ts)::TIMESTAMP AS hour FROM events", lambda s, d: windows.run_to_table(windows.dedupe(windows.event_stream(s, d)), "dedupe"))
+
+    def late(s, d):
+        """Errors come last.  Rows are late by the mark that the batch before them went by, so a batch without rows stands between."""
+        ev = _table(s, d, "events").select("ts", "event_type")
+        return windows.late_counts(s, [ev.where("event_type <> 'error'"), ev.where("false"), ev.where("event_type = 'error'")])
+
+    add("stream_late_drop", "WITH f AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM events WHERE event_type <> 'error'), w AS (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, count(*) FILTER (event_type <> 'error') AS n_counted, count(*) FILTER (event_type = 'error') AS n_late FROM events GROUP BY 1) SELECT start, n_counted, n_late FROM w, f WHERE start + INTERVAL 1 HOUR <= mark AND n_counted > 0", late)
+    add("stream_stateful_degree", f"WITH {sql.graph('g_geo')} SELECT x, d FROM d", lambda s, d: windows.running_degrees(s.readStream.schema("u long, v long").option("maxFilesPerTrigger", 2).parquet(split_files(s, d, "g_geo", 5).path)))
+    add("stream_live_sample", f"WITH {sql.graph('g_geo')} SELECT (SELECT count(*) FROM e) AS m, u, v FROM e ORDER BY {_C(11, chr(39) + 'edge' + chr(39), '0', 'u', 'v')}, u, v LIMIT 300", lambda s, d: stream_passes.live_sample(split_files(s, d, "g_geo", 5), 300, 11))
     add("stream_interval_join", "SELECT a.event_id AS a, b.event_id AS b, a.user_id AS user_a, b.user_id AS user_b FROM events a JOIN events b ON a.event_type = b.event_type AND a.user_id < b.user_id AND b.ts >= a.ts - INTERVAL 10 MINUTE AND b.ts <= a.ts + INTERVAL 10 MINUTE",
         lambda s, d: windows.run_to_table(windows.co_activity(windows.event_stream(s, d, "20 minutes"), windows.event_stream(s, d, "20 minutes")), "interval"))
 
@@ -768,13 +1126,11 @@ def relational() -> None:
         sample, _ = stream_passes.first_pass(split_files(s, d, "g_geo", 5), 400, 11)
         return sample.select("slot", "u", "v")
 
-    add("stream_pass1", f"WITH {sql.passes('g_geo', **sql_plan('g_geo', 400, 10, 4))} SELECT slot, u, v FROM drawn", pass_one)
-
-    def streamed(s, d):
-        kappa, t = KNOWN["g_geo"]
-        return stream_passes.streamed_six_pass(split_files(s, d, "g_geo", 5), SamplePlan(0, 2, kappa, t, 0.1, 400, 1600, 10, 11))
+    add("stream_pass1", f"WITH RECURSIVE {sql.passes('g_geo', **sql_plan(400, 10, 4))} SELECT slot, u, v FROM drawn", pass_one)
 
-    add("stream_six_pass", sql.estimate("g_geo", "memo", **sql_plan("g_geo", 400, 1600, 10)), streamed)
+    for files in (1, 3, 17):
+        add(f"stream_six_pass_{files}", sql.estimate("g_geo", "memo", **sql_plan(400, 1600, 10)),
+            lambda s, d, files=files: stream_passes.streamed_six_pass(split_files(s, d, "g_geo", files), replace(plan_for(s, d, "g_geo", 400, 1600, 10), m=0)))
     for name, oracle, f in simple:
         query(name, oracle)(f)
 

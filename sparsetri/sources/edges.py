@@ -40,6 +40,11 @@ def read_edge_text(spark: SparkSession, path: str, separator: str = "\t") -> Dat
     return canonical(lines.select(F.get(parts, F.lit(0)).cast("long").alias("a"), F.get(parts, F.lit(1)).cast("long").alias("b")), "a", "b")
 
 
+def read_edge_rows(spark: SparkSession, path: str, kind: str) -> DataFrame:
+    """Two ids a row in CSV (no head) or JSON (fields a, b)."""
+    return canonical(spark.read.schema("a long, b long").format(kind).load(path), "a", "b")
+
+
 def write_edges(edges: DataFrame, path: str, partitions: int | None = None) -> None:
     """Sorted by u inside range partitions, so that row groups can be skipped by their least and largest u."""
     ordered = edges.repartitionByRange(partitions, "u") if partitions else edges.repartitionByRange("u")
@@ -52,26 +57,37 @@ def write_bucketed(edges: DataFrame, name: str, buckets: int) -> None:
 
 
 class _Lines(DataSourceReader):
-    """Byte ranges of one text file; a line belongs to the range in which it begins."""
+    """Byte ranges of the text files of a folder (or of one file) that all executors see; a line belongs to the range in which it begins."""
 
     def __init__(self, options):
-        self.path, self.size = options["path"].removeprefix("file://"), int(options.get("splitbytes", 1 << 26))
+        self.path, self.size = options["path"], int(options.get("splitbytes", 1 << 26))
 
     def partitions(self):
-        import os
+        import pyarrow.fs as pafs
 
-        return [InputPartition((k, k + self.size)) for k in range(0, os.path.getsize(self.path), self.size)] or [InputPartition((0, 0))]
+        fs, path = pafs.FileSystem.from_uri(self.path)
+        one = fs.get_file_info(path)
+        files = [one] if one.is_file else [f for f in fs.get_file_info(pafs.FileSelector(path)) if f.is_file and not f.base_name.startswith(("_", "."))]
+        return [InputPartition((f.path, k, k + self.size)) for f in files for k in range(0, f.size, self.size)] or [InputPartition(("", 0, 0))]
 
     def read(self, partition):
-        low, high = partition.value
-        with open(self.path, "rb") as f:
-            f.seek(max(0, low - 1))
-            if low:
-                f.readline()
-            while f.tell() < high and (line := f.readline()):
-                if line.strip() and not line.startswith(b"#"):
-                    a, b = line.split()[:2]
-                    yield int(a), int(b)
+        import pyarrow.fs as pafs
+
+        name, low, high = partition.value
+        if not high:
+            return
+        fs, _ = pafs.FileSystem.from_uri(self.path)
+        with fs.open_input_file(name) as f:
+            start, size = max(0, low - 1), f.size()
+            raw, at = f.read_at(high - start, start), high
+            while not raw.endswith(b"\n") and at < size:  # the last line goes on beyond the range
+                more = f.read_at(1 << 12, at)
+                cut = more.find(b"\n") + 1
+                raw, at = raw + (more[:cut] if cut else more), at + len(more)
+        for line in (raw.partition(b"\n")[2] if low else raw).split(b"\n"):
+            if line.strip() and not line.startswith(b"#"):
+                a, b = line.split()[:2]
+                yield int(a), int(b)
 
 
 class EdgeListSource(DataSource):

@@ -1,7 +1,7 @@
 """The six passes as streams over one directory of edge files.
 
 Each pass is one AvailableNow query.  A micro-batch writes its own mergeable summary under its batch id (a bottom list, counters, minima,
-hits); summaries of all batches are merged at the end of the pass.  All merges are minima, sums by batch and unions, so neither the
+hits); summaries of all batches are merged at the end of the pass, and none is larger than what the plan samples.  All merges are minima, sums by batch and unions, so neither the
 order of edges, nor batching, nor replays change a result, and results equal the batch engine's.
 """
 
@@ -10,12 +10,12 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import assign as owners
 from ..operators import passes as probes
-from ..operators.sampling import bottom_edges, proportional_picks, slots
+from ..operators.sampling import bottom_edges, bottom_neighbors, drawn_neighbors, proportional_picks, slots
 from ..functions import coin52
 from ..plans.params import SamplePlan
 from ..plans.store import folder, stored
@@ -44,29 +44,61 @@ class EdgeStream:
         return self.spark.read.parquet(out).drop("batch") if schema else self.spark.createDataFrame([], "u long")
 
 
+class Halves(EdgeStream):
+    """Two parties, each with a half of the edges, in place of the stream: a pass is the first party's summary, sent over, and the second's,
+    and what both make of it, sent back.  `crossed` has the rows of every message."""
+
+    def __init__(self, first: DataFrame, second: DataFrame):
+        self.spark, self.halves, self.passes, self.crossed = first.sparkSession, (first, second), 0, []
+
+    def one_pass(self, what: str, summarize: Callable[[DataFrame], DataFrame]) -> DataFrame:
+        self.passes += 1
+        own = [stored(summarize(h), f"party-{what}") for h in self.halves]
+        self.crossed += [s.count() for s in own]
+        return own[0].unionByName(own[1])
+
+
+def least_edges(batch: DataFrame, r: int, seed: int) -> DataFrame:
+    """The r edges of least coin: a top-r of each task, merged, so that no batch is ordered whole."""
+    tossed = batch.select("u", "v", coin52(seed, F.lit("edge"), F.lit(0), "u", "v").alias("coin"))
+    return tossed.orderBy("coin", "u", "v").limit(r).select("u", "v")
+
+
 def first_pass(stream: EdgeStream, r: int, seed: int) -> tuple[DataFrame, int]:
-    """(sample: rep, slot, u, v; m).  The batch summary is its own bottom list; the count of edges rides on every row of it."""
+    """(sample: rep, slot, u, v; m).  The batch summary is its own bottom list and, in one row without an edge, its number of edges."""
 
     def summary(batch: DataFrame) -> DataFrame:
-        counted = batch.agg(F.count(F.lit(1)).alias("edges"))
-        return bottom_edges(batch, r, 0, seed).select("u", "v").join(counted, how="right")
-
-    seen = stored(stream.one_pass("bottom", summary).withColumn("file", F.input_file_name()), "stream-bottom")
-    per = seen.groupBy(F.regexp_extract("file", "batch=([0-9]+)", 1).alias("batch")).agg(F.max("edges").alias("edges"))
-    m = int(per.agg(F.coalesce(F.sum("edges"), F.lit(0))).first()[0])
-    from ..operators.sampling import uniform_multiset
+        none = F.lit(None).cast("long")
+        counted = batch.agg(F.count(F.lit(1)).alias("edges")).select(none.alias("u"), none.alias("v"), "edges")
+        return least_edges(batch, r, seed).select("u", "v", none.alias("edges")).unionByName(counted)
 
-    return stored(uniform_multiset(seen.where("u is not null").select("u", "v"), r, 0, seed) if not m else _multiset(seen.where("u is not null").select("u", "v"), r, m, seed), "stream-sample"), m
+    seen = stored(stream.one_pass("bottom", summary), "stream-bottom")
+    m = int(seen.agg(F.coalesce(F.sum("edges"), F.lit(0))).first()[0])
+    return stored(_multiset(stored(least_edges(seen.where("u is not null"), r, seed), "stream-least"), r, m, seed), "stream-sample"), m
 
 
 def _multiset(candidates: DataFrame, r: int, m: int, seed: int) -> DataFrame:
-    from pyspark.sql import Window
-
-    drawn = slots(candidates.sparkSession, 1, r).withColumn("position", coin52(seed, F.lit("slot"), "rep", "slot") % m)
+    drawn = slots(candidates.sparkSession, 1, r if m else 0).withColumn("position", coin52(seed, F.lit("slot"), "rep", "slot") % max(m, 1))
     drawn = drawn.withColumn("rank", F.dense_rank().over(Window.partitionBy("rep").orderBy("position")))
     return drawn.join(bottom_edges(candidates, r, 0, seed), ["rep", "rank"]).select("rep", "slot", "u", "v")
 
 
+def live_sample(stream: EdgeStream, r: int, seed: int) -> DataFrame:
+    """(m, u, v) in a single live pass: after every batch the state is m and the bottom list of what has come; the last state is returned.  A sample of
+    the whole is exact; whatever else a single pass could watch of an edge counts from its arrival on, and carries no guarantee."""
+    states: list[DataFrame] = []
+
+    def write(batch: DataFrame, _: int) -> None:
+        new = batch.agg(F.count(F.lit(1)).alias("m"))
+        if states:
+            new = new.join(states[-1].agg(F.max("m").alias("before"))).select((F.col("m") + F.coalesce("before", F.lit(0))).alias("m"))
+            batch = batch.unionByName(states[-1].select("u", "v"))
+        states[:] = [stored(least_edges(batch, r, seed).join(new), "live")]
+
+    run_by_batches(stream.spark.readStream.schema("u long, v long").option("maxFilesPerTrigger", stream.files).parquet(stream.path), write, "live")
+    return states[-1].select("m", "u", "v") if states else stream.spark.createDataFrame([], "m long, u long, v long")
+
+
 def _summed(rows: DataFrame) -> DataFrame:
     return rows.groupBy("kind", "a", "b").agg(F.sum("n").alias("n"))
 
@@ -93,21 +125,15 @@ def streamed_six_pass(stream: EdgeStream, plan: SamplePlan) -> DataFrame:
     closed = chosen.join(probes.pairs_of(probed), ["p", "q"]).where("w != y").select("rep", "i", "u", "v", *(F.get(t, F.lit(k)).alias(c) for k, c in enumerate("abc")))
     closed = stored(closed, "stream-closed")
     everyone = probes.degrees_of(probed).unionByName(known).distinct()
-    # the last two passes keep the half-edges of assigned ends and the hits among sampled pairs; the rule itself is the batch engine's
-    tri = owners.remember(None, closed)
-    rows = probes.with_edge_degree(owners.triangle_edges(tri, *owners.ABC), everyone)
-    targets = stored(rows.where(F.col("d_e") <= plan.degree_cut).select("x").distinct(), "stream-targets")
-    around = stored(stream.one_pass("owner-neighbors", lambda b: half_edges(b).join(targets, "x", "left_semi").select("x", "nbr")).select(F.least("x", "nbr").alias("u"), F.greatest("x", "nbr").alias("v")).distinct(), "stream-around")
-
-    class Replay(owners.PassLedger):
-        def scan(self, stage: str) -> DataFrame:
-            if stage == "owner neighbours":
-                return around
-            ends_ = stored(half_edges(around).select("nbr").distinct(), "stream-ends")
-            a, b = ends_.withColumnRenamed("nbr", "u"), ends_.withColumnRenamed("nbr", "v")
-            return stored(stream.one_pass("owner-closures", lambda x: x.join(a, "u", "left_semi").join(b, "v", "left_semi")).select("u", "v").distinct(), "stream-hits")
-
-    memo = owners.assign_sampled(Replay(around), tri, everyone, plan)
+    # the last two passes keep a bottom list of s neighbours for each edge that may own, and the hits among drawn pairs
+    rows, targets = owners.asked(owners.remember(None, closed), everyone, plan.degree_cut)
+    rows, targets = stored(rows, "stream-triangles"), stored(targets, "stream-targets")
+    lists = stored(stream.one_pass("owner-neighbors", lambda b: bottom_neighbors(half_edges(b), targets, plan.s, plan.seed).drop("rank")), "stream-lists")
+    merged = lists.withColumn("rank", F.row_number().over(Window.partitionBy("u", "v").orderBy("coin", "nbr"))).where(F.col("rank") <= plan.s)
+    drawn = stored(owners.closing_pairs(drawn_neighbors(merged, targets, plan.s, plan.seed)), "stream-draws")
+    nobody, asked = targets.where("false").select("x"), drawn.select("p", "q").distinct()
+    hit = stored(probes.pairs_of(_summed(stream.one_pass("owner-closures", lambda b: probes.probe_pass(b, nobody, asked)))), "stream-hits")
+    memo = owners.decided(rows, owners.estimated(targets, drawn, hit, plan), plan)
     hits = closed.join(memo, owners.ABC).where("owner_u = u and owner_v = v").agg(F.count(F.lit(1)).alias("hits"))
     out = sample.agg(F.coalesce(F.sum("d_e"), F.lit(0)).alias("sum_dr")).join(hits)
     x = F.lit(float(m)) / plan.r * F.col("sum_dr") * F.col("hits") / plan.ell

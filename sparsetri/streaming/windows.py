@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+import time
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..functions import coin52
 from ..plans.store import folder
+from ..sources.edges import half_edges
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -25,9 +31,9 @@ def run_to_table(stream: DataFrame, what: str, mode: str = "append") -> DataFram
     return spark.read.schema(stream.schema).parquet(out)
 
 
-def run_by_batches(stream: DataFrame, write, what: str) -> None:
+def run_by_batches(stream: DataFrame, write, what: str, mode: str = "append") -> None:
     """foreachBatch with AvailableNow; write(batch, id) must overwrite what it wrote for the same id, so replays do no harm."""
-    query = stream.writeStream.trigger(availableNow=True).option("checkpointLocation", folder(stream.sparkSession, f"{what}-log")).foreachBatch(write).start()
+    query = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", folder(stream.sparkSession, f"{what}-log")).foreachBatch(write).start()
     query.awaitTermination()
 
 
@@ -36,19 +42,68 @@ def tumbling_users(stream: DataFrame, length: str = "1 hour") -> DataFrame:
     return out.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n_events", "n_purchases")
 
 
-def sliding_users(stream: DataFrame, length: str = "1 hour", step: str = "15 minutes") -> DataFrame:
-    return stream.groupBy(F.window("ts", length, step).alias("w")).agg(F.count(F.lit(1)).alias("n_events")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n_events")
+def window_members(stream: DataFrame, length: str = "1 hour", step: str | None = None) -> DataFrame:
+    """(start, event_type, user_id), each once, of windows that the watermark has closed: users that share a type in a window are joined by an edge.
+    State is a row for each member of an open window; pairs are made of closed windows only."""
+    out = stream.groupBy(F.window("ts", length, step or length).alias("w"), "event_type", "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return out.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "event_type", "user_id")
+
+
+def window_edges(members: DataFrame) -> DataFrame:
+    """(start, u, v): the distinct edges of each window."""
+    a, b = members.withColumnRenamed("user_id", "u"), members.withColumnRenamed("user_id", "v")
+    return a.join(b, ["start", "event_type"]).where("u < v").select("start", "u", "v").distinct()
+
+
+def window_triangles(edges: DataFrame, colours: int = 2, seed: int = 3) -> DataFrame:
+    """(start, m, t, t_est): edges and triangles of each window, and the estimate from edges whose ends have one colour."""
+
+    def count(e: DataFrame, name: str) -> DataFrame:
+        ab, ac, bc = (e.select("start", F.col("u").alias(x), F.col("v").alias(y)) for x, y in ("ab", "ac", "bc"))
+        return ab.join(bc, ["start", "b"]).join(ac, ["start", "a", "c"]).groupBy("start").agg(F.count(F.lit(1)).alias(name))
+
+    one = lambda c: coin52(seed, F.lit("colour"), c) % colours
+    out = edges.groupBy("start").agg(F.count(F.lit(1)).alias("m")).join(count(edges, "t"), "start", "left").join(count(edges.where(one("u") == one("v")), "kept"), "start", "left")
+    return out.select("start", "m", F.coalesce("t", F.lit(0)).alias("t"), (F.coalesce("kept", F.lit(0)) * colours**2).alias("t_est"))
 
 
 def sessions(stream: DataFrame, gap: str = "30 minutes") -> DataFrame:
-    out = stream.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n_events"))
-    return out.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), F.col("w.end").cast("timestamp_ntz").alias("end"), "n_events")
+    """Sessions of a user; n_edges: the types that the session joins its user to."""
+    out = stream.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n_events"), F.size(F.collect_set("event_type")).cast("long").alias("n_edges"))
+    return out.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), F.col("w.end").cast("timestamp_ntz").alias("end"), "n_events", "n_edges")
 
 
 def dedupe(stream: DataFrame) -> DataFrame:
-    """Repeats of (user, type, hour) inside the watermark go: the methods assume each edge once."""
+    """Edges (user, type) of an hour, each once: the methods assume each edge once.  The state of an edge goes when the watermark has passed it."""
     keyed = stream.withColumn("hour", F.date_trunc("hour", "ts"))
-    return keyed.dropDuplicates(["user_id", "event_type", "hour", "ts"]).select("user_id", "event_type", F.col("ts").cast("timestamp_ntz").alias("ts"))
+    return keyed.dropDuplicatesWithinWatermark(["user_id", "event_type", "hour"]).select("user_id", "event_type", F.col("hour").cast("timestamp_ntz").alias("hour"))
+
+
+def late_counts(spark: SparkSession, batches: list[DataFrame], length: str = "1 hour", delay: str = "1 hour") -> DataFrame:
+    """(start, n_counted, n_late): what a windowed count sees of batches that arrive one after the other, and what came after its window was closed."""
+    path = folder(spark, "late")
+    for k, b in enumerate(batches):
+        b.select(F.col("ts").cast("timestamp").alias("ts"), F.lit(k).alias("batch")).coalesce(1).write.mode("append").parquet(path)
+        time.sleep(1.1)  # files arrive in the order of their times, which some file systems keep by the second
+    every = spark.read.schema("ts timestamp, batch int").parquet(path)
+    stream = spark.readStream.schema(every.schema).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", delay)
+    counted = run_to_table(stream.groupBy(F.window("ts", length).alias("w")).agg(F.count(F.lit(1)).alias("n_counted")).select(F.col("w.start").alias("start"), "n_counted"), "late-counts")
+    whole = every.groupBy(F.window("ts", length).alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "n")
+    return whole.join(counted, "start").select(F.col("start").cast("timestamp_ntz").alias("start"), "n_counted", (F.col("n") - F.col("n_counted")).alias("n_late"))
+
+
+def running_degrees(edges: DataFrame) -> DataFrame:
+    """(x, d) by a stateful operator: a counter for each vertex of a stream of edges, updated batch by batch; the last update is the degree."""
+
+    def count(key: tuple, rows, state: GroupState):
+        d = (state.get[0] if state.exists else 0) + sum(len(r) for r in rows)
+        state.update((d,))
+        yield pd.DataFrame({"x": [key[0]], "d": [d]})
+
+    counted = half_edges(edges).groupBy("x").applyInPandasWithState(count, "x long, d long", "d long", "update", GroupStateTimeout.NoTimeout)
+    out = folder(edges.sparkSession, "running-degrees")
+    run_by_batches(counted, lambda b, i: b.write.mode("overwrite").parquet(f"{out}/batch={i}"), "running-degrees", "update")
+    return edges.sparkSession.read.schema("x long, d long").parquet(f"{out}/*").groupBy("x").agg(F.max("d").alias("d"))
 
 
 def co_activity(left: DataFrame, right: DataFrame, minutes: int = 10) -> DataFrame:
