@@ -1,11 +1,14 @@
 """Degeneracy and its relatives.
 
 Peeling removes all vertices of degree at most k at once, so a round costs one aggregation of what is left; lineage is cut by written tables.
+The last edges, up to a stated number, are peeled on the driver.
 Bounds come cheaper: an order gives an upper bound, a subgraph a lower one, and batch peeling a factor 2(1+eta) in log n rounds.
 """
 
 from __future__ import annotations
 
+import heapq
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -16,13 +19,38 @@ from .exact import degrees
 CORES = "v long, core long"
 
 
-def peel(edges: DataFrame) -> tuple[int, DataFrame]:
-    """(kappa, core numbers: v, core).  Each round adds its vertices to one folder, so the plan of the answer is one scan, however deep the graph."""
+def _rest(edges: list[tuple[int, int]], k: int) -> tuple[int, dict[int, int]]:
+    """Core numbers of what is left, one vertex of least degree after the other, k so far."""
+    near: dict[int, set[int]] = {}
+    for a, b in edges:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    heap, cores = [(len(x), v) for v, x in near.items()], {}
+    heapq.heapify(heap)
+    while heap:
+        d, v = heapq.heappop(heap)
+        if v in cores or d != len(near[v]):
+            continue
+        k = max(k, d)
+        cores[v] = k
+        for w in near[v]:
+            near[w].discard(v)
+            heapq.heappush(heap, (len(near[w]), w))
+    return k, cores
+
+
+def peel(edges: DataFrame, driver_edges: int = 50_000) -> tuple[int, DataFrame]:
+    """(kappa, core numbers: v, core).  Each round adds its vertices to one folder, so the plan of the answer is one scan, however deep the graph.
+    Rounds go on until driver_edges are left at most (0: none); so many, a bounded list, are peeled in one place, as a chain's rounds are its length."""
     spark = edges.sparkSession
     left, k, out = stored(edges, "peel"), 0, folder(spark, "cores")
     spark.createDataFrame([], CORES).write.parquet(out)
     gone_at_end(spark, out)
-    while not left.isEmpty():
+    while left_edges := left.count():
+        if left_edges <= driver_edges:
+            k, cores = _rest([tuple(r) for r in left.select("u", "v").collect()], k)
+            spark.createDataFrame(list(cores.items()), CORES).write.mode("append").parquet(out)
+            break
         d = stored(degrees(left), "peel-degrees")
         k = max(k, int(d.agg(F.min("d")).first()[0]))
         gone = d.where(F.col("d") <= k).select(F.col("x").alias("v"), F.lit(k).alias("core"))

@@ -2,6 +2,7 @@
 
 import itertools
 import math
+from dataclasses import replace
 
 import pytest
 from pyspark.sql import functions as F
@@ -13,6 +14,7 @@ from sparsetri.plans.params import SamplePlan, plan_from_rse, plan_theory, predi
 from sparsetri.plans.store import stored
 from sparsetri.sources.edges import assert_simple, canonical
 from sparsetri.sources.graphs import VIEWS
+from sparsetri.streaming.passes import Halves, streamed_six_pass
 
 GOLDEN = {"g_copurchase": (200, 8899, 125968, 743261), "g_geo": (180, 325, 150, 775), "g_wheel": (151, 300, 150, 900), "g_book": (202, 401, 200, 1001), "g_docs": (85, 475, 3709, 11649), "g_pages": (28, 37, 26, 121), "g_coactive": (15, 105, 455, 1470)}
 KAPPA = {"g_geo": 2, "g_wheel": 3, "g_book": 2, "g_docs": 28, "g_pages": 5, "g_coactive": 14}
@@ -75,9 +77,12 @@ def test_assignment_tames_the_book(spark, sf):
 def test_passes_and_guard(spark, sf):
     e = stored(VIEWS["g_geo"](spark, sf), "geo")
     plan = SamplePlan(325, 180, 2, 150, 0.1, 100, 400, 6, 3)
-    assert estimators.six_pass(e, plan).ledger.passes == 6
+    whole = estimators.six_pass(e, plan).ledger
+    # what the ledger says is what the plans of the kept tables read
+    assert whole.passes == whole.reads == 6
+    three = estimators.oracle_estimate(e, 50, 3).ledger
+    assert three.passes == three.reads == 3
     assert estimators.six_pass(e, plan, degree_oracle=exact.degrees(e)).ledger.passes == 5
-    assert estimators.oracle_estimate(e, 50, 3).ledger.passes == 3
     with pytest.raises(SpaceBudgetExceeded):
         estimators.six_pass(e, plan, guard=SpaceGuard(10, 2))
 
@@ -122,3 +127,87 @@ def test_hindex_finishes_long_chains(spark):
     """A value moves one hop a round: with fewer rounds than half the chain, peeling has to finish the work."""
     chain = spark.range(40).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
     assert {r.core for r in degeneracy.cores_by_hindex(chain, most_rounds=2).collect()} == {1}
+
+
+def _cores(pairs):
+    """Core numbers by taking away one vertex of least degree after the other."""
+    near = {}
+    for a, b in pairs:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    out, k = {}, 0
+    while near:
+        x = min(near, key=lambda v: len(near[v]))
+        k = max(k, len(near[x]))
+        out[x] = k
+        for y in near.pop(x):
+            near[y].discard(x)
+    return out
+
+
+def test_cores_of_a_long_chain_with_a_clique(spark):
+    """A complete graph at the end of a chain, with enough rounds for h-indices and with too few, where peeling finishes."""
+    pairs = [(i, i + 1) for i in range(8)] + [(100 + a, 100 + b) for a in range(6) for b in range(a)] + [(8, 100)]
+    e = stored(edges_of(spark, pairs), "chain")
+    for driver_edges in (0, 20, 1000):
+        kappa, cores = degeneracy.peel(e, driver_edges)
+        assert kappa == 5 and {r.v: r.core for r in cores.collect()} == _cores(pairs)
+    assert len(cores.inputFiles()) > 0 and cores._jdf.queryExecution().optimizedPlan().collectLeaves().size() == 1
+    assert {r.v: r.core for r in degeneracy.cores_by_hindex(e, 3).collect()} == _cores(pairs) == {r.v: r.core for r in degeneracy.cores_by_hindex(e).collect()}
+
+
+def test_cores_of_a_path_of_300(spark):
+    """Beyond what the default number of rounds reaches from the ends, and settled by peeling: both ends move in by one a round."""
+    e = stored(spark.range(299).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v")), "path")
+    for cores in (degeneracy.peel(e)[1], degeneracy.cores_by_hindex(e, most_rounds=5)):
+        assert {r.core for r in cores.collect()} == {1} and cores.count() == 300
+
+
+def test_whole_groups_by_brute_force(spark):
+    """Like members fold into one vertex; counts are those of the unfolded graph."""
+    import random
+
+    rnd = random.Random(4)
+    groups = {g: rnd.sample(range(60), n) for g, n in enumerate((2, 3, 5, 20, 40, 40, 1, 8))} | {99: list(range(200, 260))}
+    held = [(x, f"g{g}") for g, xs in groups.items() for x in xs] + [(1, "g3"), (None, "g1"), (2, None)]
+    pairs = {(min(a, b), max(a, b)) for xs in groups.values() for a in xs for b in xs if a != b}
+    pairs |= {(min(1, b), max(1, b)) for b in groups[3] if b != 1}
+    near = {}
+    for a, b in pairs:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    t = sum(len(near[a] & near[b]) for a, b in pairs) // 3
+    got = exact.group_summary(spark.createDataFrame(held, "member long, token string")).first()
+    assert tuple(got) == (len(near), len(pairs), t, sum(min(len(near[a]), len(near[b])) for a, b in pairs))
+
+
+def test_guesses_share_the_passes(spark, sf):
+    e = stored(VIEWS["g_geo"](spark, sf), "geo")
+    plan = SamplePlan(325, 180, 2, 150, 0.1, 100, 400, 6, 3)
+    guesses = [1300.0, 325.0, 81.25]
+    rows, ledger = estimators.without_guess(e, plan, guesses)
+    rows = {r.guess: r for r in rows.collect()}
+    assert ledger.passes == ledger.reads == 6 and sum(r.accepted for r in rows.values()) <= 1
+    for g in guesses:
+        assert rows[g].est == estimators.six_pass(e, replace(plan, t_guess=g)).per_rep.first()["x_est"]
+
+
+def test_streams_keep_no_neighbourhoods(spark):
+    """Around a hub of 2000, the last passes keep a list of s neighbours for each edge that may own, whatever the hub's degree."""
+    pairs = [(0, k) for k in range(1, 2001)] + [(k, k + 1) for k in range(1, 2000)]
+    e = stored(edges_of(spark, pairs), "hub")
+    plan = SamplePlan(e.count(), 2001, 3, 1999, 0.1, 60, 240, 5, 3)
+    halves = Halves(stored(e.where("u = 0"), "first"), stored(e.where("u > 0"), "second"))
+    got = streamed_six_pass(halves, plan).first()
+    want = estimators.six_pass(e, plan).per_rep.first()
+    assert (got.hits, got.sum_dr) == (want.hits, want.sum_dr) and len(halves.crossed) == 12
+    owners_asked = estimators.six_pass(e, plan).stages["triangles"].count() * 3
+    assert max(halves.crossed[8:]) <= owners_asked * plan.s
+
+
+def test_neighbours_by_rank_are_uniform(spark):
+    half = spark.createDataFrame([(1, 10 * k) for k in range(5)], "x long, nbr long")
+    picks = spark.range(3000).select(F.lit(0).alias("rep"), F.col("id").alias("i"), F.lit(1).cast("long").alias("x"), F.lit(5).alias("d_e"))
+    for draw in (sampling.ranked_neighbor, sampling.sample_neighbor):
+        rows = draw(half, picks, 3).groupBy("w").count().collect()
+        assert len(rows) == 5 and all(480 < r["count"] < 720 for r in rows)
