@@ -210,7 +210,7 @@ def across_components(halves: DataFrame, found: DataFrame, tried: DataFrame, set
     )
     # each class's measured third is the one that most classes were measured against
     ends = tried.select(F.inline(F.array(F.struct(F.col("a").alias("pivot"), F.col("b").alias("rep"), "distance"), F.struct(F.col("b").alias("pivot"), F.col("a").alias("rep"), "distance"))))
-    used = ends.groupBy("pivot").agg(F.count(F.lit(1)).alias("uses"))
+    used = stored(ends.groupBy("pivot").agg(F.count(F.lit(1)).alias("uses")), "uses")
     itself = used.select("pivot", F.col("pivot").alias("rep"), F.lit(0.0).alias("distance"), "uses")
     pivots = ends.join(used, "pivot").select("pivot", "rep", "distance", "uses").unionByName(itself)
     pivots = pivots.groupBy("rep").agg(F.max(F.struct("uses", "pivot", "distance")).alias("p")).select("rep", F.col("p.pivot").alias("pivot"), F.col("p.distance").alias("distance"))
