@@ -50,9 +50,9 @@ def estimated(targets: DataFrame, drawn: DataFrame, hit: DataFrame, plan: Sample
 
 
 def _two_passes(ledger: PassLedger, targets: DataFrame, degree: DataFrame, plan: SamplePlan) -> DataFrame:
-    ranked = bottom_neighbors(half_edges(ledger.scan("owner neighbours")), targets, plan.s, plan.seed, plan.coin)
+    ranked = bottom_neighbors(half_edges(ledger.scan("owner neighbours")), targets, plan.s, plan.seed, plan.coin, ledger.kept["owner targets"])
     drawn = ledger.keep("owner draws", closing_pairs(drawn_neighbors(ranked, targets, plan.s, plan.seed, plan.coin, plan.exhaustive)))
-    hit = ledger.keep("owner hits", pairs_of(probe_pass(ledger.scan("owner closures"), degree.where("false").select("x"), drawn.select("p", "q"))))
+    hit = ledger.keep("owner hits", pairs_of(probe_pass(ledger.scan("owner closures"), degree.where("false").select("x"), drawn.select("p", "q"), ledger.kept["owner draws"])))
     return estimated(targets, drawn, hit, plan)
 
 

@@ -61,7 +61,7 @@ def _six(edges: DataFrame, plan: SamplePlan, assign: str | None, degree_oracle:
     sample = keep("sample", uniform_multiset(ledger.scan("sample"), plan.r, plan.m, plan.seed, plan.reps, plan.coin))
     ends = sample.select(F.explode(F.array("u", "v")).alias("x")).distinct()
     if degree_oracle is None:
-        known = keep("degrees", degrees_of(probe_pass(ledger.scan("degrees"), ends)))
+        known = keep("degrees", degrees_of(probe_pass(ledger.scan("degrees"), ends, n=2 * ledger.kept["sample"])))
     else:
         known = degree_oracle.join(ends, "x", "left_semi")
         ledger.oracle_queries += ends.count()
@@ -71,10 +71,10 @@ def _six(edges: DataFrame, plan: SamplePlan, assign: str | None, degree_oracle:
         plan = plan.with_degrees(int(sums.agg(F.coalesce(F.max("sum_dr"), F.lit(0))).first()[0]))
     picks = keep("picks", proportional_picks(sample, "d_e", ["slot"], slots(spark, plan.reps, plan.ell).withColumnRenamed("slot", "i"), plan.seed, "pick", plan.coin).drop("slot"))
     near = sample_neighbor if neighbor == "argmin" else ranked_neighbor
-    chosen = keep("neighbors", picks.join(near(half_edges(ledger.scan("neighbors")), picks, plan.seed, plan.coin), ["rep", "i"]))
+    chosen = keep("neighbors", picks.join(near(half_edges(ledger.scan("neighbors")), picks, plan.seed, plan.coin, ledger.kept["picks"]), ["rep", "i"]))
     pairs = chosen.where("w != y").select(F.least("y", "w").alias("p"), F.greatest("y", "w").alias("q")).distinct()
     third = chosen.select(F.col("w").alias("x")).distinct()
-    probed = keep("closures", probe_pass(ledger.scan("closures"), third, pairs))
+    probed = keep("closures", probe_pass(ledger.scan("closures"), third, pairs, 2 * ledger.kept["neighbors"]))
     hit = pairs_of(probed)
     closed = chosen.withColumns({"p": F.least("y", "w"), "q": F.greatest("y", "w")}).join(hit, ["p", "q"]).where("w != y").select("rep", "i", "u", "v", *_triangle("u", "v", "w"))
     closed = keep("closed", closed)
@@ -137,9 +137,9 @@ def oracle_estimate(edges: DataFrame, k: int, seed: int, assign: str | None = "m
     wanted = slots(spark, 1, k).withColumnRenamed("slot", "i")
     picks = ledger.keep("picks", proportional_picks(e.withColumn("rep", F.lit(0)), "d_e", ["u", "v"], wanted, seed, "oracle", coin, groups=64))
     ledger.read["picks"] = 1  # the edges with their degrees stand for the first pass
-    chosen = ledger.keep("neighbors", picks.join(sample_neighbor(half_edges(ledger.scan("neighbors")), picks, seed, coin), ["rep", "i"]))
+    chosen = ledger.keep("neighbors", picks.join(sample_neighbor(half_edges(ledger.scan("neighbors")), picks, seed, coin, ledger.kept["picks"]), ["rep", "i"]))
     chosen = chosen.where("w != y").withColumns({"p": F.least("y", "w"), "q": F.greatest("y", "w")})
-    hit = pairs_of(probe_pass(ledger.scan("closures"), chosen.select(F.col("w").alias("x")).limit(0), chosen.select("p", "q").distinct()))
+    hit = pairs_of(probe_pass(ledger.scan("closures"), chosen.select(F.col("w").alias("x")).limit(0), chosen.select("p", "q").distinct(), ledger.kept["neighbors"]))
     closed = ledger.keep("closed", chosen.join(hit, ["p", "q"]).select("rep", "i", "u", "v", *_triangle("u", "v", "w")))
     stages = {"closed": closed}
     if assign is not None:

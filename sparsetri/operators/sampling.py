@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import COIN_RANGE, coin52
+from .passes import watched
 
 
 def slots(spark, reps: int, size: int) -> DataFrame:
@@ -74,24 +75,24 @@ def race_picks(weighted: DataFrame, weight: str, k: int, seed: int) -> DataFrame
     return each.groupBy("i").agg(F.min(F.struct(race.alias("t"), "u", "v")).alias("w")).select("i", "w.u", "w.v")
 
 
-def sample_neighbor(half: DataFrame, picks: DataFrame, seed: int, coin: str = "md5") -> DataFrame:
+def sample_neighbor(half: DataFrame, picks: DataFrame, seed: int, coin: str = "md5", n: int | None = None) -> DataFrame:
     """picks (rep, i, x) -> (rep, i, w): of all neighbours of x the one of least coin.  Minima combine map-side, so a hub
-    costs one row a task."""
-    tossed = half.join(picks.select("rep", "i", "x"), "x").withColumn("coin", coin52(seed, F.lit("neighbor"), "rep", "i", "nbr", mode=coin))
+    costs one row a task.  n: a bound of the number of picks."""
+    tossed = watched(half, picks.select("rep", "i", "x"), ["x"], n).withColumn("coin", coin52(seed, F.lit("neighbor"), "rep", "i", "nbr", mode=coin))
     return tossed.groupBy("rep", "i").agg(F.min(F.struct("coin", "nbr")).alias("best")).select("rep", "i", F.col("best.nbr").alias("w"))
 
 
-def ranked_neighbor(half: DataFrame, picks: DataFrame, seed: int, coin: str = "md5") -> DataFrame:
+def ranked_neighbor(half: DataFrame, picks: DataFrame, seed: int, coin: str = "md5", n: int | None = None) -> DataFrame:
     """picks (rep, i, x, d_e) -> (rep, i, w): the neighbour at a drawn place among those of x, in order of ids.  A pick tosses one coin, not one for each
     neighbour; neighbours are numbered once for each distinct x."""
-    listed = half.join(picks.select("x").distinct(), "x").withColumn("place", F.row_number().over(Window.partitionBy("x").orderBy("nbr")) - 1)
+    listed = watched(half, picks.select("x").distinct(), ["x"], n).withColumn("place", F.row_number().over(Window.partitionBy("x").orderBy("nbr")) - 1)
     aimed = picks.select("rep", "i", "x", (coin52(seed, F.lit("place"), "rep", "i", mode=coin) % F.col("d_e")).cast("int").alias("place"))
     return aimed.join(listed, ["x", "place"]).select("rep", "i", F.col("nbr").alias("w"))
 
 
-def bottom_neighbors(half: DataFrame, targets: DataFrame, s: int, seed: int, coin: str = "md5") -> DataFrame:
+def bottom_neighbors(half: DataFrame, targets: DataFrame, s: int, seed: int, coin: str = "md5", n: int | None = None) -> DataFrame:
     """targets (u, v, x, y, d_e) -> targets with nbr, coin and rank: the s neighbours of x of least coin.  Lists of parts of the edges merge by another cut."""
-    tossed = half.join(targets, "x").withColumn("coin", coin52(seed, F.lit("owner"), "u", "v", "nbr", mode=coin))
+    tossed = watched(half, targets, ["x"], n).withColumn("coin", coin52(seed, F.lit("owner"), "u", "v", "nbr", mode=coin))
     order = Window.partitionBy("u", "v").orderBy("coin", "nbr")
     return tossed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= s)
 

@@ -109,18 +109,18 @@ def streamed_six_pass(stream: EdgeStream, plan: SamplePlan) -> DataFrame:
     sample, m = first_pass(stream, plan.r, plan.seed)
     plan = replace(plan, m=m)
     ends = sample.select(F.explode(F.array("u", "v")).alias("x")).distinct()
-    known = probes.degrees_of(stored(_summed(stream.one_pass("degrees", lambda b: probes.probe_pass(b, ends))), "stream-degrees"))
+    known = probes.degrees_of(stored(_summed(stream.one_pass("degrees", lambda b: probes.probe_pass(b, ends, n=2 * plan.r))), "stream-degrees"))
     sample = stored(probes.with_edge_degree(sample, known).select("rep", "slot", "u", "v", "x", "y", "d_e"), "stream-edges")
     picks = stored(proportional_picks(sample, "d_e", ["slot"], slots(spark, 1, plan.ell).withColumnRenamed("slot", "i"), plan.seed, "pick").drop("slot"), "stream-picks")
 
     def least(batch: DataFrame) -> DataFrame:
-        tossed = half_edges(batch).join(picks.select("rep", "i", "x"), "x").withColumn("coin", coin52(plan.seed, F.lit("neighbor"), "rep", "i", "nbr"))
+        tossed = probes.watched(half_edges(batch), picks.select("rep", "i", "x"), ["x"], plan.ell).withColumn("coin", coin52(plan.seed, F.lit("neighbor"), "rep", "i", "nbr"))
         return tossed.groupBy("rep", "i").agg(F.min(F.struct("coin", "nbr")).alias("best"))
 
     best = stream.one_pass("neighbors", least).groupBy("rep", "i").agg(F.min("best").alias("best")).select("rep", "i", F.col("best.nbr").alias("w"))
     chosen = stored(picks.join(best, ["rep", "i"]), "stream-neighbors").withColumns({"p": F.least("y", "w"), "q": F.greatest("y", "w")})
     third, pairs = chosen.select(F.col("w").alias("x")).distinct(), chosen.where("w != y").select("p", "q").distinct()
-    probed = stored(_summed(stream.one_pass("closures", lambda b: probes.probe_pass(b, third, pairs))), "stream-closures")
+    probed = stored(_summed(stream.one_pass("closures", lambda b: probes.probe_pass(b, third, pairs, 2 * plan.ell))), "stream-closures")
     t = F.array_sort(F.array("u", "v", "w"))
     closed = chosen.join(probes.pairs_of(probed), ["p", "q"]).where("w != y").select("rep", "i", "u", "v", *(F.get(t, F.lit(k)).alias(c) for k, c in enumerate("abc")))
     closed = stored(closed, "stream-closed")
@@ -128,11 +128,11 @@ def streamed_six_pass(stream: EdgeStream, plan: SamplePlan) -> DataFrame:
     # the last two passes keep a bottom list of s neighbours for each edge that may own, and the hits among drawn pairs
     rows, targets = owners.asked(owners.remember(None, closed), everyone, plan.degree_cut)
     rows, targets = stored(rows, "stream-triangles"), stored(targets, "stream-targets")
-    lists = stored(stream.one_pass("owner-neighbors", lambda b: bottom_neighbors(half_edges(b), targets, plan.s, plan.seed).drop("rank")), "stream-lists")
+    lists = stored(stream.one_pass("owner-neighbors", lambda b: bottom_neighbors(half_edges(b), targets, plan.s, plan.seed, n=3 * plan.ell).drop("rank")), "stream-lists")
     merged = lists.withColumn("rank", F.row_number().over(Window.partitionBy("u", "v").orderBy("coin", "nbr"))).where(F.col("rank") <= plan.s)
     drawn = stored(owners.closing_pairs(drawn_neighbors(merged, targets, plan.s, plan.seed)), "stream-draws")
     nobody, asked = targets.where("false").select("x"), drawn.select("p", "q").distinct()
-    hit = stored(probes.pairs_of(_summed(stream.one_pass("owner-closures", lambda b: probes.probe_pass(b, nobody, asked)))), "stream-hits")
+    hit = stored(probes.pairs_of(_summed(stream.one_pass("owner-closures", lambda b: probes.probe_pass(b, nobody, asked, 3 * plan.ell * plan.s)))), "stream-hits")
     memo = owners.decided(rows, owners.estimated(targets, drawn, hit, plan), plan)
     hits = closed.join(memo, owners.ABC).where("owner_u = u and owner_v = v").agg(F.count(F.lit(1)).alias("hits"))
     out = sample.agg(F.coalesce(F.sum("d_e"), F.lit(0)).alias("sum_dr")).join(hits)

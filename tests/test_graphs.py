@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from sparsetri import queries
-from sparsetri.operators import assign, baselines, degeneracy, estimators, exact, sampling
+from sparsetri.operators import assign, baselines, degeneracy, estimators, exact, passes, sampling
 from sparsetri.plans.ledger import SpaceBudgetExceeded, SpaceGuard
 from sparsetri.plans.params import SamplePlan, plan_from_rse, plan_theory, predicted_rse
 from sparsetri.plans.store import stored
@@ -211,3 +211,28 @@ def test_neighbours_by_rank_are_uniform(spark):
     for draw in (sampling.ranked_neighbor, sampling.sample_neighbor):
         rows = draw(half, picks, 3).groupBy("w").count().collect()
         assert len(rows) == 5 and all(480 < r["count"] < 720 for r in rows)
+
+
+def test_long_watch_lists_pass_a_sieve(spark):
+    """Beyond its stated size a watch list is no longer sent to all tasks; counts are the same, whole ones, hub and unwatched ends included."""
+    pairs = [(0, k) for k in range(1, 3001)] + [(k, k + 1) for k in range(1, 3000)]
+    e = stored(edges_of(spark, pairs), "watched")
+    ends = stored(spark.range(0, 3001, 3).withColumnRenamed("id", "x"), "ends")
+    asked = stored(spark.range(1, 3500).select(F.col("id").alias("p"), (F.col("id") + 1 + F.col("id") % 2).alias("q")), "asked")
+    short, long = passes.probe_pass(e, ends, asked), passes.probe_pass(e, ends, asked, 6000, most=100)
+    assert sorted(short.collect()) == sorted(long.collect()) and short.where("kind = 'V' and a = 0").first()["n"] == 3000
+    assert short.where("kind = 'P'").count() == len({(k, k + 1 + k % 2) for k in range(1, 3500)} & set(pairs))
+    kept = passes.sieved(e, ends.withColumnRenamed("x", "u"), ["u"], 1001)
+    want = sum(u % 3 == 0 for u, _ in pairs)
+    assert want <= kept.count() <= want + 0.15 * (len(pairs) - want) and kept.where("u % 3 = 0").count() == want
+    half = spark.createDataFrame([(x, 10 * x + k) for x in range(50) for k in range(5)], "x long, nbr long")
+    few = spark.range(7).withColumnRenamed("id", "x")
+    assert sorted(passes.watched(half, few, ["x"], 7, most=1).collect()) == sorted(passes.watched(half, few, ["x"]).collect())
+    plan = passes.probe_pass(e, ends, asked, 6000, most=100)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("strategy=broadcast") == 1  # the sieve alone
+
+
+def test_an_empty_watch_list(spark):
+    e = stored(edges_of(spark, K4), "k4")
+    nobody = spark.range(0).withColumnRenamed("id", "x")
+    assert passes.probe_pass(e, nobody).count() == 0 and passes.probe_pass(e, nobody, n=1, most=0).count() == 0
