@@ -4,6 +4,7 @@ import itertools
 import math
 from dataclasses import replace
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -236,3 +237,24 @@ def test_an_empty_watch_list(spark):
     e = stored(edges_of(spark, K4), "k4")
     nobody = spark.range(0).withColumnRenamed("id", "x")
     assert passes.probe_pass(e, nobody).count() == 0 and passes.probe_pass(e, nobody, n=1, most=0).count() == 0
+
+
+@pytest.mark.parametrize("spread", (1, 2**40))
+def test_triangles_without_moving_wedges(spark, spread, monkeypatch):
+    """Lists and buckets give the triangles that joins give: hubs, negative ids, ids too far apart for half a key, several buckets and groups."""
+    import random
+
+    from sparsetri.operators import closing
+
+    rnd = random.Random(7)
+    pairs = {(0, k) for k in range(1, 300)} | {tuple(rnd.sample(range(-40, 300), 2)) for _ in range(4000)}
+    e = stored(edges_of(spark, [(a * spread, b * spread) for a, b in pairs]), "closing")
+    want = sorted(exact.triangles(e).collect())
+    monkeypatch.setattr(closing, "TOGETHER", 500)
+    assert len(want) > 1000 and sorted(closing.triangles(e, e.count(), 300).collect()) == want
+    assert closing.count_triangles(e, e.count(), 300).first()["t"] == len(want)
+    monkeypatch.setattr(exact, "JOIN_EDGES", 0)
+    assert exact.count_triangles(e).first()["t"] == len(want) and "MapInArrow" in exact.triangles(e)._jdf.queryExecution().toString()
+    assert exact.count_triangles(e.where("false")).first()["t"] == 0
+    ids = spark.createDataFrame([(x,) for x in (0, -1, 2**62, 12345)], "x long")
+    assert closing.xxhash64(np.array([r.x for r in ids.collect()])).tolist() == [r[0] for r in ids.select(F.xxhash64("x")).collect()]
