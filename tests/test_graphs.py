@@ -258,3 +258,14 @@ def test_triangles_without_moving_wedges(spark, spread, monkeypatch):
     assert exact.count_triangles(e.where("false")).first()["t"] == 0
     ids = spark.createDataFrame([(x,) for x in (0, -1, 2**62, 12345)], "x long")
     assert closing.xxhash64(np.array([r.x for r in ids.collect()])).tolist() == [r[0] for r in ids.select(F.xxhash64("x")).collect()]
+
+
+def test_edges_of_a_window_are_counted_without_pairs(spark, monkeypatch):
+    from sparsetri.streaming import windows
+
+    rows = [(w, "abcd"[(x * 7 + w + k) % 4], x) for w in range(3) for x in range(40) for k in range(x % 3)] + [(1, None, 5), (2, "a", None)]
+    m = stored(spark.createDataFrame(rows, "start int, event_type string, user_id long"), "members")
+    want = sorted(tuple(r) for r in windows.window_edges(m).groupBy("start").count().collect())
+    assert want and sorted(tuple(r) for r in windows.window_edge_counts(m).collect()) == want
+    many = m.unionByName(spark.range(70).select(F.lit(0).alias("start"), F.concat(F.lit("t"), F.col("id")).alias("event_type"), (F.col("id") + 100).alias("user_id")))
+    assert sorted(tuple(r) for r in windows.window_edge_counts(many).collect()) == want
