@@ -269,3 +269,13 @@ def test_edges_of_a_window_are_counted_without_pairs(spark, monkeypatch):
     assert want and sorted(tuple(r) for r in windows.window_edge_counts(m).collect()) == want
     many = m.unionByName(spark.range(70).select(F.lit(0).alias("start"), F.concat(F.lit("t"), F.col("id")).alias("event_type"), (F.col("id") + 100).alias("user_id")))
     assert sorted(tuple(r) for r in windows.window_edge_counts(many).collect()) == want
+
+
+def test_wedges_at_a_hub_are_not_made(spark, tmp_path):
+    """300,000 neighbours of one vertex are 45 thousand million wedges."""
+    n = 300_000
+    spark.range(n).select(F.col("id").alias("c_custkey"), F.lit(0).cast("long").alias("c_nationkey")).write.parquet(f"{tmp_path}/customer.parquet")
+    spark.createDataFrame([(0, 0)], "n_nationkey long, n_regionkey long").write.parquet(f"{tmp_path}/nation.parquet")
+    every = {r.x: r.n for r in queries.queries()["join_semi_closure"](spark, str(tmp_path)).where("x in (1, 2)").collect()}
+    rest = {r.x: r.n for r in queries.queries()["join_anti_open_wedges"](spark, str(tmp_path)).collect()}
+    assert every == {1: n, 2: n} and rest == {1: n * (n + 1) // 2 - n, 2: n * (n + 1) // 2 - n}
