@@ -279,3 +279,10 @@ def test_wedges_at_a_hub_are_not_made(spark, tmp_path):
     every = {r.x: r.n for r in queries.queries()["join_semi_closure"](spark, str(tmp_path)).where("x in (1, 2)").collect()}
     rest = {r.x: r.n for r in queries.queries()["join_anti_open_wedges"](spark, str(tmp_path)).collect()}
     assert every == {1: n, 2: n} and rest == {1: n * (n + 1) // 2 - n, 2: n * (n + 1) // 2 - n}
+
+
+def test_hard_graph_of_a_table(spark, sf, tmp_path):
+    """The function's bits are the customers': another table, another graph."""
+    spark.read.parquet(f"{sf}/customer.parquet").where("c_custkey < 10").write.parquet(f"{tmp_path}/customer.parquet")
+    n = spark.read.parquet(f"{tmp_path}/customer.parquet").where("c_nationkey % 3 < 2").count()
+    assert [tuple(r) for r in queries.queries()["udtf_hard_graph"](spark, str(tmp_path)).collect()] == [(True, 16 + 16 * n)]
