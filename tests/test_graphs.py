@@ -286,3 +286,10 @@ def test_hard_graph_of_a_table(spark, sf, tmp_path):
     spark.read.parquet(f"{sf}/customer.parquet").where("c_custkey < 10").write.parquet(f"{tmp_path}/customer.parquet")
     n = spark.read.parquet(f"{tmp_path}/customer.parquet").where("c_nationkey % 3 < 2").count()
     assert [tuple(r) for r in queries.queries()["udtf_hard_graph"](spark, str(tmp_path)).collect()] == [(True, 16 + 16 * n)]
+
+
+def test_quality_for_several_eps_at_once(spark, sf):
+    e = stored(VIEWS["g_docs"](spark, sf), "docs")
+    t, m = exact.count_triangles(e).first()["t"], e.count()
+    got = {r.eps: tuple(r)[1:] for r in assign.exact_quality(e, 28, [0.1, 0.5, 1.0], t, m).collect()}
+    assert got == {eps: tuple(assign.quality(assign.assign_exact(e, 28, eps, t, m)).select("triangles", "assigned", "max_assigned", "sum_squares").first()) for eps in (0.1, 0.5, 1.0)}
