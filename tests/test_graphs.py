@@ -293,3 +293,11 @@ def test_quality_for_several_eps_at_once(spark, sf):
     t, m = exact.count_triangles(e).first()["t"], e.count()
     got = {r.eps: tuple(r)[1:] for r in assign.exact_quality(e, 28, [0.1, 0.5, 1.0], t, m).collect()}
     assert got == {eps: tuple(assign.quality(assign.assign_exact(e, 28, eps, t, m)).select("triangles", "assigned", "max_assigned", "sum_squares").first()) for eps in (0.1, 0.5, 1.0)}
+
+
+def test_cores_in_one_task(spark, sf, monkeypatch):
+    for e in (stored(VIEWS["g_docs"](spark, sf), "docs"), stored(edges_of(spark, [(i * 2**40, (i + 1) * 2**40) for i in range(-300, 300)]), "path"), edges_of(spark, []).where("false")):
+        want = sorted(tuple(r) for r in degeneracy.peel(e, 0)[1].collect()) if e.count() < 500 else sorted(tuple(r) for r in degeneracy.peel(e)[1].collect())
+        assert sorted(tuple(r) for r in degeneracy.cores(e).collect()) == want
+    monkeypatch.setattr(degeneracy, "TASK_EDGES", 0)
+    assert degeneracy.cores(stored(VIEWS["g_pages"](spark, sf), "pages")).agg(F.max("core")).first()[0] == KAPPA["g_pages"]
