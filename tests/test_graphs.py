@@ -301,3 +301,22 @@ def test_cores_in_one_task(spark, sf, monkeypatch):
         assert sorted(tuple(r) for r in degeneracy.cores(e).collect()) == want
     monkeypatch.setattr(degeneracy, "TASK_EDGES", 0)
     assert degeneracy.cores(stored(VIEWS["g_pages"](spark, sf), "pages")).agg(F.max("core")).first()[0] == KAPPA["g_pages"]
+
+
+def test_counts_of_edges_without_moving_wedges(spark, monkeypatch):
+    import random
+
+    from sparsetri.operators import closing
+
+    rnd = random.Random(8)
+    e = stored(edges_of(spark, {(0, k) for k in range(1, 300)} | {tuple(rnd.sample(range(-40, 300), 2)) for _ in range(4000)}), "counting")
+    want = sorted(exact.edge_triangle_counts(e).collect())
+    monkeypatch.setattr(closing, "HELD", 900)
+    got = sorted(tuple(r) for r in closing.edge_counts(e, e.count(), 300).collect())
+    assert got == [(r.u, r.v, r.t_inc) for r in want] and any(r.t_inc == 0 for r in want)
+    monkeypatch.setattr(exact, "JOIN_EDGES", 0)
+    assert sorted(exact.edge_triangle_counts(e).collect()) == want
+    marked = stored(edges_of(spark, [(0, 1), (5, 9)]).join(e, ["u", "v"], "left_semi"), "marked")
+    some = {(0, 1), (5, 9)}
+    t = {tuple(r) for r in exact.triangles(e).collect()}
+    assert {tuple(r) for r in assign.triangles_by_edges(e, marked, False).collect()} == {x for x in t if some & {(x[0], x[1]), (x[0], x[2]), (x[1], x[2])} & {tuple(r) for r in marked.collect()}}
