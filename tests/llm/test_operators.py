@@ -597,3 +597,15 @@ def test_op10_parity_cells_never_exclude_a_link():
             cells = sum(bin(x ^ y).count("1") for x, y in zip(*((minhash.parities(s).astype(object) & (2**64 - 1)).tolist() for s in (a, b)), strict=True))
             assert cells <= len(set(a.tolist()) ^ set(b.tolist()))
             assert cells >= min(changed, 60) and cells % 2 == 0
+
+
+def test_query_keeps_all_samples(spark, sf):
+    """The stored sound has two samples for each of the media's, none left out."""
+    from sparsetri.llm import queries
+
+    rows = queries.op2_telephony_media(spark, sf).select("payload_bytes", "feature").collect()
+    assert rows
+    for r in rows:
+        found = dict(x.split("=") for x in r.feature.split(";"))
+        held = r.payload_bytes if found["codec"] != "17" else r.payload_bytes // 64 * 129
+        assert found["rate"] == "8000>16000" and int(found["samples"]) == 2 * held
