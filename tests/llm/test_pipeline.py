@@ -2,9 +2,12 @@
 
 import hashlib
 
+import public_tokenizers
+
 import corpus_pipeline
-from sparsetri.llm import mixing, quality
+from sparsetri.llm import bpe, mixing, quality
 from sparsetri.llm.common import stored, table
+from sparsetri.llm.queries import BYTE_BPE
 from tests.llm.test_operators import _components, _similar
 
 
@@ -45,6 +48,15 @@ def test_run_is_the_stages(spark, sf):
     assert a == sorted(map(tuple, _stepwise(spark, table(spark, sf, "documents"), sf).collect())) and a
 
 
+def test_byte_bpe_takes_one_worker_a_task(spark, sf):
+    """Encoding and decoding share a worker and its codec, with the rows of both in turn."""
+    docs = table(spark, sf, "documents")
+    out = dict(corpus_pipeline.STAGES)["byte_bpe"](spark, docs, sf)
+    assert str(out._jdf.queryExecution().executedPlan()).count("MapInArrow") == 1
+    apart = bpe.decode_documents(bpe.encode_documents(docs, BYTE_BPE, public_tokenizers.PATTERN), BYTE_BPE, public_tokenizers.PATTERN)
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, apart.collect()))
+
+
 def test_odd_rows(spark, sf):
     """Null ids and texts, empty and long texts, repeated rows and ties go through all stages; so does an empty table."""
     good = [r.text for r in quality.score(table(spark, sf, "documents"), quality.fit(table(spark, sf, "documents"), table(spark, sf, "labels"))).where("score > 0.9 and lang = 'en'").orderBy("doc_id").limit(5).collect()]
