@@ -182,6 +182,32 @@ def test_whole_groups_by_brute_force(spark):
     assert tuple(got) == (len(near), len(pairs), t, sum(min(len(near[a]), len(near[b])) for a, b in pairs))
 
 
+def test_large_groups_are_counted_by_classes(spark):
+    """Small and large groups that overlap in every way: counts do not depend on what is large.  Edges that are made are those of small groups."""
+    import random
+
+    rnd = random.Random(9)
+    groups = [rnd.sample(range(120), n) for n in [2, 3, 4, 6] * 12 + [30, 30, 45, 80]]
+    held = spark.createDataFrame([(x, f"g{g}") for g, xs in enumerate(groups) for x in xs] + [(x, f"h{k}") for x in range(130, 140) for k in range(2)], "member long, token string")
+    near = {}
+    for xs in groups + [list(range(130, 140))]:
+        for a in xs:
+            near.setdefault(a, set()).update(set(xs) - {a})
+    pairs = {(a, b) for a in near for b in near[a] if a < b}
+    want = (len(near), len(pairs), sum(len(near[a] & near[b]) for a, b in pairs) // 3, sum(min(len(near[a]), len(near[b])) for a, b in pairs))
+    for low, most in ((5, 4000), (40, 4000), (1, 4000), (1000, 4000), (1, 20)):
+        assert tuple(exact.group_summary(held, low, most).first()) == want
+
+
+def test_one_group_of_differing_members(spark):
+    """3000 members of one group, each with a partner of its own: 4,498,500 pairs and 4.5 billion triangles that are not made."""
+    k = 3000
+    held = spark.range(k).select(F.col("id").alias("member"), F.lit("all").alias("token"))
+    held = held.unionByName(spark.range(2 * k).select(F.col("id").alias("member"), (F.col("id") % k).cast("string").alias("token")))
+    got = tuple(exact.group_summary(held).first())
+    assert got == (2 * k, k * (k - 1) // 2 + k, k * (k - 1) * (k - 2) // 6, k * (k - 1) // 2 * k + k)
+
+
 def test_guesses_share_the_passes(spark, sf):
     e = stored(VIEWS["g_geo"](spark, sf), "geo")
     plan = SamplePlan(325, 180, 2, 150, 0.1, 100, 400, 6, 3)
