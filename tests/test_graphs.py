@@ -9,10 +9,12 @@ import pytest
 from pyspark.sql import functions as F
 
 from sparsetri import queries
-from sparsetri.operators import assign, baselines, degeneracy, estimators, exact, passes, sampling
+from sparsetri.operators import assign, baselines, closing, degeneracy, estimators, exact, passes, sampling
+from sparsetri.plans import packed
 from sparsetri.plans.ledger import SpaceBudgetExceeded, SpaceGuard
 from sparsetri.plans.params import SamplePlan, plan_from_rse, plan_theory, predicted_rse
 from sparsetri.plans.store import stored
+from sparsetri.sources import graphs
 from sparsetri.sources.edges import assert_simple, canonical
 from sparsetri.sources.graphs import VIEWS
 from sparsetri.streaming.passes import Halves, streamed_six_pass
@@ -208,6 +210,34 @@ def test_one_group_of_differing_members(spark):
     assert got == (2 * k, k * (k - 1) // 2 + k, k * (k - 1) * (k - 2) // 6, k * (k - 1) // 2 * k + k)
 
 
+def test_packed_rows_come_back(spark):
+    """Any ids, and a few bytes for each of a million edges."""
+    far = np.array([-(2**63), -5, 0, 7, 7, 2**63 - 1])
+    for columns in ([far], [far, far[::-1].copy()], [far[:1], far[:1], far[-1:]]):
+        for got, want in zip(packed.unpack(packed.pack(columns), len(columns[0])), columns, strict=True):
+            assert got.tolist() == want.tolist()
+    rnd = np.random.default_rng(3)
+    u, v = rnd.integers(0, 20_000, 1_000_000), rnd.integers(0, 1_000_000, 1_000_000)
+    sent = list(packed.packs(packed.place(u, 16), [u, v]))
+    assert sum(b.nbytes for b in sent) < 4 * len(u)
+    back = [packed.unpack(x.as_py(), n.as_py()) for b in sent for n, x in zip(b.column(1), b.column(2), strict=True)]
+    assert sorted(zip(*(np.concatenate(c).tolist() for c in zip(*back, strict=True)), strict=True)) == sorted(zip(u.tolist(), v.tolist(), strict=True))
+
+
+def test_pairs_and_degrees_in_packs(spark, monkeypatch):
+    """Repeats, nulls and a group far above a chunk of pairs: the edges of the join, each once, without a shuffle of edges as rows."""
+    rows = [(g, m) for g in range(300) for m in (g, g + 1, g % 7, g + 1)] + [(999, m) for m in range(400)] + [(None, 1), (5, None), (None, None)]
+    df = spark.createDataFrame(rows, "g long, m long")
+    monkeypatch.setattr(graphs, "DEALT", 100)
+    got = stored(graphs.co_members_packed(df, "g", "m"), "packed-pairs")
+    want = sorted(map(tuple, graphs.co_members(df, ["g"], "m").collect()))
+    assert sorted(map(tuple, got.collect())) == want and got.columns == ["u", "v"]
+    chunks = list(graphs._pairs(3, 50)(0, [np.zeros(30, np.int64), np.arange(30)]))
+    assert sum(int(n) for b in chunks for n in b.column(1).to_pylist()) == 30 * 29 // 2 and len(chunks) > 5
+    deg = sorted(map(tuple, exact.degrees(got).collect()))
+    assert sorted(map(tuple, closing.degrees(got, len(want), 500).collect())) == deg
+
+
 def test_guesses_share_the_passes(spark, sf):
     e = stored(VIEWS["g_geo"](spark, sf), "geo")
     plan = SamplePlan(325, 180, 2, 150, 0.1, 100, 400, 6, 3)
