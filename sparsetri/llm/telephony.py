@@ -149,6 +149,31 @@ def resample(pcm: np.ndarray, rate: int, to: int) -> np.ndarray:
     return ((pcm[low].astype(np.int64) * (to - part) + pcm[high].astype(np.int64) * part) // to).astype(np.int16)
 
 
+def code_pcm(pcm: np.ndarray) -> bytes:
+    """Any 16-bit samples without loss: every other one as it is, those between as what they differ from the mean of their neighbours.  Where they differ
+    nowhere, as in sound of twice its first rate, a flag stands for them."""
+    even, odd = pcm[::2], pcm[1::2]
+    rest = (odd.astype(np.int32) - _between(even, len(odd))).astype("<i2")  # wraps around, and back
+    return bytes([2 * bool(rest.any()) + len(pcm) % 2]) + even.astype("<i2").tobytes() + (rest.tobytes() if rest.any() else b"")
+
+
+def _between(even: np.ndarray, n: int) -> np.ndarray:
+    """Means of neighbours, rounded down; the last has itself for a neighbour."""
+    wide = even.astype(np.int32)
+    return ((wide + np.r_[wide[1:], wide[-1:]]) >> 1)[:n]
+
+
+def decode_pcm(coded: bytes) -> np.ndarray:
+    """The samples that code_pcm() was given."""
+    values, kind = np.frombuffer(coded, "<i2", offset=1), coded[0]
+    n = len(values) if kind & 2 else 2 * len(values) - (kind & 1)
+    even, rest = values[: (n + 1) // 2], values[(n + 1) // 2 :]
+    pcm = np.empty(n, "<i2")
+    pcm[::2] = even
+    pcm[1::2] = (_between(even, n // 2) + (rest if kind & 2 else 0)).astype("<i2")
+    return pcm
+
+
 def features(pcm: np.ndarray) -> dict[str, int]:
     """Peak, mean power, zero crossings: integers only."""
     wide = pcm.astype(np.int64)
@@ -164,8 +189,10 @@ HEAD, BLOCK = 4, 4 + UNIT
 HELD = 4 << 20
 MEDIA = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary())])
 DECODED = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("codec", pa.int64()), ("rate", pa.int64()), ("payload", pa.binary()), ("pcm", pa.binary()), ("error", pa.string())])
-STORED_PCM = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("codec", pa.int64()), ("rate", pa.int64()), ("pcm", pa.binary()), ("error", pa.string())])
-STORED_PCM_DDL = "key long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, codec long, rate long, pcm binary, error string"
+STORED_PCM = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("codec", pa.int64()), ("rate", pa.int64()), ("coded", pa.binary()), ("error", pa.string())])
+STORED_PCM_DDL = "key long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, codec long, rate long, coded binary, error string"
+#: Media and sound are stored for good, so they take a dearer compression.
+LEVEL = 9
 
 
 def dealt_codec(payload: bytes) -> int:
@@ -277,7 +304,7 @@ def _stored_pcm(to: int):
                 row = (key, n, None, None, None, *held, None, None, None, error)
             else:
                 payload = payload_of(p[0], p[2], p[3])
-                row = (key, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), *held, p[0], p[1], pcm, None)
+                row = (key, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), *held, p[0], p[1], code_pcm(np.frombuffer(pcm, "<i2")), None)
             if (full := add(row, 400 + len(pcm or b""))) is not None:
                 yield full
         yield from rest()
@@ -296,7 +323,7 @@ def _digest(to: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [feature_text(c, r, to, x.as_py()) for c, r, x in zip(batch.column(8).to_pylist(), batch.column(9).to_pylist(), batch.column(10), strict=True)]
+            found = [feature_text(c, r, to, decode_pcm(x.as_py()).tobytes() if x.is_valid else None) for c, r, x in zip(batch.column(8).to_pylist(), batch.column(9).to_pylist(), batch.column(10), strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:8], pa.array(found, pa.string())], names=[*names, "feature"])
 
     return run
@@ -306,7 +333,7 @@ def store_media(docs: DataFrame, key: str = "doc_id", text: str = "text", codec:
     """Each text's bytes, padded to whole units, as the samples of one WAV file: (key, n_bytes, media), in a Parquet table.
 
     Without a codec, payloads are dealt over mu-law, A-law and ADPCM by their content."""
-    return stored(docs.select(docs[key].cast("long").alias("key"), docs[text].alias("text")).mapInArrow(_media(codec), "key long, n_bytes long, media binary"), "media")
+    return stored(docs.select(docs[key].cast("long").alias("key"), docs[text].alias("text")).mapInArrow(_media(codec), "key long, n_bytes long, media binary"), "media", LEVEL)
 
 
 def decode_media(media: DataFrame, to: int = 16000) -> DataFrame:
@@ -315,11 +342,11 @@ def decode_media(media: DataFrame, to: int = 16000) -> DataFrame:
 
 
 def store_pcm(media: DataFrame, to: int = 16000) -> DataFrame:
-    """Per row of media what its bytes hold, and the resampled PCM as a column of a Parquet table."""
-    return stored(media.select("key", "n_bytes", "media").mapInArrow(_stored_pcm(to), STORED_PCM_DDL), "pcm")
+    """Per row of media what its bytes hold, and the resampled PCM, all of it and without loss (code_pcm), as a column of a Parquet table."""
+    return stored(media.select("key", "n_bytes", "media").mapInArrow(_stored_pcm(to), STORED_PCM_DDL), "pcm", LEVEL)
 
 
 def media_digest(media: DataFrame, to: int = 16000) -> DataFrame:
     """Per row of store_media() its digests and features of the resampled sound, which is stored and read back for them."""
-    rows = store_pcm(media, to).select("key", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "error", "codec", "rate", "pcm")
+    rows = store_pcm(media, to).select("key", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "error", "codec", "rate", "coded")
     return rows.mapInArrow(_digest(to), "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, error string, feature string")

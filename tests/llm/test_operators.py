@@ -609,3 +609,13 @@ def test_query_keeps_all_samples(spark, sf):
         found = dict(x.split("=") for x in r.feature.split(";"))
         held = r.payload_bytes if found["codec"] != "17" else r.payload_bytes // 64 * 129
         assert found["rate"] == "8000>16000" and int(found["samples"]) == 2 * held
+
+
+def test_op2_stored_pcm_has_every_sample():
+    """Any sound comes back from its code, and sound of twice its first rate takes no more than that first rate does."""
+    rnd = np.random.default_rng(7)
+    for n in (0, 1, 2, 3, 4, 5, 1000, 1001):
+        raw = rnd.integers(-(2**15), 2**15, n).astype(np.int16)
+        for pcm in (raw, telephony.resample(raw, 8000, 16000), telephony.resample(raw, 8000, 16000)[:-1], telephony.resample(raw, 8000, 11025), np.sort(raw)):
+            assert telephony.decode_pcm(telephony.code_pcm(pcm)).tolist() == pcm.tolist()
+        assert len(telephony.code_pcm(telephony.resample(raw, 8000, 16000))) == 1 + 2 * n
