@@ -149,12 +149,31 @@ def resample(pcm: np.ndarray, rate: int, to: int) -> np.ndarray:
     return ((pcm[low].astype(np.int64) * (to - part) + pcm[high].astype(np.int64) * part) // to).astype(np.int16)
 
 
+def _scale(table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A law's levels in ascending order, and by any 16-bit sample the place of its level, or -1; negative samples index from the end."""
+    levels = np.unique(table)
+    places = np.full(1 << 16, -1, np.int16)
+    places[levels] = np.arange(len(levels))
+    return levels, places
+
+
+#: By the number that a code of PCM has for them.
+SCALES = {1: _scale(MULAW_TO_PCM), 2: _scale(ALAW_TO_PCM)}
+
+
 def code_pcm(pcm: np.ndarray) -> bytes:
-    """Any 16-bit samples without loss: every other one as it is, those between as what they differ from the mean of their neighbours.  Where they differ
-    nowhere, as in sound of twice its first rate, a flag stands for them."""
+    """Any 16-bit samples without loss, behind a byte that says how: every other one, and those between as what they differ from the mean of their
+    neighbours.  Where they differ nowhere, as in sound of twice its first rate, a flag stands for them.  Every other sample takes a byte, its place on a
+    law's scale, where all of them are on it, and two otherwise, for what it differs from the one before."""
     even, odd = pcm[::2], pcm[1::2]
     rest = (odd.astype(np.int32) - _between(even, len(odd))).astype("<i2")  # wraps around, and back
-    return bytes([2 * bool(rest.any()) + len(pcm) % 2]) + even.astype("<i2").tobytes() + (rest.tobytes() if rest.any() else b"")
+    for scale, (_, places) in SCALES.items():
+        if len(even) and (at := places[even]).min() >= 0:
+            own = at.astype(np.uint8)
+            break
+    else:
+        scale, own = 0, np.diff(even, prepend=np.int16(0)).astype("<i2")  # wraps around as well
+    return bytes([scale << 2 | 2 * bool(rest.any()) | len(pcm) % 2]) + own.tobytes() + (rest.tobytes() if rest.any() else b"")
 
 
 def _between(even: np.ndarray, n: int) -> np.ndarray:
@@ -165,12 +184,14 @@ def _between(even: np.ndarray, n: int) -> np.ndarray:
 
 def decode_pcm(coded: bytes) -> np.ndarray:
     """The samples that code_pcm() was given."""
-    values, kind = np.frombuffer(coded, "<i2", offset=1), coded[0]
-    n = len(values) if kind & 2 else 2 * len(values) - (kind & 1)
-    even, rest = values[: (n + 1) // 2], values[(n + 1) // 2 :]
-    pcm = np.empty(n, "<i2")
+    scale, differs, odd = coded[0] >> 2, coded[0] & 2, coded[0] & 1
+    width = 1 if scale else 2
+    n = (len(coded) - 1 + 2 * odd) // (width + 2) if differs else (len(coded) - 1) // width
+    own, rest = coded[1 : 1 + width * n], np.frombuffer(coded[1 + width * n :], "<i2")
+    even = SCALES[scale][0][np.frombuffer(own, np.uint8)] if scale else np.cumsum(np.frombuffer(own, "<i2"), dtype=np.int16)
+    pcm = np.empty(2 * n - odd, "<i2")
     pcm[::2] = even
-    pcm[1::2] = (_between(even, n // 2) + (rest if kind & 2 else 0)).astype("<i2")
+    pcm[1::2] = (_between(even, n - odd) + (rest if differs else 0)).astype("<i2")
     return pcm
 
 
@@ -191,8 +212,8 @@ MEDIA = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.bi
 DECODED = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("codec", pa.int64()), ("rate", pa.int64()), ("payload", pa.binary()), ("pcm", pa.binary()), ("error", pa.string())])
 STORED_PCM = pa.schema([("key", pa.int64()), ("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("codec", pa.int64()), ("rate", pa.int64()), ("coded", pa.binary()), ("error", pa.string())])
 STORED_PCM_DDL = "key long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, codec long, rate long, coded binary, error string"
-#: Media and sound are stored for good, so they take a dearer compression.
-LEVEL = 9
+#: Media and sound are stored for good, so they take a dearer compression, over more bytes at once than Parquet's 1 MB.
+LEVEL, PAGE = 9, 4 << 20
 
 
 def dealt_codec(payload: bytes) -> int:
@@ -333,7 +354,7 @@ def store_media(docs: DataFrame, key: str = "doc_id", text: str = "text", codec:
     """Each text's bytes, padded to whole units, as the samples of one WAV file: (key, n_bytes, media), in a Parquet table.
 
     Without a codec, payloads are dealt over mu-law, A-law and ADPCM by their content."""
-    return stored(docs.select(docs[key].cast("long").alias("key"), docs[text].alias("text")).mapInArrow(_media(codec), "key long, n_bytes long, media binary"), "media", LEVEL)
+    return stored(docs.select(docs[key].cast("long").alias("key"), docs[text].alias("text")).mapInArrow(_media(codec), "key long, n_bytes long, media binary"), "media", LEVEL, PAGE)
 
 
 def decode_media(media: DataFrame, to: int = 16000) -> DataFrame:
@@ -343,7 +364,7 @@ def decode_media(media: DataFrame, to: int = 16000) -> DataFrame:
 
 def store_pcm(media: DataFrame, to: int = 16000) -> DataFrame:
     """Per row of media what its bytes hold, and the resampled PCM, all of it and without loss (code_pcm), as a column of a Parquet table."""
-    return stored(media.select("key", "n_bytes", "media").mapInArrow(_stored_pcm(to), STORED_PCM_DDL), "pcm", LEVEL)
+    return stored(media.select("key", "n_bytes", "media").mapInArrow(_stored_pcm(to), STORED_PCM_DDL), "pcm", LEVEL, PAGE)
 
 
 def media_digest(media: DataFrame, to: int = 16000) -> DataFrame:

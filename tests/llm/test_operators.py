@@ -619,3 +619,21 @@ def test_op2_stored_pcm_has_every_sample():
         for pcm in (raw, telephony.resample(raw, 8000, 16000), telephony.resample(raw, 8000, 16000)[:-1], telephony.resample(raw, 8000, 11025), np.sort(raw)):
             assert telephony.decode_pcm(telephony.code_pcm(pcm)).tolist() == pcm.tolist()
         assert len(telephony.code_pcm(telephony.resample(raw, 8000, 16000))) == 1 + 2 * n
+
+
+def test_op2_companded_sound_takes_a_byte_a_sample():
+    """Sound on a law's scale comes back from a byte for every other sample, whatever lies between; other sound from differences that wrap around."""
+    rnd = np.random.default_rng(11)
+    text = np.frombuffer(b"A line of prose, as payloads are.\n" * 40, np.uint8)
+    for table in (telephony.MULAW_TO_PCM, telephony.ALAW_TO_PCM):
+        for codes in (np.arange(256), rnd.integers(0, 256, 999), text, text[:1]):
+            raw = table[codes]
+            for pcm in (raw, telephony.resample(raw, 8000, 16000), telephony.resample(raw, 8000, 16000)[:-1]):
+                assert telephony.decode_pcm(telephony.code_pcm(pcm)).tolist() == pcm.tolist()
+            assert len(telephony.code_pcm(telephony.resample(raw, 8000, 16000))) == 1 + len(raw)
+            off = telephony.resample(raw, 8000, 16000).copy()
+            off[-2] = 1  # on neither scale
+            assert telephony.decode_pcm(telephony.code_pcm(off)).tolist() == off.tolist() and len(telephony.code_pcm(off)) > 2 * len(raw)
+    steps = np.array([-32768, 32767, -32768, 1, 32767, 0, -1], np.int16)
+    for pcm in (steps, steps[:-1], np.repeat(steps, 2), telephony.decode_ima(b"\0\0\0\0" + text.tobytes(), 4 + len(text))):
+        assert telephony.decode_pcm(telephony.code_pcm(pcm)).tolist() == pcm.tolist()
