@@ -5,8 +5,8 @@ ratio of its smoothed class shares, rows are brought to unit length, and a hinge
 descent; a logistic curve fitted on rows kept aside turns margins into probabilities.
 
 The fit uses at most `max_fit_rows` labelled rows (lowest hashes of their ids, so it is the same sample everywhere), and of these, in the
-same order, as many as have `max_fit_features` features together (a feature is four bytes on the driver); these two bounds are what makes the
-broadcast of the sample's labels and the collected features bounded.  Scoring covers every
+same order, as many as have `max_fit_features` features together; these two bounds are what makes the broadcast of the sample's labels
+bounded, and the task that fits (a feature is four bytes there).  Only the model, of a fixed size, comes to the driver.  Scoring covers every
 whole text in one scan without a shuffle.
 
 Defined results: a null text is an empty one; an empty text has no features and gets the curve's value at the bias.
@@ -18,7 +18,7 @@ like the score is replaced.  An empty table gives an empty one.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
@@ -83,7 +83,21 @@ def log_count_ratios(rows: list[np.ndarray], y: np.ndarray, smooth: float = 1.0)
     return np.log(share[1] / share[0])
 
 
-def dual_coordinate_descent(rows: list[np.ndarray], values: list[np.ndarray], y: np.ndarray, c: np.ndarray, epochs: int = 12, seed: int = 7) -> tuple[np.ndarray, float]:
+class UnitRows(Sequence):
+    """Ratios of each row's features, brought to unit length; made when asked for, as they take twice the memory of the features."""
+
+    def __init__(self, rows: list[np.ndarray], ratios: np.ndarray):
+        self.rows, self.ratios = rows, ratios
+        self.lengths = [np.sqrt((v @ v) or 1.0) for v in (ratios[x] for x in rows)]
+
+    def __len__(self) -> int:
+        return len(self.rows)
+
+    def __getitem__(self, i: int) -> np.ndarray:
+        return self.ratios[self.rows[i]] / self.lengths[i]
+
+
+def dual_coordinate_descent(rows: list[np.ndarray], values: Sequence[np.ndarray], y: np.ndarray, c: np.ndarray, epochs: int = 12, seed: int = 7) -> tuple[np.ndarray, float]:
     """min ||w||^2/2 + sum c_i max(0, 1 - y_i w.x_i), one dual variable at a time in shuffled order; rows have unit length,
     and the bias is the weight of a constant 1."""
     w, bias = np.zeros(SIZE), 0.0
@@ -130,14 +144,11 @@ def fit_rows(rows: list[np.ndarray], y: np.ndarray, cost: float = 1.0) -> Model:
     if len(rows) < 50 or len(set(y[~aside].tolist())) < 2 or len(set(y[aside].tolist())) < 2:
         aside[:] = False
     train = np.flatnonzero(~aside)
-    ratios = log_count_ratios([rows[i] for i in train], y[train])
-    values = []
-    for i in train:
-        v = ratios[rows[i]]
-        values.append(v / np.sqrt((v @ v) or 1.0))
+    trained = [rows[i] for i in train]
+    ratios = log_count_ratios(trained, y[train])
     sign = np.where(y[train] == 1, 1.0, -1.0)
     share = np.array([(y[train] == 0).mean(), (y[train] == 1).mean()])
-    w, bias = dual_coordinate_descent([rows[i] for i in train], values, sign, cost / (2 * share[y[train]]))
+    w, bias = dual_coordinate_descent(trained, UnitRows(trained, ratios), sign, cost / (2 * share[y[train]]))
     model = Model(ratios * w, ratios, bias, 1.0, 0.0)
     curve = np.flatnonzero(aside) if aside.any() else train
     margin = np.array([model.bias + (model.weights[x].sum() / np.sqrt((ratios[x] ** 2).sum() or 1.0) if len(x) else 0.0) for x in (rows[i] for i in curve)])
@@ -155,8 +166,24 @@ def _featurize(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield from rest()
 
 
+MODEL = pa.schema([("weights", pa.binary()), ("ratios", pa.binary()), ("bias", pa.float64()), ("slope", pa.float64()), ("offset", pa.float64())])
+MODEL_DDL = "weights binary, ratios binary, bias double, slope double, offset double"
+
+
+def _fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row, the model of all rows (label, features) in their order."""
+    claim_cache("quality", lambda: None)
+    rows, y = [], []
+    for batch in batches:
+        y += batch.column(0).to_pylist()
+        rows += [x.values.to_numpy(zero_copy_only=False) for x in batch.column(1)]
+    m = fit_rows(rows, np.array(y, np.int64))
+    made = (m.weights.tobytes(), m.ratios.tobytes(), m.bias, m.slope, m.offset)
+    yield pa.RecordBatch.from_arrays([pa.array([v], t.type) for v, t in zip(made, MODEL, strict=True)], schema=MODEL)
+
+
 def fit(docs: DataFrame, labels: DataFrame, max_fit_rows: int = 12000, max_fit_features: int = 48_000_000) -> Model:
-    """labels: doc_id, quality.  The bounded sample's features come to the driver."""
+    """labels: doc_id, quality.  One task fits on the bounded sample's features; the driver, which has the least memory, gets the model."""
     place = F.xxhash64(F.lit("fit"), "doc_id")
     sample = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isin(0, 1)).select("doc_id", F.col("quality").cast("long").alias("label"), place.alias("place"))
     sample = sample.orderBy("place", "doc_id", "label").limit(max_fit_rows)
@@ -164,11 +191,9 @@ def fit(docs: DataFrame, labels: DataFrame, max_fit_rows: int = 12000, max_fit_f
     found = stored(found, "fit-features")
     upto = F.sum(F.size("features")).over(Window.orderBy("place", "label").rowsBetween(Window.unboundedPreceding, 0))  # of max_fit_rows rows at most
     last = found.select("place", "label", upto.alias("upto")).where(F.col("upto") <= max_fit_features).agg(F.max(F.struct("place", "label")).alias("last")).first()["last"]
-    found = (found if last is None else found.where(F.struct("place", "label") <= F.struct(F.lit(last["place"]).cast("long"), F.lit(last["label"]).cast("long")))).toArrow()
-    found = found.sort_by([("place", "ascending"), ("label", "ascending")])
-    lists = found.column("features").combine_chunks()
-    rows = [x.values.to_numpy(zero_copy_only=False) for x in lists] if len(lists) else []
-    return fit_rows(rows, np.array(found.column("label").to_pylist(), np.int64))
+    found = found if last is None else found.where(F.struct("place", "label") <= F.struct(F.lit(last["place"]).cast("long"), F.lit(last["label"]).cast("long")))
+    made = found.coalesce(1).sortWithinPartitions("place", "label").select("label", "features").mapInArrow(_fit, MODEL_DDL).first()
+    return Model(np.frombuffer(made["weights"]), np.frombuffer(made["ratios"]), made["bias"], made["slope"], made["offset"])
 
 
 def score(docs: DataFrame, model: Model, name: str = "score") -> DataFrame:

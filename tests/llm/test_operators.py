@@ -278,6 +278,25 @@ def test_op4_ties_and_bounds(spark):
     assert [r.h for r in spark.createDataFrame([(None,), (4,)], "doc_id long").select(quality.held_out().alias("h")).collect()][0] is False
 
 
+def test_op4_fits_in_a_task(spark, monkeypatch):
+    """The driver gets the model and no features, and the model is that of the rows in the sample's order."""
+    docs = frame(spark, [(k, f"good words number {k} of {k * k}" if k % 2 else f"BAD {k} $$ {k * 7}", "s") for k in range(300)])
+    labels = spark.createDataFrame([(k, k % 2) for k in range(300)], "doc_id long, quality int")
+    make = quality.Indicators()
+    ordered = docs.selectExpr("xxhash64('fit', doc_id) as place", "doc_id", "text").orderBy("place").collect()
+    wanted = quality.fit_rows([make.of(r.text) for r in ordered], np.array([r.doc_id % 2 for r in ordered]))
+
+    def on_the_driver(*_):
+        raise AssertionError("fitted on the driver")
+
+    monkeypatch.setattr(quality, "fit_rows", on_the_driver)
+    got = quality.fit(docs, labels)
+    assert np.array_equal(got.weights, wanted.weights) and np.array_equal(got.ratios, wanted.ratios) and np.count_nonzero(got.ratios)
+    assert (got.bias, got.slope, got.offset) == (wanted.bias, wanted.slope, wanted.offset)
+    values = quality.UnitRows([make.of("some text"), make.of("")], got.ratios)
+    assert abs(np.linalg.norm(values[0]) - 1) < 1e-12 and len(values[1]) == 0
+
+
 def test_op4_odd_inputs(spark, docs):
     labels = spark.createDataFrame([(1, None), (None, 1), (2, 1), (3, 7)], "doc_id long, quality int")
     model = quality.fit(docs, labels)
