@@ -12,7 +12,7 @@ import public_tokenizers as pt
 import pyarrow.parquet as pq
 import pytest
 
-from sparsetri.llm import bpe, components, line_dedup, minhash, mixing, nn_descent, quality, telephony, token_counts, token_store, warc
+from sparsetri.llm import bpe, common, components, line_dedup, minhash, mixing, nn_descent, quality, telephony, token_counts, token_store, warc
 from sparsetri.llm import queries as q
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, lines string, size long, h string, key string"
@@ -278,6 +278,17 @@ def test_op4_ties_and_bounds(spark):
     assert [r.h for r in spark.createDataFrame([(None,), (4,)], "doc_id long").select(quality.held_out().alias("h")).collect()][0] is False
 
 
+def test_heap_over_half_is_collected():
+    from unittest.mock import MagicMock
+
+    for total, calls in ((400, 1), (300, 0)):
+        session = MagicMock()
+        runtime = session.sparkContext._jvm.java.lang.Runtime.getRuntime()
+        runtime.totalMemory.return_value, runtime.maxMemory.return_value = total, 750
+        common.ease_driver(session)
+        assert runtime.gc.call_count == calls
+
+
 def test_op4_fits_in_a_task(spark, monkeypatch):
     """The driver gets the model and no features, and the model is that of the rows in the sample's order."""
     docs = frame(spark, [(k, f"good words number {k} of {k * k}" if k % 2 else f"BAD {k} $$ {k * 7}", "s") for k in range(300)])
